@@ -88,10 +88,10 @@ def _topics(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _streamed(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Daily counts by type, through a stream of the events file; complete mode needs no last watermark."""
+    """Daily counts by type, through a stream of the events file (a glob, so that a file or a folder will do); complete mode needs no last watermark."""
     folder = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="tmotif-stream-")
     table = graph.table(spark, sf_dir, "events")
-    rows = spark.readStream.schema(table.schema).parquet(f"{sf_dir}/events.parquet").select(F.col("ts").cast("timestamp").alias("ts"), "event_type")
+    rows = spark.readStream.schema(table.schema).parquet(f"{sf_dir}/events.parque[t]").select(F.col("ts").cast("timestamp").alias("ts"), "event_type")
     collected: list[DataFrame] = []
     query = streams.stream_tumbling(rows, "1 day", "event_type").writeStream.outputMode("complete").foreachBatch(lambda df, _: collected.append(spark.createDataFrame(df.collect(), df.schema))).option("checkpointLocation", f"{folder}/log-tumbling-{id(rows)}").trigger(availableNow=True).start()
     query.awaitTermination()
