@@ -135,16 +135,120 @@ def simhash_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     )
 
 
-def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, max_bits: int = 3) -> DataFrame:
-    """docs with one row of each near-duplicate group, the one with the smallest id; all columns stay.
+#: Segments of the wide ring, and the share of them that may differ: two texts of similarity 0.8 differ in a fifth on average.
+RING, RING_DIFFER = 32, 10
+SIMILAR = 0.8
+#: SimHash distance beyond which no pair of that similarity is expected (about 11 bits at 0.8).
+FAR_BITS = 24
+#: Longer chains that crowded keys are parted by.
+CHAINS = (5, 8, 12)
+
+
+def shingle_hashes(text: bytes, width: int, seed: int = 42) -> np.ndarray:
+    """Distinct hashes of the word shingles, sorted; a text of fewer words is one shingle, one without words has none."""
+    words = text.translate(LOWER).split()
+    if not words:
+        return np.zeros(0, np.uint64)
+    n = max(1, len(words) - width + 1)
+    digest = xxhash.xxh64_intdigest
+    return np.unique(np.array([digest(b" ".join(words[i : i + width]), seed) for i in range(n)], np.uint64))
+
+
+def ring_of(hashes: np.ndarray) -> np.ndarray:
+    """RING segments: each the SimHash of the one shingle with the smallest hash of its share of the hash space; an empty share takes the next one's."""
+    if not len(hashes):
+        return np.zeros(RING, np.uint64)
+    starts = np.searchsorted(hashes, np.arange(RING, dtype=np.uint64) * np.uint64((1 << 64) // RING))
+    ends = np.append(starts[1:], len(hashes))
+    out = np.where(starts < ends, hashes[np.minimum(starts, len(hashes) - 1)], np.uint64(0))
+    full = np.flatnonzero(starts < ends)
+    empty = np.flatnonzero(starts >= ends)
+    if len(empty):
+        out[empty] = out[full[np.searchsorted(full, empty) % len(full)]]
+    return out
+
+
+def _chain_keys(rings: np.ndarray, length: int) -> np.ndarray:
+    """A key for each run of so many segments of each ring, its start included."""
+    key = np.repeat(np.arange(1, RING + 1, dtype=np.uint64)[None, :] * np.uint64(0x9E3779B97F4A7C15), len(rings), axis=0) ^ np.uint64(length)
+    for k in range(length):
+        key = (key ^ np.roll(rings, -k, axis=1)) * np.uint64(0xFF51AFD7ED558CCD)
+        key ^= key >> np.uint64(31)
+    return key.view(np.int64)
+
+
+def _rings(width: int):
+    def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        longs = pa.list_(pa.int64())
+        for batch in batches:
+            rings, prints = [], []
+            for t in batch.column(2):
+                hashes = shingle_hashes(t.as_buffer().to_pybytes(), width)
+                rings.append(ring_of(hashes))
+                prints.append(_bits(hashes) if len(hashes) else 0)
+            rings = np.array(rings, np.uint64).reshape(len(prints), RING)
+            lists = [pa.array([*x], longs) for x in (rings.view(np.int64), *(_chain_keys(rings, n) for n in (3, *CHAINS)))]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(prints, pa.int64()), *lists], ["row", "doc_id", "fp", "ring", "k3", *(f"k{n}" for n in CHAINS)])
+
+    return make
+
+
+def _sets(width: int):
+    def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            sets = [shingle_hashes(t.as_buffer().to_pybytes(), width).view(np.int64) for t in batch.column(1)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(sets, pa.list_(pa.int64()))], ["row", "hashes"])
 
-    Five-word shingles; max_bits of 64 differing bits bound the angle between
-    shingle vectors, and 3 stand for a similarity well above 0.8. Rows
-    without words form one group, as equal texts.
+    return make
+
+
+def similar_links(rows: DataFrame, width: int = 5, similarity: float = SIMILAR, crowd: int = CROWD) -> tuple[DataFrame, DataFrame]:
+    """The staged rings of rows (row, doc_id, text), and links (a, b) of row numbers whose shingle sets have at least the similarity.
+
+    Candidates share a chain of three equal segments, the longest that a budget of RING_DIFFER in RING
+    leaves without difference; then come the budgets of the longer chains from that start, the
+    SimHash distance, and the Jaccard similarity of the whole shingle sets. In a key that
+    more than crowd rows share each row meets the key's smallest row only, and also the smallest
+    rows of its keys of longer chains, which are ever fewer; all links are checked alike.
+    """
+    table = staged(in_arrow(rows.select("row", "doc_id", F.col("text").cast("binary")), _rings(width), "row long, doc_id long, fp long, ring array<long>, k3 array<long>, " + ", ".join(f"k{n} array<long>" for n in CHAINS)), "rings")
+    keyed = table.select("row", F.explode("k3").alias("key"))
+    met = staged(keyed.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.min("row").alias("hub")).where("n > 1"), "met")
+    members = keyed.join(met, "key")
+    few = members.where(F.col("n") <= crowd).select("key", "row")
+    pairs = few.select("key", F.col("row").alias("a")).join(few.select("key", F.col("row").alias("b")), "key").where("a < b").select("a", "b")
+    many = members.where(F.col("n") > crowd)
+    stars = many.where("row <> hub").select(F.col("hub").alias("a"), F.col("row").alias("b"))
+    crowded = many.select("row").distinct()
+    longer = table.join(crowded, "row", "left_semi").select("row", F.explode(F.concat(*[f"k{n}" for n in CHAINS])).alias("key"))
+    hubs = longer.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.min("row").alias("hub")).where("n > 1")
+    stars = stars.union(longer.join(hubs, "key").where("row <> hub").select(F.col("hub").alias("a"), F.col("row").alias("b")))
+    pairs = pairs.union(stars).distinct()
+    side = lambda x: table.select(F.col("row").alias(x), F.col("fp").alias(f"f{x}"), F.col("ring").alias(f"r{x}"))
+    checked = pairs.join(side("a"), "a").join(side("b"), "b")
+    differ = F.aggregate(F.zip_with("ra", "rb", lambda x, y: F.when(x == y, 0).otherwise(1)), F.lit(0), lambda n, x: n + x)
+    near = staged(checked.where(F.bit_count(F.col("fa").bitwiseXOR(F.col("fb"))) <= FAR_BITS).where(differ <= RING_DIFFER + 2).select("a", "b"), "near")
+    wanted = near.select(F.explode(F.array("a", "b")).alias("row")).distinct()
+    sets = staged(in_arrow(rows.join(wanted, "row", "left_semi").select("row", F.col("text").cast("binary")), _sets(width), "row long, hashes array<long>"), "sets")
+    both = near.join(sets.select(F.col("row").alias("a"), F.col("hashes").alias("ha")), "a").join(sets.select(F.col("row").alias("b"), F.col("hashes").alias("hb")), "b")
+    common = F.size(F.array_intersect("ha", "hb"))
+    return table, both.where(common >= similarity * (F.size("ha") + F.size("hb") - common)).select("a", "b")
+
+
+def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, similarity: float = SIMILAR) -> DataFrame:
+    """docs with one row of each near-duplicate group, the one with the smallest id (null ids last); all columns stay.
+
+    A group is connected by links of at least the similarity over sets of five-word shingles. Rows
+    without words are copies of each other. Keys are rare by construction; see similar_links for
+    how crowded ones are handled, and the README for the measured recall.
     """
     names = docs.columns
     rows = staged(docs.select(*[F.col(f"`{c}`").alias(f"c{k}") for k, c in enumerate(names)], F.monotonically_increasing_id().alias("row")), "rows")
     ids, text = f"c{names.index(id_col)}", f"c{names.index(text_col)}"
-    table = staged(fingerprints(rows.select("row", F.col(ids).cast("long").alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text")), width), "prints")
-    gone = table.join(grouped(table, max_bits), "fp").where("row <> low_row").select("row")
+    table, found = similar_links(rows.select("row", F.col(ids).cast("long").alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text")), width, similarity)
+    named = components(found)
+    named = named.union(named.select("root", "root").distinct()).toDF("row", "root").join(table.select("row", "doc_id"), "row")
+    named = staged(named, "named")
+    low = named.groupBy("root").agg(F.min(F.struct(F.coalesce("doc_id", F.lit(2**63 - 1)).alias("i"), "row")).alias("low"))
+    gone = named.join(low, "root").where("row <> low.row").select("row")
     return rows.join(gone, "row", "left_anti").select(*[F.col(f"c{k}").alias(c) for k, c in enumerate(names)])
