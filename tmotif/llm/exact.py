@@ -27,7 +27,7 @@ from tmotif.llm.common import NO_ID, SPACE_CLASS, in_arrow, staged, text_table,
 SLICE_ROWS = 200_000
 #: Sixteen runs meet in a round.
 FAN_BITS = 4
-RUN = np.dtype([("d0", ">u8"), ("d1", ">u8"), ("d2", ">u8"), ("d3", ">u8"), ("check", "<i8"), ("size", "<i8"), ("id", "<i8"), ("row", "<i8"), ("n", "<i8")])
+RUN = np.dtype([("d0", "<u8"), ("d1", "<u8"), ("d2", "<u8"), ("d3", "<u8"), ("check", "<i8"), ("size", "<i8"), ("id", "<i8"), ("row", "<i8"), ("n", "<i8")])
 KEY = ["d0", "d1", "d2", "d3", "check", "size"]
 
 
@@ -57,7 +57,7 @@ def _runs(slices: int):
             run["check"], run["size"] = cols["check"].to_numpy(zero_copy_only=False), cols["size"].to_numpy(zero_copy_only=False)
             run["id"] = cols["doc_id"].fill_null(int(NO_ID)).to_numpy(zero_copy_only=False)
             run["row"], run["n"] = cols["row"].to_numpy(zero_copy_only=False), 1
-            which = (run["d0"].astype("u8") >> np.uint64(32)) * np.uint64(slices) >> np.uint64(32)
+            which = (run["d0"] >> np.uint64(32)) * np.uint64(slices) >> np.uint64(32)
             for s in np.unique(which):
                 held.setdefault(int(s), []).append(merged([run[which == s]]))
                 if len(held[int(s)]) >= 16:
@@ -81,7 +81,7 @@ def _entries(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for raw in batch.column(0).to_pylist():
             run = np.frombuffer(raw, RUN)
             run = run[run["n"] > 1]
-            sha = np.stack([run[f"d{k}"] for k in range(4)], axis=1).tobytes() if len(run) else b""
+            sha = np.stack([run[f"d{k}"] for k in range(4)], axis=1).astype(">u8").tobytes()
             ids = run["id"].astype("<i8")
             yield pa.RecordBatch.from_arrays([pa.array([sha[32 * k : 32 * k + 32] for k in range(len(run))], pa.binary()), pa.array(run["check"].astype("<i8")), pa.array(run["size"].astype("<i8")), pa.array(ids, mask=ids == NO_ID), pa.array(run["row"].astype("<i8")), pa.array(run["n"].astype("<i8"))], ["sha", "check", "size", "keep_id", "keep_row", "group_size"])
 
