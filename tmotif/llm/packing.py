@@ -83,7 +83,8 @@ def _pieces(path: str, size: int, end: int, with_ids: bool):
 
 def _placed(lengths: np.ndarray, firsts: np.ndarray, sequences: np.ndarray, offsets: np.ndarray):
     """Slots sorted by (length, first rank): the slot of a piece is the last one at or below its (length, rank)."""
-    starts = {int(k): (a, b) for k, a, b in zip(*(lambda u, i: (u, i, [*i[1:], len(lengths)]))(*np.unique(lengths, return_index=True)), strict=True)}
+    present, first = np.unique(lengths, return_index=True)
+    starts = {int(k): (int(a), int(b)) for k, a, b in zip(present, first, np.append(first[1:], len(lengths)), strict=False)}
 
     def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:

@@ -30,6 +30,8 @@ LARGEST = 1 << 22
 #: Quantile of the trusted documents' perplexities, and the slack on it.
 QUANTILE = 0.995
 SLACK = 1.1
+#: Least discount, so that every n-gram has a chance.
+LEAST_CUT = 0.1
 #: Ids of trusted documents that may be broadcast; more are joined by a shuffle.
 BROADCAST_IDS = 2_000_000
 
@@ -90,7 +92,7 @@ def _discounts(counts: DataFrame):
     if not (n1 and n2 and n3):
         return 0.5, 0.75, 0.9
     y = n1 / (n1 + 2 * n2)
-    return max(0.0, 1 - 2 * y * n2 / n1), max(0.0, 2 - 3 * y * n3 / n2), max(0.0, 3 - 4 * y * (n4 or 1) / n3)
+    return max(LEAST_CUT, 1 - 2 * y * n2 / n1), max(LEAST_CUT, 2 - 3 * y * n3 / n2), max(LEAST_CUT, 3 - 4 * y * (n4 or 1) / n3)
 
 
 def probabilities(counts: DataFrame, order: int = ORDER) -> list[tuple[DataFrame, DataFrame]]:
