@@ -7,6 +7,7 @@ from functools import reduce
 import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import LongType
 
 from tmotif.functions.motif import Anchor, Motif
 from tmotif.sources.graph import TemporalGraph
@@ -83,7 +84,7 @@ def scan_order(ties: str) -> Column:
     return -F.col("pos") if ties == "strict" else F.col("pos")
 
 
-@F.pandas_udf("bigint")
+@F.pandas_udf(LongType())
 def chain_count(times: pd.Series, positions: pd.Series, length: pd.Series) -> pd.Series:
     """Chains of parallel arrays of times and positions in scan order."""
     out = []
