@@ -168,7 +168,8 @@ def test_random_motif_against_duckdb(spark, replies):
     from tmotif.plans.oracles import self_join
 
     m = Motif.parse("AB CB BD AC", "own")
-    edges = replies.edges.toPandas()  # noqa: F841
+    con = duckdb.connect()
+    con.register("edges", replies.edges.select("eid", "src", "dst", "t").toPandas())
     tables, tests = self_join(m, 2 * DAY)
-    want = duckdb.sql(f"SELECT count(*) FROM {tables} WHERE {tests}").fetchone()[0]
+    want = con.execute(f"SELECT count(*) FROM {tables} WHERE {tests}").fetchone()[0]
     assert census(replies, m, 2 * DAY).first()["count"] == want == exact.exact_backtrack(replies, m, 2 * DAY).first()["count"]

@@ -102,6 +102,8 @@ def extend_count(paths: DataFrame, tg: TemporalGraph, motif: Motif, anchor: Anch
     impl: 'fold' (one array per path), 'window' (running sums, nothing gathered), 'arrow' (an Arrow function over the arrays).
     """
     length, times = len(motif.edges), anchor_times(anchor)
+    if ties != "strict" and len(set(motif.edges)) < length:
+        raise ValueError("weak ties would let one edge serve two parallel pattern edges; use an exact counter")
     free = length - len(times)
     if not free:
         return paths.select("draw", F.lit(1).cast("bigint").alias("x"))

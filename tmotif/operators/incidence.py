@@ -17,7 +17,7 @@ def ranked_incidence(tg: TemporalGraph, delta: int) -> DataFrame:
 
 def window_bounds(t: Column, side: str, delta: int, ties: str = "strict") -> tuple[Column, Column]:
     """(x, y): an edge at time s is in the window if x <= s < y."""
-    if ties == "closed":
+    if ties in ("closed", "weak"):
         return (t - delta, t + 1) if side == "<" else (t, t + delta + 1)
     return (t - delta, t) if side == "<" else (t + 1, t + delta + 1)
 
@@ -34,7 +34,8 @@ def windowed_degrees(tg: TemporalGraph, delta: int, cls: PathClass | WedgeClass,
 
     sweep: probes and list entries in one sort and one running count. frame: a
     range frame over the lists (n only, for cross-checks). closed ties count
-    edges at the center's own time, but never the center itself.
+    edges at the center's own time, but never the center itself; weak ones count
+    that too, so that ranks stay gapless (it fails the check of distinct vertices).
     """
     edges = tg.edges.select("eid", "src", "dst", "t")
     ends = class_ends(cls)

@@ -51,7 +51,9 @@ def running_total(rows: DataFrame, value: Column, order: list[str], name: str, b
     for c in cuts:
         part = part + (F.col("t") >= c).cast("int")
     rows = rows.withColumn("part", part)
+    within = F.coalesce(F.sum("value_").over(Window.partitionBy("part").orderBy(*order).rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    if not cuts:  # one bucket has no offset
+        return rows.withColumn(name, within).drop("value_")
     whole = rows.groupBy("part").agg(F.sum("value_").alias("held"))
     offsets = whole.select("part", F.coalesce(F.sum("held").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("offset"))  # a row for each bucket
-    within = F.coalesce(F.sum("value_").over(Window.partitionBy("part").orderBy(*order).rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
     return rows.withColumn("within_", within).join(offsets, "part").withColumn(name, F.col("within_") + F.col("offset")).drop("value_", "within_", "offset")

@@ -30,8 +30,8 @@ class Prepared:
     w_total: int
 
 
-def prepare(tg: TemporalGraph, delta: int, cls, sampler: str = "centered", buckets: int | None = None) -> Prepared:
-    weighted = static_weights(tg, cls) if sampler == "static" else weights(tg, delta, cls)
+def prepare(tg: TemporalGraph, delta: int, cls, sampler: str = "centered", buckets: int | None = None, ties: str = "strict") -> Prepared:
+    weighted = static_weights(tg, cls) if sampler == "static" else weights(tg, delta, cls, ties=ties)
     weighted = weighted.persist()
     return Prepared(tg, delta, cls, with_offsets(weighted, buckets=buckets), total(weighted))
 
@@ -107,7 +107,7 @@ def estimate(tg: TemporalGraph, which: str | Motif, delta: int, k: int, seed: in
         paths, w_total = ablation.constrained_paths(tg, m, chosen, delta, k, seed)
         prepared = Prepared(tg, delta, chosen.cls, tg.edges, w_total)
     else:
-        prepared = prepared or prepare(tg, delta, chosen.cls, sampler)
+        prepared = prepared or prepare(tg, delta, chosen.cls, sampler, ties=ties)
         w_total = prepared.w_total
         paths = sample_paths(tg, prepared.centers, w_total, delta, chosen.cls, k, seed, scheme)
     counted = completions(prepared, m, chosen, paths, ties, impl)
@@ -181,7 +181,7 @@ def census(tg: TemporalGraph, which, delta: int, anchor="first", ties: str = "st
 def census_rows(tg: TemporalGraph, which, delta: int, anchor="first", ties: str = "strict", impl: str = "fold") -> tuple[DataFrame, int, Motif]:
     m = motif(which)
     chosen = choose_anchor(tg, m, delta, anchor)
-    prepared = prepare(tg, delta, chosen.cls)
+    prepared = prepare(tg, delta, chosen.cls, ties=ties)
     paths = list_paths(tg, prepared.centers, delta, chosen.cls)
     return completions(prepared, m, chosen, paths, ties, impl), prepared.w_total, m
 
