@@ -7,7 +7,6 @@ import math
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tmotif.functions.motif import motif
 from tmotif.plans.estimate import census, census_rows, estimate, estimate_seeds
 from tmotif.sources.graph import TemporalGraph
 
@@ -80,5 +79,3 @@ def table_bytes(df: DataFrame) -> int:
     """Catalyst's estimate of the bytes of a table or an operator's result."""
     return int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes().toString())
 
-
-__all__ = ["accuracy", "anchor_stats", "b_quantile", "count_ratios", "count_table", "heuristic_seconds", "hit_rates", "motif", "relative_error", "speedup", "table_bytes"]
