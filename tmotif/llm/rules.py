@@ -33,7 +33,9 @@ THRESHOLDS = (
 
 
 def _is_one_of(words: tuple[str, ...]):
-    return lambda w: F.translate(w, ".,;:", "").isin(*words)
+    """With at most one mark behind the word; the set is looked up by hash."""
+    forms = [w + mark for w in words for mark in ("", *".,;:")]
+    return lambda w: w.isin(*forms)
 
 
 def measures(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str | None = "lang") -> DataFrame:
@@ -45,7 +47,7 @@ def measures(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", la
     lines = F.filter(F.split("text", "\n"), lambda x: F.length(F.translate(x, SPACES, "")) > 0)
     rows = rows.select("doc_id", "lang", "text", words.alias("words"), lines.alias("lines"))
     n = F.size("words")
-    windows = F.when(n >= 3, F.transform(F.sequence(F.lit(0), n - 3), lambda i: F.struct(F.xxhash64(F.col("words")[i], F.col("words")[i + 1], F.col("words")[i + 2]).alias("h"), i.alias("p")))).otherwise(F.array().cast("array<struct<h:bigint,p:int>>"))
+    windows = F.when(n >= 3, F.transform(F.sequence(F.lit(0), n - 3), lambda i: F.xxhash64(F.get("words", i), F.get("words", i + 1), F.get("words", i + 2)))).otherwise(F.array().cast("array<bigint>"))
     stops = [F.when(F.col("lang") == k, F.size(F.filter("words", _is_one_of(v)))) for k, v in STOP_WORDS.items()]
     rows = rows.select(
         "doc_id",
@@ -56,9 +58,12 @@ def measures(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", la
         F.size("lines").cast("long").alias("n_lines"),
         (F.size("lines") - F.size(F.array_distinct("lines"))).cast("long").alias("n_dup_lines"),
         F.coalesce(*stops).cast("long").alias("n_stop_words"),
-        F.array_sort(windows).alias("windows"),
+        windows.alias("windows"),
     )
-    return rows.select(*[c for c in rows.columns if c != "windows"], covered(F.col("windows")).alias("n_repeat_words"))
+    # one hash pass finds the texts that repeat nothing; only the others are sorted
+    repeats = F.size(F.array_distinct("windows")) < F.size("windows")
+    rows = rows.withColumn("windows", F.when(repeats, F.array_sort(F.transform("windows", lambda h, i: F.struct(h.alias("h"), i.alias("p"))))))
+    return rows.select(*[c for c in rows.columns if c != "windows"], F.coalesce(covered(F.col("windows")), F.lit(0).cast("long")).alias("n_repeat_words"))
 
 
 def covered(windows: Column) -> Column:
