@@ -26,7 +26,7 @@ SOLID = re.compile(f"[^{WHITE}]+")
 LATIN = "A-Za-z\xc0-\xd6\xd8-\xf6\xf8-\u024f"
 BEYOND_LATIN = re.compile(f"[^\x00-\x7f{LATIN}]")
 #: Entries of one generation of a worker's table.
-HELD = 600_000
+HELD = 300_000
 
 
 def byte_symbols() -> list[str]:
@@ -43,22 +43,23 @@ def stand_in(piece: str) -> str:
 
 
 class Held(dict):
-    """Two generations of bounded size: what is met again moves on, the rest goes."""
+    """key -> make(key), in two generations of bounded size: what is met again moves on, the rest goes."""
 
-    def __init__(self):
+    def __init__(self, make):
         super().__init__()
+        self.make = make
         self.old: dict[str, bytes] = {}
 
-    def __missing__(self, key):
-        self[key] = value = self.old[key]
-        return value
-
-    def put(self, key: str, value: bytes) -> None:
-        if len(self) >= HELD:
-            self.old = dict(self)
-            self.clear()
+    def __missing__(self, key: str) -> bytes:
+        value = self.old.get(key)
+        if value is None:
+            value = self.make(key)
         if len(key) <= 64:
+            if len(self) >= HELD:
+                self.old = dict(self)
+                self.clear()
             self[key] = value
+        return value
 
 
 class Encoder:
@@ -89,7 +90,7 @@ class Encoder:
             pattern = self.rules["pre_tokenizer"]["pretokenizers"][0]["pattern"]["Regex"]
             self.split = regex.compile(pattern).findall
             self.latin = re.compile(pattern.replace(r"\p{L}", LATIN).replace(r"\p{N}", "0-9"), re.ASCII).findall
-            self.chunks, self.pieces = Held(), Held()
+            self.chunks, self.pieces = Held(self.solid), Held(self.piece)
             self.merge = merge or (lambda piece: [t.id for t in self.library.model.tokenize(piece)])
 
     def __call__(self, text: str) -> bytes:
@@ -97,33 +98,20 @@ class Encoder:
             if any(s in text for s in self.special):
                 return array("I", self.library.encode(text, add_special_tokens=False).ids).tobytes()
             return self.ordinary(text).tobytes()
-        chunks, held = SOLID.findall(text) if SEPARATORS.search(text) else text.split(), self.chunks
-        try:
-            return b"".join([held[c] for c in chunks])
-        except KeyError:
-            out = []
-            for c in chunks:
-                try:
-                    ids = held[c]
-                except KeyError:
-                    held.put(c, ids := self.solid(c))
-                out.append(ids)
-            return b"".join(out)
+        chunks = SOLID.findall(text) if SEPARATORS.search(text) else text.split()
+        return b"".join(map(self.chunks.__getitem__, chunks))
 
     def solid(self, chunk: str) -> bytes:
         """Of text without white space."""
         if any(s in chunk for s in self.special):
             parts = re.split(f"({'|'.join(map(re.escape, self.special))})", chunk)
             return b"".join(array("I", [self.special[x]]).tobytes() if k % 2 else self.solid(x) for k, x in enumerate(parts) if x)
-        lower, out = chunk.lower(), []
+        lower = chunk.lower()
         pieces = self.split(self.library.normalizer.normalize_str(chunk)) if BEYOND_LATIN.search(lower) else self.latin(lower)
-        for piece in pieces:
-            try:
-                ids = self.pieces[piece]
-            except KeyError:
-                self.pieces.put(piece, ids := array("I", self.merge(stand_in(piece))).tobytes())
-            out.append(ids)
-        return b"".join(out)
+        return b"".join(map(self.pieces.__getitem__, pieces))
+
+    def piece(self, piece: str) -> bytes:
+        return array("I", self.merge(stand_in(piece))).tobytes()
 
 
 _ENCODERS: dict[tuple, Encoder] = {}
