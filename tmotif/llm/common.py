@@ -58,6 +58,30 @@ def text_table(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"), *more)
 
 
+#: Row numbers that may be broadcast (16 MB); more are joined by a shuffle.
+BROADCAST_ROWS = 2_000_000
+
+
+def small(rows: DataFrame) -> DataFrame:
+    """Rows of a staged one-column table of numbers, to be broadcast if there are at most BROADCAST_ROWS."""
+    return F.broadcast(rows) if rows.count() <= BROADCAST_ROWS else rows
+
+
+def numbered(docs: DataFrame, stable: bool) -> DataFrame:
+    """docs as c0, c1, .. and row, a number of each row that stays the same whenever the result is read.
+
+    stable says that docs is a plain scan of files that don't change, whose rows
+    Spark numbers alike each time; anything else is staged first.
+    """
+    out = docs.select(*[F.col(f"`{c}`").alias(f"c{k}") for k, c in enumerate(docs.columns)], F.monotonically_increasing_id().alias("row"))
+    return out if stable else staged(out, "rows")
+
+
+def without(rows: DataFrame, gone: DataFrame, names: list[str]) -> DataFrame:
+    """numbered() rows except those numbers, under their own column names."""
+    return rows.join(small(staged(gone, "gone")), "row", "left_anti").select(*[F.col(f"c{k}").alias(c) for k, c in enumerate(names)])
+
+
 def in_arrow(df: DataFrame, function, schema: str) -> DataFrame:
     workers_see_package(df.sparkSession)
     return df.mapInArrow(function, schema)

@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tmotif.llm.common import NO_ID, SPACE_CLASS, in_arrow, staged, text_table, workers_see_package
+from tmotif.llm.common import NO_ID, SPACE_CLASS, in_arrow, numbered, staged, text_table, without, workers_see_package
 
 #: Rows of a slice of the digest space on average, before merging.
 SLICE_ROWS = 200_000
@@ -127,17 +127,14 @@ def exact_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     )
 
 
-def drop_exact_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def drop_exact_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", stable: bool = False) -> DataFrame:
     """The rows of docs that exact_dedup keeps, with all their columns.
 
-    Rows are numbered once, in the staged copy, and dropped by that number, so
-    repeated ids and rows are told apart.
+    Rows are dropped by number, so repeated ids and rows are told apart; for stable see numbered.
     """
     names = docs.columns
-    numbered = staged(docs.select(*[F.col(f"`{c}`").alias(f"c{k}") for k, c in enumerate(names)], F.monotonically_increasing_id().alias("at")), "rows")
+    rows = numbered(docs, stable)
     own = f"c{names.index(id_col)}", f"c{names.index(text_col)}"
-    plain = numbered.select(F.col(own[0]).cast("long").alias("doc_id"), F.col("at").alias("row"), F.regexp_replace(F.coalesce(F.col(own[1]), F.lit("")), SPACE_CLASS, " ").alias("plain"))
+    plain = rows.select(F.col(own[0]).cast("long").alias("doc_id"), "row", F.regexp_replace(F.coalesce(F.col(own[1]), F.lit("")), SPACE_CLASS, " ").alias("plain"))
     table = staged(plain.select("doc_id", "row", F.unhex(F.sha2("plain", 256)).alias("sha"), F.xxhash64("plain").alias("check"), F.octet_length("plain").cast("long").alias("size")), "digests")
-    groups = tree_merge(table)
-    gone = table.join(groups, ["sha", "check", "size"]).where("row <> keep_row").select(F.col("row").alias("at"))
-    return numbered.join(gone, "at", "left_anti").select(*[F.col(f"c{k}").alias(c) for k, c in enumerate(names)])
+    return without(rows, table.join(tree_merge(table), ["sha", "check", "size"]).where("row <> keep_row").select("row"), names)

@@ -34,6 +34,8 @@ SLACK = 1.1
 LEAST_CUT = 0.1
 #: Ids of trusted documents that may be broadcast; more are joined by a shuffle.
 BROADCAST_IDS = 2_000_000
+#: Languages whose limits may be broadcast; more are joined by a shuffle.
+BROADCAST_LANGS = 100_000
 
 
 def _classes() -> np.ndarray:
@@ -177,12 +179,15 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
     table = model_table(count_grams(trusted.select("text"), order), order)
     scores = staged(scored(trusted, table, order=order).select("lang", "score"), "scores")
     limit = (F.percentile_approx("score", quantile, 10_000) * slack).alias("limit")
-    return table, scores.groupBy("lang").agg(limit).union(scores.agg(F.lit(None).cast("string").alias("lang"), limit))
+    limits = scores.groupBy("lang").agg(limit).union(scores.agg(F.lit(None).cast("string").alias("lang"), limit))
+    return table, staged(limits, "limits")
 
 
 def judged(rows: DataFrame, limits: DataFrame, lang: str) -> DataFrame:
     """Adds limit and kept to rows with score: kept if score is at most the limit of the language."""
     own = limits.where("lang is not null").select(F.col("lang").alias("limit_lang"), F.col("limit").alias("own_limit"))
+    if limits.count() <= BROADCAST_LANGS:
+        own = F.broadcast(own)
     rest = limits.where("lang is null").agg(F.max("limit").alias("any_limit"))
     rows = rows.join(own, F.coalesce(F.col(lang), F.lit("")) == F.col("limit_lang"), "left").crossJoin(F.broadcast(rest))  # one row
     limit = F.coalesce("own_limit", "any_limit")

@@ -25,7 +25,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tmotif.llm.common import components, in_arrow, staged, text_table
+from tmotif.llm.common import components, in_arrow, numbered, small, staged, text_table, without
 
 SEGMENTS = 16
 CROWD = 64
@@ -168,27 +168,21 @@ def ring_of(hashes: np.ndarray) -> np.ndarray:
     return out
 
 
-def _chain_keys(rings: np.ndarray, length: int) -> np.ndarray:
-    """A key for each run of so many segments of each ring, its start included."""
-    key = np.repeat(np.arange(1, RING + 1, dtype=np.uint64)[None, :] * np.uint64(0x9E3779B97F4A7C15), len(rings), axis=0) ^ np.uint64(length)
-    for k in range(length):
-        key = (key ^ np.roll(rings, -k, axis=1)) * np.uint64(0xFF51AFD7ED558CCD)
-        key ^= key >> np.uint64(31)
-    return key.view(np.int64)
+def _chain_keys(length: int):
+    """A key for each run of so many segments of column ring, its start included."""
+    parts = lambda i: [F.get("ring", (i + k) % RING) for k in range(length)]
+    return F.transform(F.sequence(F.lit(0), F.lit(RING - 1)), lambda i: F.xxhash64(F.lit(length), i, *parts(i)))
 
 
 def _rings(width: int):
     def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        longs = pa.list_(pa.int64())
         for batch in batches:
             rings, prints = [], []
             for t in batch.column(2):
                 hashes = shingle_hashes(t.as_buffer().to_pybytes(), width)
-                rings.append(ring_of(hashes))
+                rings.append(ring_of(hashes).astype(np.uint32).view(np.int32))  # the low half: the high bits name the share
                 prints.append(_bits(hashes) if len(hashes) else 0)
-            rings = np.array(rings, np.uint64).reshape(len(prints), RING)
-            lists = [pa.array([*x], longs) for x in (rings.view(np.int64), *(_chain_keys(rings, n) for n in (3, *CHAINS)))]
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(prints, pa.int64()), *lists], ["row", "doc_id", "fp", "ring", "k3", *(f"k{n}" for n in CHAINS)])
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(prints, pa.int64()), pa.array(rings, pa.list_(pa.int32()))], ["row", "doc_id", "fp", "ring"])
 
     return make
 
@@ -203,7 +197,7 @@ def _sets(width: int):
 
 
 def similar_links(rows: DataFrame, width: int = 5, similarity: float = SIMILAR, crowd: int = CROWD) -> tuple[DataFrame, DataFrame]:
-    """The staged rings of rows (row, doc_id, text), and links (a, b) of row numbers whose shingle sets have at least the similarity.
+    """The staged rings of numbered rows (row, doc_id, text), and links (a, b) of row numbers whose shingle sets have at least the similarity.
 
     Candidates share a chain of three equal segments, the longest that a budget of RING_DIFFER in RING
     leaves without difference; then come the budgets of the longer chains from that start, the
@@ -211,8 +205,8 @@ def similar_links(rows: DataFrame, width: int = 5, similarity: float = SIMILAR,
     more than crowd rows share each row meets the key's smallest row only, and also the smallest
     rows of its keys of longer chains, which are ever fewer; all links are checked alike.
     """
-    table = staged(in_arrow(rows.select("row", "doc_id", F.col("text").cast("binary")), _rings(width), "row long, doc_id long, fp long, ring array<long>, k3 array<long>, " + ", ".join(f"k{n} array<long>" for n in CHAINS)), "rings")
-    keyed = table.select("row", F.explode("k3").alias("key"))
+    table = staged(in_arrow(rows.select("row", "doc_id", F.col("text").cast("binary")), _rings(width), "row long, doc_id long, fp long, ring array<int>"), "rings")
+    keyed = table.select("row", F.explode(_chain_keys(3)).alias("key"))
     met = staged(keyed.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.min("row").alias("hub")).where("n > 1"), "met")
     members = keyed.join(met, "key")
     few = members.where(F.col("n") <= crowd).select("key", "row")
@@ -220,7 +214,7 @@ def similar_links(rows: DataFrame, width: int = 5, similarity: float = SIMILAR,
     many = members.where(F.col("n") > crowd)
     stars = many.where("row <> hub").select(F.col("hub").alias("a"), F.col("row").alias("b"))
     crowded = many.select("row").distinct()
-    longer = table.join(crowded, "row", "left_semi").select("row", F.explode(F.concat(*[f"k{n}" for n in CHAINS])).alias("key"))
+    longer = table.join(crowded, "row", "left_semi").select("row", F.explode(F.concat(*[_chain_keys(n) for n in CHAINS])).alias("key"))
     hubs = longer.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.min("row").alias("hub")).where("n > 1")
     stars = stars.union(longer.join(hubs, "key").where("row <> hub").select(F.col("hub").alias("a"), F.col("row").alias("b")))
     pairs = pairs.union(stars).distinct()
@@ -228,22 +222,22 @@ def similar_links(rows: DataFrame, width: int = 5, similarity: float = SIMILAR,
     checked = pairs.join(side("a"), "a").join(side("b"), "b")
     differ = F.aggregate(F.zip_with("ra", "rb", lambda x, y: F.when(x == y, 0).otherwise(1)), F.lit(0), lambda n, x: n + x)
     near = staged(checked.where(F.bit_count(F.col("fa").bitwiseXOR(F.col("fb"))) <= FAR_BITS).where(differ <= RING_DIFFER + 2).select("a", "b"), "near")
-    wanted = near.select(F.explode(F.array("a", "b")).alias("row")).distinct()
+    wanted = small(staged(near.select(F.explode(F.array("a", "b")).alias("row")).distinct(), "wanted"))
     sets = staged(in_arrow(rows.join(wanted, "row", "left_semi").select("row", F.col("text").cast("binary")), _sets(width), "row long, hashes array<long>"), "sets")
     both = near.join(sets.select(F.col("row").alias("a"), F.col("hashes").alias("ha")), "a").join(sets.select(F.col("row").alias("b"), F.col("hashes").alias("hb")), "b")
     common = F.size(F.array_intersect("ha", "hb"))
     return table, both.where(common >= similarity * (F.size("ha") + F.size("hb") - common)).select("a", "b")
 
 
-def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, similarity: float = SIMILAR) -> DataFrame:
+def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, similarity: float = SIMILAR, stable: bool = False) -> DataFrame:
     """docs with one row of each near-duplicate group, the one with the smallest id (null ids last); all columns stay.
 
     A group is connected by links of at least the similarity over sets of five-word shingles. Rows
     without words are copies of each other. Keys are rare by construction; see similar_links for
-    how crowded ones are handled, and the README for the measured recall.
+    how crowded ones are handled, and the README for the measured recall. For stable see numbered.
     """
     names = docs.columns
-    rows = staged(docs.select(*[F.col(f"`{c}`").alias(f"c{k}") for k, c in enumerate(names)], F.monotonically_increasing_id().alias("row")), "rows")
+    rows = numbered(docs, stable)
     ids, text = f"c{names.index(id_col)}", f"c{names.index(text_col)}"
     table, found = similar_links(rows.select("row", F.col(ids).cast("long").alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text")), width, similarity)
     named = components(found)
@@ -251,4 +245,4 @@ def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
     named = staged(named, "named")
     low = named.groupBy("root").agg(F.min(F.struct(F.coalesce("doc_id", F.lit(2**63 - 1)).alias("i"), "row")).alias("low"))
     gone = named.join(low, "root").where("row <> low.row").select("row")
-    return rows.join(gone, "row", "left_anti").select(*[F.col(f"c{k}").alias(c) for k, c in enumerate(names)])
+    return without(rows, gone, names)
