@@ -25,7 +25,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tmotif.llm.common import components, in_arrow, numbered, small, staged, text_table, without
+from tmotif.llm.common import components, in_arrow, numbered, small, staged, text_table, without, workers_see_package
 
 SEGMENTS = 16
 CROWD = 64
@@ -196,14 +196,78 @@ def _sets(width: int):
     return make
 
 
+#: Most rows and shingle hashes of a block of a crowd: what one task compares is two blocks.
+BLOCK_ROWS, BLOCK_HASHES = 2048, 1 << 18
+
+
+def _met_in_blocks(similarity: float):
+    """Links between the rows of two blocks (or within one) whose sets have the similarity, as few as connect what they connect beyond the roots given."""
+
+    def compare(cell: pa.Table) -> pa.Table:
+        rows, roots, salts = cell["row"].to_pylist(), cell["root"].to_pylist(), cell["salt"].to_numpy()
+        sets = [np.array(h, np.int64) for h in cell["hashes"].to_pylist()]
+        parent = {r: r for r in roots}
+
+        def root(x: int) -> int:
+            while parent[x] != x:
+                parent[x] = parent[parent[x]]
+                x = parent[x]
+            return x
+
+        left, right = np.flatnonzero(salts == cell["lo"][0].as_py()), np.flatnonzero(salts == cell["hi"][0].as_py())
+        sizes = np.array([len(sets[i]) for i in left], np.int64)
+        hashes, owners = np.concatenate([np.zeros(0, np.int64), *[sets[i] for i in left]]), np.repeat(np.arange(len(left)), sizes)
+        order = np.argsort(hashes, kind="stable")
+        hashes, owners = hashes[order], owners[order]
+        apart, out = len(parent), []
+        for j in right.tolist():
+            if apart == 1:
+                break
+            first = np.searchsorted(hashes, sets[j], "left")
+            many = np.searchsorted(hashes, sets[j], "right") - first
+            common = np.bincount(owners[np.arange(many.sum()) + np.repeat(first - np.cumsum(many) + many, many)], minlength=len(left))
+            for i in left[common >= similarity * (sizes + len(sets[j]) - common)].tolist():
+                x, y = root(roots[i]), root(roots[j])
+                if x != y:
+                    parent[max(x, y)] = min(x, y)
+                    apart -= 1
+                    out.append((rows[i], rows[j]))
+        return pa.table({"a": pa.array([p[0] for p in out], pa.int64()), "b": pa.array([p[1] for p in out], pa.int64())})
+
+    return compare
+
+
+def crowd_links(many: DataFrame, found: DataFrame, sets: DataFrame, similarity: float) -> DataFrame | None:
+    """Links (a, b) that connect the rows of crowded keys (key, row) exactly, beyond the links found so far; None if those connect each key already.
+
+    Rows that share a key, or a chain of keys, whose members are not yet connected are one crowd. A crowd is
+    dealt to blocks of bounded size by a hash of the row; each two blocks are compared whole in one task.
+    """
+    named = components(found)
+    rooted = many.join(named, many["row"] == named["node"], "left").select("key", "row", F.coalesce("root", "row").alias("root"))
+    open_keys = rooted.groupBy("key").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low <> high").select("key", "low")
+    rooted = staged(rooted.join(open_keys, "key").select("low", "row", "root").distinct(), "crowded")
+    if rooted.isEmpty():
+        return None
+    crowds = components(rooted.select("low", "root").distinct())
+    rows = rooted.select("row", "root").distinct().join(crowds.withColumnsRenamed({"node": "n0", "root": "crowd"}), F.col("root") == F.col("n0"), "left")
+    rows = staged(rows.select("row", "root", F.coalesce("crowd", "root").alias("crowd")).join(sets.select("row", F.size("hashes").alias("n")), "row"), "crowds")
+    blocks = rows.groupBy("crowd").agg(F.greatest(F.ceil(F.count(F.lit(1)) / BLOCK_ROWS), F.ceil(F.sum("n") / BLOCK_HASHES), F.lit(1)).alias("blocks"))
+    dealt = rows.join(blocks, "crowd").withColumn("salt", F.pmod(F.xxhash64("row"), "blocks")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    dealt = dealt.select("crowd", F.least("salt", "other").alias("lo"), F.greatest("salt", "other").alias("hi"), "salt", "row", "root").join(sets, "row")
+    workers_see_package(many.sparkSession)
+    return dealt.groupBy("crowd", "lo", "hi").applyInArrow(_met_in_blocks(similarity), "a long, b long")
+
+
 def similar_links(rows: DataFrame, width: int = 5, similarity: float = SIMILAR, crowd: int = CROWD) -> tuple[DataFrame, DataFrame]:
     """The staged rings of numbered rows (row, doc_id, text), and links (a, b) of row numbers whose shingle sets have at least the similarity.
 
     Candidates share a chain of three equal segments, the longest that a budget of RING_DIFFER in RING
     leaves without difference; then come the budgets of the longer chains from that start, the
     SimHash distance, and the Jaccard similarity of the whole shingle sets. In a key that
-    more than crowd rows share each row meets the key's smallest row only, and also the smallest
-    rows of its keys of longer chains, which are ever fewer; all links are checked alike.
+    more than crowd rows share each row first meets the key's smallest row, and the smallest
+    rows of its keys of longer chains, which are ever fewer; keys that these links leave
+    in parts have all their rows compared, see crowd_links.
     """
     table = staged(in_arrow(rows.select("row", "doc_id", F.col("text").cast("binary")), _rings(width), "row long, doc_id long, fp long, ring array<int>"), "rings")
     keyed = table.select("row", F.explode(_chain_keys(3)).alias("key"))
@@ -211,7 +275,7 @@ def similar_links(rows: DataFrame, width: int = 5, similarity: float = SIMILAR,
     members = keyed.join(met, "key")
     few = members.where(F.col("n") <= crowd).select("key", "row")
     pairs = few.select("key", F.col("row").alias("a")).join(few.select("key", F.col("row").alias("b")), "key").where("a < b").select("a", "b")
-    many = members.where(F.col("n") > crowd)
+    many = staged(members.where(F.col("n") > crowd).select("key", "row", "hub"), "many")
     stars = many.where("row <> hub").select(F.col("hub").alias("a"), F.col("row").alias("b"))
     crowded = many.select("row").distinct()
     longer = table.join(crowded, "row", "left_semi").select("row", F.explode(F.concat(*[_chain_keys(n) for n in CHAINS])).alias("key"))
@@ -222,19 +286,21 @@ def similar_links(rows: DataFrame, width: int = 5, similarity: float = SIMILAR,
     checked = pairs.join(side("a"), "a").join(side("b"), "b")
     differ = F.aggregate(F.zip_with("ra", "rb", lambda x, y: F.when(x == y, 0).otherwise(1)), F.lit(0), lambda n, x: n + x)
     near = staged(checked.where(F.bit_count(F.col("fa").bitwiseXOR(F.col("fb"))) <= FAR_BITS).where(differ <= RING_DIFFER + 2).select("a", "b"), "near")
-    wanted = small(staged(near.select(F.explode(F.array("a", "b")).alias("row")).distinct(), "wanted"))
+    wanted = small(staged(near.select(F.explode(F.array("a", "b")).alias("row")).union(crowded).distinct(), "wanted"))
     sets = staged(in_arrow(rows.join(wanted, "row", "left_semi").select("row", F.col("text").cast("binary")), _sets(width), "row long, hashes array<long>"), "sets")
     both = near.join(sets.select(F.col("row").alias("a"), F.col("hashes").alias("ha")), "a").join(sets.select(F.col("row").alias("b"), F.col("hashes").alias("hb")), "b")
     common = F.size(F.array_intersect("ha", "hb"))
-    return table, both.where(common >= similarity * (F.size("ha") + F.size("hb") - common)).select("a", "b")
+    found = staged(both.where(common >= similarity * (F.size("ha") + F.size("hb") - common)).select("a", "b"), "found")
+    more = None if many.isEmpty() else crowd_links(many.select("key", "row"), found, sets, similarity)
+    return table, found if more is None else found.union(more)
 
 
 def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, similarity: float = SIMILAR, stable: bool = False) -> DataFrame:
     """docs with one row of each near-duplicate group, the one with the smallest id (null ids last); all columns stay.
 
     A group is connected by links of at least the similarity over sets of five-word shingles. Rows
-    without words are copies of each other. Keys are rare by construction; see similar_links for
-    how crowded ones are handled, and the README for the measured recall. For stable see numbered.
+    without words are copies of each other. See similar_links for how candidates are met, and
+    the README for the measured recall. For stable see numbered.
     """
     names = docs.columns
     rows = numbered(docs, stable)
