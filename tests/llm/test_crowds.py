@@ -2,6 +2,7 @@
 
 import random
 
+import numpy as np
 import pytest
 from brute import components
 
@@ -35,3 +36,28 @@ def test_star_of_near_copies(spark, monkeypatch, rows):
     assert len(want) == 6
     df = spark.createDataFrame(list(texts.items()), "doc_id bigint, text string").repartition(3)
     assert {r["doc_id"] for r in simhash.drop_near_copies(df).collect()} == want
+
+
+def test_short_near_copies(spark):
+    """Texts of few shingles, with a word more or less at the end or another one in place of it."""
+    rnd = random.Random(12)
+    texts = {}
+    for d in range(0, 600, 2):
+        words = [f"v{rnd.randrange(10**6)}" for _ in range(rnd.randint(5, 90))]
+        texts[d + 1] = " ".join(words)
+        texts[d] = " ".join(words + [f"u{d}"] if d % 4 else [*words[:-1], f"u{d}"])
+    texts |= {700 + k: "one line that many short texts start with " + f"k{k} m{k} n{k}" for k in range(100)}
+    want = brute_kept(texts)
+    assert 400 < len(want) < 600
+    df = spark.createDataFrame(list(texts.items()), "doc_id bigint, text string").repartition(3)
+    assert {r["doc_id"] for r in simhash.drop_near_copies(df).collect()} == want
+
+
+def test_prefix_meets():
+    rnd = random.Random(13)
+    for _ in range(300):
+        common = [rnd.getrandbits(64) for _ in range(rnd.randint(1, 80))]
+        a, b = (np.unique(np.array(common + [rnd.getrandbits(64) for _ in range(rnd.randint(0, 1 + len(common) // 5))], np.uint64)) for _ in "ab")
+        both = len(np.intersect1d(a, b))
+        if both >= 0.8 * (len(a) + len(b) - both):
+            assert np.isin(simhash.prefix_of(a, 0.8), simhash.prefix_of(b, 0.8)).any()

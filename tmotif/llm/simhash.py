@@ -17,6 +17,7 @@ a number of rows that is linear in the crowd. For other t pairs are formed.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -138,8 +139,8 @@ def simhash_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
 #: Segments of the wide ring, and the share of them that may differ: two texts of similarity 0.8 differ in a fifth on average.
 RING, RING_DIFFER = 32, 10
 SIMILAR = 0.8
-#: SimHash distance beyond which no pair of that similarity is expected (about 11 bits at 0.8).
-FAR_BITS = 24
+#: Sets of fewer shingles are met by an exact prefix of their hashes: on rings of theirs one changed shingle fills many segments.
+SHORT = 64
 #: Longer chains that crowded keys are parted by.
 CHAINS = (5, 8, 12)
 
@@ -174,15 +175,23 @@ def _chain_keys(length: int):
     return F.transform(F.sequence(F.lit(0), F.lit(RING - 1)), lambda i: F.xxhash64(F.lit(length), i, *parts(i)))
 
 
-def _rings(width: int):
+def prefix_of(hashes: np.ndarray, similarity: float) -> np.ndarray:
+    """The smallest hashes, so many that two sets of the similarity share one of them; zero stands for a set of none."""
+    n = len(hashes)
+    return hashes[: n - math.ceil(similarity * n - 1e-9) + 1] if n else np.zeros(1, np.uint64)
+
+
+def _rings(width: int, similarity: float):
     def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            rings, prints = [], []
+            rings, sizes, firsts = [], [], []
             for t in batch.column(2):
                 hashes = shingle_hashes(t.as_buffer().to_pybytes(), width)
-                rings.append(ring_of(hashes).astype(np.uint32).view(np.int32))  # the low half: the high bits name the share
-                prints.append(_bits(hashes) if len(hashes) else 0)
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(prints, pa.int64()), pa.array(rings, pa.list_(pa.int32()))], ["row", "doc_id", "fp", "ring"])
+                n = len(hashes)
+                rings.append(ring_of(hashes).astype(np.uint32).view(np.int32) if n >= SHORT else None)  # the low half: the high bits name the share
+                sizes.append(n)
+                firsts.append(prefix_of(hashes, similarity).view(np.int64) if similarity * n < SHORT else None)
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(sizes, pa.int32()), pa.array(rings, pa.list_(pa.int32())), pa.array(firsts, pa.list_(pa.int64()))], ["row", "doc_id", "n", "ring", "first"])
 
     return make
 
@@ -262,15 +271,19 @@ def crowd_links(many: DataFrame, found: DataFrame, sets: DataFrame, similarity:
 def similar_links(rows: DataFrame, width: int = 5, similarity: float = SIMILAR, crowd: int = CROWD) -> tuple[DataFrame, DataFrame]:
     """The staged rings of numbered rows (row, doc_id, text), and links (a, b) of row numbers whose shingle sets have at least the similarity.
 
-    Candidates share a chain of three equal segments, the longest that a budget of RING_DIFFER in RING
-    leaves without difference; then come the budgets of the longer chains from that start, the
-    SimHash distance, and the Jaccard similarity of the whole shingle sets. In a key that
+    Of sets of SHORT shingles or more, candidates share a chain of three equal segments, the longest that a
+    budget of RING_DIFFER in RING leaves without difference. A pair with a shorter set shares one of the smallest
+    hashes of both (see prefix_of), which misses none. Sizes must allow the similarity; the Jaccard
+    similarity of the whole shingle sets then decides alone. In a key that
     more than crowd rows share each row first meets the key's smallest row, and the smallest
     rows of its keys of longer chains, which are ever fewer; keys that these links leave
     in parts have all their rows compared, see crowd_links.
     """
-    table = staged(in_arrow(rows.select("row", "doc_id", F.col("text").cast("binary")), _rings(width), "row long, doc_id long, fp long, ring array<int>"), "rings")
-    keyed = table.select("row", F.explode(_chain_keys(3)).alias("key"))
+    table = staged(in_arrow(rows.select("row", "doc_id", F.col("text").cast("binary")), _rings(width, similarity), "row long, doc_id long, n int, ring array<int>, first array<long>"), "rings")
+    chains = F.when(F.col("ring").isNotNull(), _chain_keys(3))
+    firsts = F.transform("first", lambda h: F.xxhash64(F.lit(0), h))
+    none = F.array().cast("array<long>")
+    keyed = table.select("row", F.explode(F.concat(F.coalesce(chains, none), F.coalesce(firsts, none))).alias("key"))
     met = staged(keyed.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.min("row").alias("hub")).where("n > 1"), "met")
     members = keyed.join(met, "key")
     few = members.where(F.col("n") <= crowd).select("key", "row")
@@ -278,14 +291,12 @@ def similar_links(rows: DataFrame, width: int = 5, similarity: float = SIMILAR,
     many = staged(members.where(F.col("n") > crowd).select("key", "row", "hub"), "many")
     stars = many.where("row <> hub").select(F.col("hub").alias("a"), F.col("row").alias("b"))
     crowded = many.select("row").distinct()
-    longer = table.join(crowded, "row", "left_semi").select("row", F.explode(F.concat(*[_chain_keys(n) for n in CHAINS])).alias("key"))
+    longer = table.where("ring is not null").join(crowded, "row", "left_semi").select("row", F.explode(F.concat(*[_chain_keys(n) for n in CHAINS])).alias("key"))
     hubs = longer.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.min("row").alias("hub")).where("n > 1")
     stars = stars.union(longer.join(hubs, "key").where("row <> hub").select(F.col("hub").alias("a"), F.col("row").alias("b")))
     pairs = pairs.union(stars).distinct()
-    side = lambda x: table.select(F.col("row").alias(x), F.col("fp").alias(f"f{x}"), F.col("ring").alias(f"r{x}"))
-    checked = pairs.join(side("a"), "a").join(side("b"), "b")
-    differ = F.aggregate(F.zip_with("ra", "rb", lambda x, y: F.when(x == y, 0).otherwise(1)), F.lit(0), lambda n, x: n + x)
-    near = staged(checked.where(F.bit_count(F.col("fa").bitwiseXOR(F.col("fb"))) <= FAR_BITS).where(differ <= RING_DIFFER + 2).select("a", "b"), "near")
+    side = lambda x: table.select(F.col("row").alias(x), F.col("n").alias(f"n{x}"))
+    near = staged(pairs.join(side("a"), "a").join(side("b"), "b").where(F.least("na", "nb") >= similarity * F.greatest("na", "nb")).select("a", "b"), "near")
     wanted = small(staged(near.select(F.explode(F.array("a", "b")).alias("row")).union(crowded).distinct(), "wanted"))
     sets = staged(in_arrow(rows.join(wanted, "row", "left_semi").select("row", F.col("text").cast("binary")), _sets(width), "row long, hashes array<long>"), "sets")
     both = near.join(sets.select(F.col("row").alias("a"), F.col("hashes").alias("ha")), "a").join(sets.select(F.col("row").alias("b"), F.col("hashes").alias("hb")), "b")
