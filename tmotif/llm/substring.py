@@ -6,18 +6,35 @@ counted over all documents, and of a run that occurs more than once all but the
 (by document, then place) are marked; sentences under a mark are removed.
 Counting combines before the shuffle, so a run that a third of all rows share
 is one row per task; marks are joined by hash, which may be split where skewed.
+
+Passages that hold no SPAN whole sentences are found by words: of every window of
+PASSAGE words that occurs more than once all but the first are marked, and the words under a mark are
+removed. Hashes of ANCHOR words are counted first, of which each window holds at least one that is the
+smallest of its surroundings; windows are hashed only around anchors that occur more than once.
 """
 
 from __future__ import annotations
 
+import re
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
+import xxhash
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tmotif.llm.common import SPACE_CLASS
+from tmotif.llm.common import NO_ID, SPACE_CLASS, in_arrow, small, staged
 
 SPAN = 3
 #: Runs of fewer words are too common to be called copies.
 LEAST_WORDS = 12
+#: Words of the shortest passage whose copies are removed wherever it begins and ends, and of an anchor in it.
+PASSAGE, ANCHOR = 51, 20
+#: Base of the window hashes, odd, and its inverse modulo 2^64.
+BASE = 0x9E3779B97F4A7C15
+INVERSE = pow(BASE, -1, 1 << 64)
 #: A sentence ends at a mark before white space, at a line feed, or with the text; white space after it belongs to it.
 SENTENCE = r"(?s).+?(?:[.!?]+(?=[\x20\x09-\x0D]|$)|\n|$)[\x20\x09-\x0D]*"
 
@@ -38,9 +55,142 @@ def spans(parted: DataFrame, span: int = SPAN, least_words: int = LEAST_WORDS) -
     return rows.select("doc_id", "print", "at", F.xxhash64("run").alias("hash"))
 
 
-def remove_repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", span: int = SPAN, least_words: int = LEAST_WORDS) -> DataFrame:
+def _words(text: bytes) -> np.ndarray:
+    digest = xxhash.xxh64_intdigest
+    return np.array([digest(w) for w in text.split()], np.uint64)  # bytes.split() parts at the six ASCII white space characters
+
+
+def _windows(words: np.ndarray, width: int) -> np.ndarray:
+    """A hash of each window of so many words."""
+    n = len(words) - width + 1
+    if n < 1:
+        return np.zeros(0, np.uint64)
+    power = np.full(len(words), BASE, np.uint64)
+    power[0] = 1
+    back = np.full(n, INVERSE, np.uint64)
+    back[0] = 1
+    sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum(words * np.cumprod(power))])
+    h = (sums[width:] - sums[:n]) * np.cumprod(back)
+    h = (h ^ (h >> np.uint64(33))) * np.uint64(0xFF51AFD7ED558CCD)
+    return h ^ (h >> np.uint64(33))
+
+
+def _anchors_of(words: np.ndarray, passage: int, anchor: int) -> tuple[np.ndarray, np.ndarray]:
+    """Places and hashes of anchors: the smallest hash of each window of passage words, all its places included."""
+    hashes = _windows(words, anchor)
+    reach = passage - anchor + 1
+    if len(hashes) < reach:
+        return np.zeros(0, np.int64), hashes[:0]
+    low, done = hashes, 1
+    while done < reach:
+        by = min(done, reach - done)
+        low, done = np.minimum(low[:-by], low[by:]), done + by
+    at = np.flatnonzero(np.isin(hashes, low[np.append(True, low[1:] != low[:-1])]))
+    return at, hashes[at]
+
+
+def _batch(rows: list[tuple[int, int, np.ndarray, np.ndarray]]) -> pa.RecordBatch:
+    size = [len(r[2]) for r in rows]
+    ids, prints = (np.repeat(np.array([r[k] for r in rows], np.int64), size) for k in (0, 1))
+    at, hashes = (np.concatenate([np.zeros(0, kind), *[r[k] for r in rows]]).astype(kind) for k, kind in ((2, np.int32), (3, np.uint64)))
+    return pa.RecordBatch.from_arrays([pa.array(ids), pa.array(prints), pa.array(at), pa.array(hashes.view(np.int64))], ["d", "p", "at", "hash"])
+
+
+def _anchors(passage: int, anchor: int):
+    def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            yield _batch([(d, p, *_anchors_of(_words(t.as_buffer().to_pybytes()), passage, anchor)) for d, p, t in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2), strict=True)])
+
+    return make
+
+
+def _around(passage: int, anchor: int):
+    def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            rows = []
+            for d, p, t, ats in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2), batch.column(3), strict=True):
+                hashes = _windows(_words(t.as_buffer().to_pybytes()), passage)
+                at = np.asarray(ats.values, np.int64)
+                ends = np.zeros(len(hashes) + 1, np.int64)
+                np.add.at(ends, np.clip(at + anchor - passage, 0, len(hashes)), 1)
+                np.add.at(ends, np.minimum(at + 1, len(hashes)), -1)
+                at = np.flatnonzero(np.cumsum(ends[:-1]) > 0)
+                rows.append((d, p, at, hashes[at]))
+            yield _batch(rows)
+
+    return make
+
+
+def _repeated(found: DataFrame) -> DataFrame:
+    """The rows (d, p, at, hash) whose hash occurs at more than one place, and low, the first of its places."""
+    place = F.struct("d", "p", "at")
+    first = found.groupBy("hash").agg(F.min(place).alias("low"), F.max(place).alias("high")).where("low <> high").select("hash", "low")
+    return found.join(first, "hash").select("d", "p", "at", "low")
+
+
+def repeated_passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", passage: int = PASSAGE, anchor: int = ANCHOR) -> DataFrame:
+    """d (doc_id, null as NO_ID), p (print), words: the first words of the windows to be removed."""
+    text = F.coalesce(F.col(text_col), F.lit(""))
+    rows = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)).alias("d"), F.xxhash64(text).alias("p"), text.cast("binary").alias("text"))
+    schema = "d long, p long, at int, hash long"
+    anchors = staged(in_arrow(rows, _anchors(passage, anchor), schema), "anchors")
+    places = staged(_repeated(anchors).groupBy("d", "p").agg(F.collect_set("at").alias("ats")), "places")
+    held = rows.join(small(staged(places.select("p").distinct(), "prints")), "p", "left_semi").dropDuplicates(["d", "p"])
+    windows = staged(in_arrow(held.join(places, ["d", "p"]).select("d", "p", "text", "ats"), _around(passage, anchor), schema), "windows")
+    return _repeated(windows).where(F.struct("d", "p", "at") != F.col("low")).groupBy("d", "p").agg(F.collect_set("at").alias("words"))
+
+
+#: A word and the white space after it.
+WORD = re.compile(r"[^\x20\x09-\x0D]+[\x20\x09-\x0D]*")
+
+
+def left_over(parts: list[str], gone: set[int], words: np.ndarray, passage: int) -> tuple[list[int], str]:
+    """Numbers of the sentences that lose words, and the text without the sentences gone and the windows at words."""
+    n = [len(WORD.findall(p)) for p in parts]
+    ends = np.zeros(sum(n) + 1, np.int64)
+    np.add.at(ends, words, 1)
+    np.add.at(ends, words + passage, -1)
+    covered, at = np.cumsum(ends) > 0, 0
+    cut, out = set(gone), []
+    for k, part in enumerate(parts):
+        under = covered[at : at + n[k]]
+        at += n[k]
+        if k in gone:
+            continue
+        if under.any():
+            cut.add(k)
+            if not under.all():
+                found = list(WORD.finditer(part))
+                out.append(part[: found[0].start()] + "".join(m[0] for m, u in zip(found, under, strict=True) if not u))
+        else:
+            out.append(part)
+    return sorted(cut), "".join(out)
+
+
+def _cut(passage: int):
+    def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            removed, texts = [], []
+            for parts, gone, words in zip(*[batch.column(k) for k in (1, 2, 3)], strict=True):
+                parts, gone = parts.as_py(), gone.as_py() or []
+                if words.is_valid:
+                    gone, text = left_over(parts, set(gone), np.array(words.as_py(), np.int64), passage)
+                else:
+                    text = "".join(p for k, p in enumerate(parts) if k not in gone) if gone else "".join(parts)
+                removed.append(sorted(gone))
+                texts.append(text)
+            sizes = pa.array([len(p) for p in batch.column(1)], pa.int64())
+            yield pa.RecordBatch.from_arrays([batch.column(0), sizes, pa.array(removed, pa.list_(pa.int32())), pa.array(texts, pa.string())], ["doc_id", "n_sentences", "removed", "text"])
+
+    return make
+
+
+def remove_repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", span: int = SPAN, least_words: int = LEAST_WORDS, passage: int = PASSAGE) -> DataFrame:
     """One row per input row: doc_id, n_sentences, removed (numbers of the sentences taken out, from 0), text (what is left).
 
+    A sentence that a repeated passage begins or ends in loses only the words of the passage; its number is among
+    removed, and its other words stay in text.
+
     Null counts as empty and stays empty. Null ids come after all others. Rows
     that repeat an id with the same text are one document: they are treated
     alike and don't remove each other's text.
@@ -53,11 +203,7 @@ def remove_repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str
     parted = sentences(docs, id_col, text_col).alias("s")
     joined = parted.join(marks.alias("m"), F.col("s.doc_id").eqNullSafe(F.col("m.doc_id")) & (F.col("s.print") == F.col("m.print")), "left")
     n = F.size("parts")
-    rows = joined.select(F.col("s.doc_id").alias("doc_id"), "parts", F.array_distinct(F.flatten(F.transform("at", lambda a: F.sequence(a, F.least(a + span, n) - 1)))).alias("gone"))
-    kept = F.filter("parts", lambda p, i: ~F.array_contains("gone", i))
-    return rows.select(
-        "doc_id",
-        F.size("parts").cast("long").alias("n_sentences"),
-        F.coalesce(F.array_sort("gone"), F.array().cast("array<int>")).alias("removed"),
-        F.array_join(F.when(F.col("gone").isNull(), F.col("parts")).otherwise(kept), "").alias("text"),
-    )
+    gone = F.array_distinct(F.flatten(F.transform("at", lambda a: F.sequence(a, F.least(a + span, n) - 1))))
+    words = repeated_passages(docs, id_col, text_col, passage).alias("w")
+    joined = joined.join(words, (F.coalesce(F.col("s.doc_id"), F.lit(NO_ID)) == F.col("w.d")) & (F.col("s.print") == F.col("w.p")), "left")
+    return in_arrow(joined.select(F.col("s.doc_id").alias("doc_id"), "parts", gone.alias("gone"), "words"), _cut(passage), "doc_id long, n_sentences long, removed array<int>, text string")
