@@ -1,7 +1,7 @@
 """Secret scans with a random forest that removes false positives. Native: DataFrame functions only.
 
-A pattern finds candidates: long runs of key characters with a digit, and private
-key blocks. Each is described by length, character transitions, dictionary
+A pattern finds candidates: private key blocks from BEGIN to END, values that a secret word
+names, and long runs of key characters with a digit. Each is described by length, character transitions, dictionary
 coverage, path signs and the words beside it. A forest of small trees, grown on labelled findings,
 is compiled into one expression over these features; candidates that half of
 the trees or more call secret are reported and can be redacted.
@@ -15,8 +15,13 @@ import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-#: Runs of 16 characters or more with a digit among them, as whole words.
-CANDIDATE = r"(?<![A-Za-z0-9+/=_.~-])(?=[A-Za-z+/=_.~-]*[0-9])[A-Za-z0-9+/=_.~-]{16,}|-----BEGIN [A-Z ]*PRIVATE KEY-----"
+#: From BEGIN to END; without an END the header and the lines of key characters that follow it.
+KEY_BLOCK = r"-----BEGIN [A-Z0-9 ]*PRIVATE KEY(?: BLOCK)?-----(?:[^-]*+(?:-{1,4}+[^-]++){0,200}+-----END [A-Z0-9 ]*PRIVATE KEY(?: BLOCK)?-----|(?:[\x20\x09-\x0D]+[A-Za-z0-9+/=]{16,}+){0,1000}+)"
+#: Values of 6 characters or more after a secret word and = or : (the first, short look behind is for speed).
+NAMED = r"""(?<=[=:]>?[\x20\t]{0,2}["']?)(?<=(?i:token|secret|passw|api[_-]?key|access[_-]?key|auth|credential|private|pwd)[A-Za-z0-9_-]{0,16}["']?[\x20\t]{0,2}[=:]{1,2}>?[\x20\t]{0,2}["']?)[^\x20\x09-\x0D"'<>,;()\[\]{}=:][^\x20\x09-\x0D"'<>,;()\[\]{}]{4,}[^\x20\x09-\x0D"'<>,;()\[\]{}.:!?]"""
+#: Runs of 16 characters or more with a digit among them, as whole words; = only ends one, so that a name before it stays in the left context.
+RUN = r"(?<![A-Za-z0-9+/_.~-])(?=[A-Za-z+/_.~-]*[0-9])[A-Za-z0-9+/_.~-]{16,}={0,2}"
+CANDIDATE = f"{KEY_BLOCK}|{NAMED}|{RUN}"
 BESIDE = 32
 #: Word parts that readable names are made of.
 DICTIONARY = r"(?i)the|and|ing|ion|tion|test|user|file|http|www|com|html|index|page|name|image|data|version|build|release|config|module|class|node|lib|src|main|table|report|year|month"
@@ -73,6 +78,35 @@ def labelled_findings(n: int = 480, seed: int = SEED) -> list[tuple[str, str, st
     return out
 
 
+def named_findings(n: int = 320, seed: int = SEED) -> list[tuple[str, str, str, int]]:
+    """More labels made by rule: key blocks and short values that a secret word names, and plain words there."""
+    rnd = random.Random(seed)
+    pick = lambda letters, k: "".join(rnd.choice(letters) for _ in range(k))
+    low, up, num = "abcdefghijklmnopqrstuvwxyz", "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "0123456789"
+    syllables = ["cor", "rect", "hor", "se", "bat", "ter", "sta", "ple", "hun", "mon", "key", "dra", "gon", "sun", "shi", "ne", "pass", "blue"]
+    word = lambda k: "".join(rnd.choice(syllables) for _ in range(k))
+    plain = ["required", "invalid", "please", "missing", "unknown", "expired", "optional", "string", "changed", "forgotten", "something", "generated", "authentication"]
+    out = []
+    for k in range(n):
+        name = rnd.choice(['password = "', "password: ", "secret=", "pwd: ", 'api_key: "', "TOKEN=", "auth_token = ", "PASSWORD="])
+        left, right = rnd.choice(["the ", "see ", "", "with "]) + name, rnd.choice(['"', " ", "\n", ""])
+        kind = k % 8
+        if kind == 0:
+            label = rnd.choice(["RSA ", "EC ", "", "OPENSSH "])
+            lines = "\n".join(pick(low + up + num + "+/", 64) for _ in range(rnd.randint(1, 26)))
+            head, end = f"-----BEGIN {label}PRIVATE KEY-----", f"\n-----END {label}PRIVATE KEY-----"
+            out.append((rnd.choice(["", "key:\n", "see "]), (head + "\n" + lines + end, head + "\n" + lines, head)[k // 8 % 3], rnd.choice(["\n", " "]), 1))
+        elif kind in (1, 2):
+            out.append((left[-BESIDE:], "".join(w.capitalize() if i else w for i, w in enumerate(word(rnd.randint(1, 2)) for _ in range(rnd.randint(2, 4)))), right, 1))
+        elif kind == 3:
+            out.append((left[-BESIDE:], word(rnd.randint(1, 3)) + pick(num, rnd.randint(1, 4)) + word(rnd.randint(0, 2)), right, 1))
+        elif kind == 4:
+            out.append((left[-BESIDE:], pick(low + up + num + "!@#%&*", rnd.randint(8, 20)), right, 1))
+        else:
+            out.append((left[-BESIDE:], rnd.choice(plain) if kind < 7 else "http://www." + word(2) + ".com/" + rnd.choice(plain), right, 0))
+    return out
+
+
 def findings_table(spark: SparkSession, findings: list[tuple[str, str, str, int]]) -> DataFrame:
     rows = [F.struct(F.lit(a).alias("left"), F.lit(b).alias("candidate"), F.lit(c).alias("right"), F.lit(d).alias("label")) for a, b, c, d in findings]
     return spark.range(1).select(F.inline(F.array(*rows)))
@@ -130,7 +164,7 @@ _FORESTS: dict[int, list] = {}
 
 def default_forest(spark: SparkSession) -> list:
     if not _FORESTS:
-        _FORESTS[0] = grow(findings_table(spark, labelled_findings()))
+        _FORESTS[0] = grow(findings_table(spark, labelled_findings() + named_findings()))
     return _FORESTS[0]
 
 
