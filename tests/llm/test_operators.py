@@ -9,7 +9,7 @@ import pytest
 from brute import components, crc, exact, rules, simhash_components, url
 from tokenizers import Tokenizer
 
-from tmotif.llm import binary, bpe, common, packing, quality, secrets, simhash, substring, urls
+from tmotif.llm import binary, bpe, common, packing, quality, secrets, simhash, urls
 from tmotif.llm import exact as exact_op
 from tmotif.llm import rules as rules_op
 
@@ -232,37 +232,6 @@ def test_rules(docs, empty):
     assert rules_op.quality_rules(empty).count() == 0
 
 
-def spans_brute(texts_: dict, span: int, least: int):
-    """doc -> sentence numbers removed."""
-    import re
-
-    parted = {d: re.findall(substring.SENTENCE.replace("$", r"\Z"), t or "") for d, t in texts_.items()}
-    seen, gone = {}, {d: set() for d in texts_}
-    for d in sorted(parted):
-        plain = [" ".join(p.split()) for p in parted[d]]
-        for at in range(max(1, len(plain) - span + 1)) if plain else []:
-            run = " ".join(plain[at : at + span])
-            if len(run) - len(run.replace(" ", "")) + 1 >= least and seen.setdefault(run, (d, at)) != (d, at):
-                gone[d] |= set(range(at, min(at + span, len(plain))))
-    return parted, gone
-
-
-def test_substring(spark):
-    rnd = random.Random(8)
-    passage = " ".join("".join(rnd.choice("abcdef") for _ in range(4)) + ("." if i % 11 == 10 else "") for i in range(70)) + "."
-    some = {d: " ".join(" ".join("".join(rnd.choice("ghijkl") for _ in range(4)) for _ in range(rnd.randint(2, 9))) + rnd.choice([". ", "\n", "! "]) for _ in range(8)) for d in range(20)}
-    for d in (3, 7, 11):
-        some[d] = some[d] + passage + " " + some[d + 20 if d + 20 in some else 1]
-    some |= {30: None, 31: "", 32: "word", 33: some[5], 34: "a b c d e f g h i j k l. " * 9}
-    df = spark.createDataFrame([(d, t, 1, "x") for d, t in some.items()], "doc_id bigint, text string, at int, hash string").repartition(3)
-    parted, gone = spans_brute(some, substring.SPAN, substring.LEAST_WORDS)
-    for d, r in by_id(substring.remove_repeated_spans(df)).items():
-        assert set(r["removed"]) == gone[d] and r["n_sentences"] == len(parted[d])
-        assert r["text"] == "".join(p for i, p in enumerate(parted[d]) if i not in gone[d])
-    assert gone[33] and gone[34] and gone[7] and gone[11] and not gone[3]
-    assert substring.remove_repeated_spans(df.where("false")).count() == 0
-
-
 def test_secrets(spark):
     forest = secrets.default_forest(spark)
     held = secrets.findings_table(spark, secrets.labelled_findings(200, seed=99))

@@ -1,209 +1,157 @@
 """Substring dedup by sliding sentence spans.
 
-A text is parted into sentences that together are the whole text. Every run of
-SPAN consecutive sentences is hashed (a text of fewer is one run), hashes are
-counted over all documents, and of a run that occurs more than once all but the first
-(by document, then place) are marked; sentences under a mark are removed.
-Counting combines before the shuffle, so a run that a third of all rows share
-is one row per task; marks are joined by hash, which may be split where skewed.
-
-Passages that hold no SPAN whole sentences are found by words: of every window of
-PASSAGE words that occurs more than once all but the first are marked, and the words under a mark are
-removed. Hashes of ANCHOR words are counted first, of which each window holds at least one that is the
-smallest of its surroundings; windows are hashed only around anchors that occur more than once.
+A text is parted into sentences that together are the whole text; to keep them short and to find the same
+ones wherever a passage begins, the parts are chosen by their surroundings alone: of every REACH
+consecutive words the one that begins a sentence, or else the one with the smallest hash, begins a part.
+Of a passage that two documents share, all parts are then the same but for less than REACH words at each end.
+
+From each part on, the run of consecutive parts that first reaches LEAST_WORDS words is hashed, and
+hashes are joined over all documents. Of a run that occurs more than once all but the first (by document,
+then place) are marked, and the parts under a mark are removed. A passage of 3 * REACH + LEAST_WORDS - 1 words (51)
+or more holds at least one whole run, so none is missed.
+
+A document sends each of its runs once; counting combines before the shuffle, so that a run that a
+third of all rows share is one row per task. Later places in the same document need no join.
 """
 
 from __future__ import annotations
 
 import re
 from collections.abc import Iterator
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
 import xxhash
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from tmotif.llm.common import NO_ID, SPACE_CLASS, in_arrow, small, staged
-
-SPAN = 3
-#: Runs of fewer words are too common to be called copies.
-LEAST_WORDS = 12
-#: Words of the shortest passage whose copies are removed wherever it begins and ends, and of an anchor in it.
-PASSAGE, ANCHOR = 51, 20
-#: Base of the window hashes, odd, and its inverse modulo 2^64.
-BASE = 0x9E3779B97F4A7C15
-INVERSE = pow(BASE, -1, 1 << 64)
-#: A sentence ends at a mark before white space, at a line feed, or with the text; white space after it belongs to it.
-SENTENCE = r"(?s).+?(?:[.!?]+(?=[\x20\x09-\x0D]|$)|\n|$)[\x20\x09-\x0D]*"
-
-
-def sentences(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, print (hash of the text: with doc_id, a row's name), parts."""
-    text = F.coalesce(F.col(text_col), F.lit(""))
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.xxhash64(text).alias("print"), F.regexp_extract_all(text, F.lit(SENTENCE), F.lit(0)).alias("parts"))
-
-
-def spans(parted: DataFrame, span: int = SPAN, least_words: int = LEAST_WORDS) -> DataFrame:
-    """doc_id, print, at (first sentence), hash."""
-    plain = parted.select("doc_id", "print", F.transform("parts", lambda p: F.regexp_replace(F.regexp_replace(p, rf"^{SPACE_CLASS}|{SPACE_CLASS}$", ""), SPACE_CLASS, " ")).alias("plain"))
-    last = F.greatest(F.size("plain") - span, F.lit(0))
-    runs = F.transform(F.sequence(F.lit(0), last), lambda i: F.array_join(F.slice("plain", i + 1, span), " "))
-    rows = plain.select("doc_id", "print", F.posexplode(F.when(F.size("plain") > 0, runs)).alias("at", "run"))
-    rows = rows.where(F.length("run") - F.length(F.translate("run", " ", "")) + 1 >= least_words)
-    return rows.select("doc_id", "print", "at", F.xxhash64("run").alias("hash"))
-
-
-def _words(text: bytes) -> np.ndarray:
-    digest = xxhash.xxh64_intdigest
-    return np.array([digest(w) for w in text.split()], np.uint64)  # bytes.split() parts at the six ASCII white space characters
-
-
-def _windows(words: np.ndarray, width: int) -> np.ndarray:
-    """A hash of each window of so many words."""
-    n = len(words) - width + 1
-    if n < 1:
-        return np.zeros(0, np.uint64)
-    power = np.full(len(words), BASE, np.uint64)
-    power[0] = 1
-    back = np.full(n, INVERSE, np.uint64)
-    back[0] = 1
-    sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum(words * np.cumprod(power))])
-    h = (sums[width:] - sums[:n]) * np.cumprod(back)
-    h = (h ^ (h >> np.uint64(33))) * np.uint64(0xFF51AFD7ED558CCD)
-    return h ^ (h >> np.uint64(33))
-
-
-def _anchors_of(words: np.ndarray, passage: int, anchor: int) -> tuple[np.ndarray, np.ndarray]:
-    """Places and hashes of anchors: the smallest hash of each window of passage words, all its places included."""
-    hashes = _windows(words, anchor)
-    reach = passage - anchor + 1
-    if len(hashes) < reach:
-        return np.zeros(0, np.int64), hashes[:0]
-    low, done = hashes, 1
-    while done < reach:
-        by = min(done, reach - done)
-        low, done = np.minimum(low[:-by], low[by:]), done + by
-    at = np.flatnonzero(np.isin(hashes, low[np.append(True, low[1:] != low[:-1])]))
-    return at, hashes[at]
-
-
-def _batch(rows: list[tuple[int, int, np.ndarray, np.ndarray]]) -> pa.RecordBatch:
-    size = [len(r[2]) for r in rows]
-    ids, prints = (np.repeat(np.array([r[k] for r in rows], np.int64), size) for k in (0, 1))
-    at, hashes = (np.concatenate([np.zeros(0, kind), *[r[k] for r in rows]]).astype(kind) for k, kind in ((2, np.int32), (3, np.uint64)))
-    return pa.RecordBatch.from_arrays([pa.array(ids), pa.array(prints), pa.array(at), pa.array(hashes.view(np.int64))], ["d", "p", "at", "hash"])
-
-
-def _anchors(passage: int, anchor: int):
+from tmotif.llm.common import NO_ID, in_arrow
+
+#: Of so many consecutive words at least one begins a part.
+REACH = 10
+#: Words of a run: shorter repeats (set phrases, licence lines) are no copies.
+LEAST_WORDS = 22
+WORD = re.compile(rb"[^\x20\x09-\x0D]+")
+#: The marks that end a sentence, if they end a word; a line feed ends one, too.
+MARKS = b".!?"
+LATE = np.uint64(1 << 63)
+PLACE = np.uint64((1 << 32) - 1)
+
+
+def words_of(text: bytes) -> tuple[list[bytes], np.ndarray]:
+    """The words, and which of them begin a sentence."""
+    lines = [x.split() for x in text.split(b"\n")]  # bytes.split() parts at the six ASCII white space characters
+    words = list(chain.from_iterable(lines))
+    begins = np.zeros(len(words) + 1, bool)
+    begins[0] = True
+    begins[np.cumsum([len(x) for x in lines])] = True
+    begins[1:] |= np.fromiter((w[-1] in MARKS for w in words), bool, len(words))
+    return words, begins[:-1]
+
+
+def part_starts(words: list[bytes], begins: np.ndarray, reach: int = REACH) -> np.ndarray:
+    """Numbers of the words that begin a part, and the number of words."""
+    n = len(words)
+    cut = np.zeros(n + 1, bool)
+    cut[0] = cut[n] = True
+    if n >= reach:
+        hashes = np.fromiter(map(xxhash.xxh32_intdigest, words), np.uint64, n) >> np.uint64(1)
+        low = hashes << np.uint64(32) | PLACE - np.arange(n, dtype=np.uint64)  # of equal words the last one
+        low[~begins] |= LATE
+        done = 1
+        while done < reach:
+            by = min(done, reach - done)
+            low, done = np.minimum(low[:-by], low[by:]), done + by
+        cut[(PLACE - (low & PLACE)).astype(np.int64)] = True
+    return np.flatnonzero(cut)
+
+
+def runs_of(text: bytes, reach: int = REACH, least: int = LEAST_WORDS) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Parts' first words (and the number of words), each run's end (a part number; run k begins at part k), and 128-bit hashes as two numbers a run."""
+    words, begins = words_of(text)
+    starts = part_starts(words, begins, reach) if words else np.zeros(1, np.int64)
+    ends = np.searchsorted(starts, starts + least)
+    ends = ends[ends < len(starts)]
+    at = np.zeros(len(words) + 1, np.int64)
+    np.cumsum(np.fromiter(map(len, words), np.int64, len(words)) + 1, out=at[1:])
+    line, digest = b" ".join(words), xxhash.xxh3_128_digest
+    hashes = b"".join([digest(line[a:b]) for a, b in zip(at[starts[: len(ends)]].tolist(), (at[starts[ends]] - 1).tolist(), strict=True)])
+    return starts, ends, np.frombuffer(hashes, "<i8").reshape(-1, 2)
+
+
+def _runs(reach: int, least: int):
     def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            yield _batch([(d, p, *_anchors_of(_words(t.as_buffer().to_pybytes()), passage, anchor)) for d, p, t in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2), strict=True)])
+            found, sizes = [np.zeros((0, 2), np.int64)], []
+            for t in batch.column(1):
+                hashes = runs_of(t.as_buffer().to_pybytes(), reach, least)[2]
+                found.append(hashes[np.unique(hashes[:, 0], return_index=True)[1]])
+                sizes.append(len(found[-1]))
+            rows = np.concatenate(found)
+            key = np.repeat(batch.column(0).to_numpy(), sizes)
+            yield pa.RecordBatch.from_arrays([pa.array(rows[:, 0]), pa.array(rows[:, 1].astype(np.int32)), pa.array(key)], ["h", "g", "d"])
 
     return make
 
 
-def _around(passage: int, anchor: int):
-    def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            rows = []
-            for d, p, t, ats in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2), batch.column(3), strict=True):
-                hashes = _windows(_words(t.as_buffer().to_pybytes()), passage)
-                at = np.asarray(ats.values, np.int64)
-                ends = np.zeros(len(hashes) + 1, np.int64)
-                np.add.at(ends, np.clip(at + anchor - passage, 0, len(hashes)), 1)
-                np.add.at(ends, np.minimum(at + 1, len(hashes)), -1)
-                at = np.flatnonzero(np.cumsum(ends[:-1]) > 0)
-                rows.append((d, p, at, hashes[at]))
-            yield _batch(rows)
+def repeated_runs(rows: DataFrame, reach: int = REACH, least: int = LEAST_WORDS) -> DataFrame:
+    """d, marks (hashes of its runs that an earlier document has) from rows (d, text as binary). Hashes of 96 bits decide."""
+    found = in_arrow(rows, _runs(reach, least), "h long, g int, d long")
+    first = found.groupBy("h", "g").agg(F.min("d").alias("low"), F.max("d").alias("high")).where("low <> high").select("h", "g", "low")
+    return found.join(first, ["h", "g"]).where("d <> low").groupBy("d").agg(F.collect_set("h").alias("marks"))
 
-    return make
 
+def covered_parts(starts: np.ndarray, ends: np.ndarray, hashes: np.ndarray, marks: np.ndarray) -> np.ndarray:
+    """Numbers of the parts under a marked run, or under one that occurs earlier in the document."""
+    again = np.ones(len(ends), bool)
+    again[np.unique(hashes[:, 0], return_index=True)[1]] = False
+    runs = np.flatnonzero(again | np.isin(hashes[:, 0], marks))
+    change = np.zeros(len(starts), np.int64)
+    np.add.at(change, runs, 1)
+    np.add.at(change, ends[runs], -1)
+    return np.flatnonzero(np.cumsum(change) > 0)
 
-def _repeated(found: DataFrame) -> DataFrame:
-    """The rows (d, p, at, hash) whose hash occurs at more than one place, and low, the first of its places."""
-    place = F.struct("d", "p", "at")
-    first = found.groupBy("hash").agg(F.min(place).alias("low"), F.max(place).alias("high")).where("low <> high").select("hash", "low")
-    return found.join(first, "hash").select("d", "p", "at", "low")
 
+def left_over(text: bytes, starts: np.ndarray, gone: np.ndarray) -> bytes:
+    """The text without the parts gone. A part begins with its first word, the first one with the text."""
+    at = [m.start() for m in WORD.finditer(text)]
+    edges = [0, *(at[k] for k in starts[1:-1].tolist()), len(text)]
+    dropped = set(gone.tolist())
+    return b"".join([text[a:b] for k, (a, b) in enumerate(zip(edges, edges[1:], strict=False)) if k not in dropped])
 
-def repeated_passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", passage: int = PASSAGE, anchor: int = ANCHOR) -> DataFrame:
-    """d (doc_id, null as NO_ID), p (print), words: the first words of the windows to be removed."""
-    text = F.coalesce(F.col(text_col), F.lit(""))
-    rows = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)).alias("d"), F.xxhash64(text).alias("p"), text.cast("binary").alias("text"))
-    schema = "d long, p long, at int, hash long"
-    anchors = staged(in_arrow(rows, _anchors(passage, anchor), schema), "anchors")
-    places = staged(_repeated(anchors).groupBy("d", "p").agg(F.collect_set("at").alias("ats")), "places")
-    held = rows.join(small(staged(places.select("p").distinct(), "prints")), "p", "left_semi").dropDuplicates(["d", "p"])
-    windows = staged(in_arrow(held.join(places, ["d", "p"]).select("d", "p", "text", "ats"), _around(passage, anchor), schema), "windows")
-    return _repeated(windows).where(F.struct("d", "p", "at") != F.col("low")).groupBy("d", "p").agg(F.collect_set("at").alias("words"))
-
-
-#: A word and the white space after it.
-WORD = re.compile(r"[^\x20\x09-\x0D]+[\x20\x09-\x0D]*")
-
-
-def left_over(parts: list[str], gone: set[int], words: np.ndarray, passage: int) -> tuple[list[int], str]:
-    """Numbers of the sentences that lose words, and the text without the sentences gone and the windows at words."""
-    n = [len(WORD.findall(p)) for p in parts]
-    ends = np.zeros(sum(n) + 1, np.int64)
-    np.add.at(ends, words, 1)
-    np.add.at(ends, words + passage, -1)
-    covered, at = np.cumsum(ends) > 0, 0
-    cut, out = set(gone), []
-    for k, part in enumerate(parts):
-        under = covered[at : at + n[k]]
-        at += n[k]
-        if k in gone:
-            continue
-        if under.any():
-            cut.add(k)
-            if not under.all():
-                found = list(WORD.finditer(part))
-                out.append(part[: found[0].start()] + "".join(m[0] for m, u in zip(found, under, strict=True) if not u))
-        else:
-            out.append(part)
-    return sorted(cut), "".join(out)
-
-
-def _cut(passage: int):
+
+def _cut(reach: int, least: int):
     def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            removed, texts = [], []
-            for parts, gone, words in zip(*[batch.column(k) for k in (1, 2, 3)], strict=True):
-                parts, gone = parts.as_py(), gone.as_py() or []
-                if words.is_valid:
-                    gone, text = left_over(parts, set(gone), np.array(words.as_py(), np.int64), passage)
-                else:
-                    text = "".join(p for k, p in enumerate(parts) if k not in gone) if gone else "".join(parts)
-                removed.append(sorted(gone))
-                texts.append(text)
-            sizes = pa.array([len(p) for p in batch.column(1)], pa.int64())
-            yield pa.RecordBatch.from_arrays([batch.column(0), sizes, pa.array(removed, pa.list_(pa.int32())), pa.array(texts, pa.string())], ["doc_id", "n_sentences", "removed", "text"])
+            sizes, removed, texts = [], [], []
+            for t, marks in zip(batch.column(1), batch.column(2), strict=True):
+                text = t.as_buffer().to_pybytes()
+                starts, ends, hashes = runs_of(text, reach, least)
+                gone = covered_parts(starts, ends, hashes, np.array(marks.as_py() or [], np.int64))
+                sizes.append(len(starts) - 1)
+                removed.append(gone.astype(np.int32))
+                texts.append(left_over(text, starts, gone) if len(gone) else text)
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(sizes, pa.int64()), pa.array(removed, pa.list_(pa.int32())), pa.array(texts, pa.binary()).cast(pa.string())], ["doc_id", "n_parts", "removed", "text"])
 
     return make
 
 
-def remove_repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", span: int = SPAN, least_words: int = LEAST_WORDS, passage: int = PASSAGE) -> DataFrame:
-    """One row per input row: doc_id, n_sentences, removed (numbers of the sentences taken out, from 0), text (what is left).
+def _key(id_: Column, text: Column) -> Column:
+    """What a document is known by: its id; without one a number of its text, beyond all ids."""
+    return F.coalesce(id_.cast("long"), F.lit(NO_ID) - F.pmod(F.xxhash64(text), F.lit(1 << 31)))
 
-    A sentence that a repeated passage begins or ends in loses only the words of the passage; its number is among
-    removed, and its other words stay in text.
 
-    Null counts as empty and stays empty. Null ids come after all others. Rows
-    that repeat an id with the same text are one document: they are treated
-    alike and don't remove each other's text.
+def remove_repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", reach: int = REACH, least_words: int = LEAST_WORDS) -> DataFrame:
+    """One row per input row: doc_id, n_parts, removed (numbers of the parts taken out, from 0), text (what is left).
+
+    Null counts as empty and stays empty. Rows without an id come after all others. Rows with the same id, or
+    with none and the same text, are one document: they don't remove each other's text. A text of
+    fewer than least_words words has no run and stays whole. Other columns are not looked at.
     """
-    found = spans(sentences(docs, id_col, text_col), span, least_words)
-    place = F.struct(F.coalesce("doc_id", F.lit(2**63 - 1)).alias("d"), F.col("print").alias("p"), F.col("at").alias("a"))
-    first = found.groupBy("hash").agg(F.min(place).alias("low"), F.max(place).alias("high")).where("low <> high").select("hash", "low")
-    marked = found.join(first, "hash").where(place != F.col("low")).select("doc_id", "print", "at")
-    marks = marked.groupBy("doc_id", "print").agg(F.collect_set("at").alias("at"))
-    parted = sentences(docs, id_col, text_col).alias("s")
-    joined = parted.join(marks.alias("m"), F.col("s.doc_id").eqNullSafe(F.col("m.doc_id")) & (F.col("s.print") == F.col("m.print")), "left")
-    n = F.size("parts")
-    gone = F.array_distinct(F.flatten(F.transform("at", lambda a: F.sequence(a, F.least(a + span, n) - 1))))
-    words = repeated_passages(docs, id_col, text_col, passage).alias("w")
-    joined = joined.join(words, (F.coalesce(F.col("s.doc_id"), F.lit(NO_ID)) == F.col("w.d")) & (F.col("s.print") == F.col("w.p")), "left")
-    return in_arrow(joined.select(F.col("s.doc_id").alias("doc_id"), "parts", gone.alias("gone"), "words"), _cut(passage), "doc_id long, n_sentences long, removed array<int>, text string")
+    text = F.coalesce(F.col(text_col), F.lit(""))
+    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), _key(F.col(id_col), text).alias("d"), text.cast("binary").alias("text"))
+    marks = repeated_runs(rows.select("d", "text"), reach, least_words)
+    joined = rows.join(marks, "d", "left").select("doc_id", "text", "marks")
+    return in_arrow(joined, _cut(reach, least_words), "doc_id long, n_parts long, removed array<int>, text string")
