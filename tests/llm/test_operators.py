@@ -1,6 +1,7 @@
 """Each operator against a brute-force version or an exact round trip, on a fixture with every awkward case."""
 
 import hashlib
+import json
 import random
 
 import numpy as np
@@ -215,6 +216,42 @@ def test_transducer():
     assert t.lookahead < 1000
 
 
+def test_lookahead_of_hostile_merge_lists(tmp_path):
+    """Chains of merges that reach far to the right: what the window gives is what the whole piece gives."""
+    rnd = random.Random(14)
+    far = 0
+    for case in range(60):
+        tokens, merges = [*"abc"], []
+        if case % 3 == 0:  # each merge takes the left part of the one before it away
+            for k in range(8):
+                pair = (tokens[-1] if k else "a", rnd.choice("abc"))
+                merges.insert(0, pair)
+                tokens.append("".join(pair))
+            merges = [m for m in merges if m[0] in "abc"] + [m for m in merges[::-1] if m[0] not in "abc"]
+        while len(merges) < 40:
+            pair = rnd.choice(tokens), rnd.choice(tokens)
+            if len(pair[0] + pair[1]) <= 9 and pair not in merges:
+                merges.append(pair)
+                tokens.append(pair[0] + pair[1])
+        vocab = {t: n for n, t in enumerate(dict.fromkeys([*"abc", *(a + b for a, b in merges)]))}
+        path = tmp_path / f"{case}.json"
+        path.write_text(json.dumps({"model": {"vocab": vocab, "merges": merges}}))
+        t = bpe.Transducer(str(path))
+        far = max(far, t.lookahead)
+        for letters in ("abc", "ab", "aab", "a"):
+            piece = "".join(rnd.choice(letters) for _ in range(rnd.randint(1, 300)))
+            whole = t._merged([*piece])
+            assert [*t.stream(piece, 1)] == whole and t.encode(piece) == [vocab[x] for x in whole]
+    assert far > 12
+
+
+def test_bpe_odd(odd):
+    path = public_tokenizers.path("word_bpe_49k.json")
+    rows = bpe.bpe_round_trip(odd, path).collect()
+    assert sorted(str(r["doc_id"]) for r in rows) == ["4", "4", "5", "5", "None", "None", "None"]
+    assert len({r[1:] for r in rows if r["doc_id"] == 5}) == 1 and sum(r["n_tokens"] == 0 for r in rows) == 1
+
+
 def test_decoder_state():
     d = bpe.Decoder(public_tokenizers.path("byte_bpe_50k.json"))
     library = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))

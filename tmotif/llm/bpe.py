@@ -20,9 +20,9 @@ import json
 from bisect import bisect_left
 from collections.abc import Iterable, Iterator
 from functools import lru_cache
+from itertools import islice
 from pathlib import Path
 
-import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
@@ -30,7 +30,7 @@ from tmotif.llm.common import in_arrow, text_table
 from tmotif.llm.tokens import SYMBOLS, encoder
 
 #: Symbols that a window takes beyond the lookahead.
-STRIDE = 4096
+STRIDE = 256
 #: Up to so many symbols a scan for the best pair is faster than a heap.
 SHORT = 48
 
@@ -106,57 +106,65 @@ class Transducer:
 
     def stream(self, symbols: Iterable[str], stride: int = STRIDE) -> Iterator[str]:
         """Tokens of a piece given symbol by symbol, each as soon as it is stable; memory is lookahead + stride symbols."""
-        window: list[str] = []
-        for s in symbols:
-            window.append(s)
-            if len(window) >= self.lookahead + stride:
-                at, stable = 0, len(window) - self.lookahead
-                for token in self._merged([*window]):
-                    if at + len(token) > stable:
-                        break
-                    at += len(token)
-                    yield token
-                del window[:at]
+        symbols, window = iter(symbols), []
+        while True:
+            before, wanted = len(window), max(stride, self.lookahead + 1 + stride - len(window))  # one more symbol, since the last one of a piece bears its end mark
+            window += islice(symbols, wanted)
+            if len(window) < before + wanted:
+                break
+            at, stable = 0, len(window) - self.lookahead - 1
+            for token in self._merged([*window]):
+                if at + len(token) > stable:
+                    break
+                at += len(token)
+                yield token
+            del window[:at]
         if window:
             window[-1] += self.suffix
             yield from self._merged(window)
 
     def encode(self, piece: str) -> list[int]:
-        if len(piece) < self.lookahead + STRIDE:
-            parts = [*piece]
-            parts[-1] += self.suffix
-            return [self.vocab[t] for t in self._merged(parts)]
-        # a symbol is held back, since the last one bears the mark of the word's end
         return [self.vocab[t] for t in self.stream(piece)]
 
 
 class Decoder:
-    """ids -> text, id by id. With a byte-level decoder bytes become text as soon as they are whole characters; with none, tokens are joined by a blank."""
+    """The bytes of each token of a vocabulary file. With a byte-level decoder tokens follow each other, with none they are joined by a blank."""
 
     def __init__(self, path: str):
         rules = json.loads(Path(path).read_text())
-        self.bytewise = (rules.get("decoder") or {}).get("type") == "ByteLevel"
+        bytewise = (rules.get("decoder") or {}).get("type") == "ByteLevel"
+        self.between = b"" if bytewise else b" "
         tokens = {n: t for t, n in rules["model"]["vocab"].items()} | {t["id"]: t["content"] for t in rules["added_tokens"]}
         back = {c: bytes([b]) for b, c in enumerate(SYMBOLS)}
-        self.special = {t["id"] for t in rules["added_tokens"]}
-        self.token = {n: t.encode() if n in self.special or not self.bytewise else b"".join(back[c] for c in t) for n, t in tokens.items()}
+        special = {t["id"] for t in rules["added_tokens"]}
+        self.token = {n: t.encode() if n in special or not bytewise else b"".join(back[c] for c in t) for n, t in tokens.items()}
 
     def stream(self, ids: Iterable[int]) -> Iterator[str]:
-        state, first = codecs.getincrementaldecoder("utf-8")("replace"), True
+        state = DecoderState(self)
         for n in ids:
-            if not self.bytewise and not first:
-                yield " "
-            first = False
-            if text := state.decode(self.token[n]):
+            if text := state.feed([n]):
                 yield text
-        if text := state.decode(b"", True):
+        if text := state.end():
             yield text
 
-    def whole(self, ids: list[int]) -> bytes:
-        """UTF-8 of the whole text."""
-        if self.bytewise:
-            return "".join(self.stream(ids)).encode()
-        return b" ".join([self.token[n] for n in ids])
+
+class DecoderState:
+    """What is known between two calls of a decoding: whether a token came, and the bytes of a character that isn't whole."""
+
+    def __init__(self, decoder: Decoder):
+        self.decoder, self.first = decoder, True
+        self.utf8 = codecs.getincrementaldecoder("utf-8")("replace")
+
+    def feed(self, ids: list[int]) -> str:
+        """The text that these ids complete."""
+        raw = self.decoder.between.join(map(self.decoder.token.__getitem__, ids))
+        if ids and not self.first:
+            raw = self.decoder.between + raw
+        self.first &= not ids
+        return self.utf8.decode(raw)
+
+    def end(self) -> str:
+        return self.utf8.decode(b"", True)
 
 
 @lru_cache(maxsize=4)
@@ -175,18 +183,29 @@ def merge_procedure(path: str):
 
 def _coded(path: str, with_text: bool):
     def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encode, decode = encoder(path, merge_procedure), decoder(path).whole
+        encode, decode = encoder(path, merge_procedure), decoder(path)
         for batch in batches:
             n, ids_sha, text_sha, ids, texts = [], [], [], [], []
             for text in batch.column(1).to_pylist():
-                raw = encode(text)
-                back = decode(np.frombuffer(raw, "<u4").tolist())
-                n.append(len(raw) // 4)
-                ids_sha.append(hashlib.sha256(raw).hexdigest())
-                text_sha.append(hashlib.sha256(back).hexdigest())
+                total, of_ids, of_text, back = 0, hashlib.sha256(), hashlib.sha256(), DecoderState(decode)
+                kept: tuple[list[int], list[str]] = ([], [])
+                for raw in encode.stream(text):
+                    some = memoryview(raw).cast("I").tolist()
+                    total += len(some)
+                    of_ids.update(raw)
+                    said = back.feed(some)
+                    of_text.update(said.encode())
+                    if with_text:
+                        kept[0].extend(some)
+                        kept[1].append(said)
+                said = back.end()
+                of_text.update(said.encode())
+                n.append(total)
+                ids_sha.append(of_ids.hexdigest())
+                text_sha.append(of_text.hexdigest())
                 if with_text:
-                    ids.append(np.frombuffer(raw, "<u4").astype(np.int64).tolist())
-                    texts.append(back.decode())
+                    ids.append(kept[0])
+                    texts.append("".join([*kept[1], said]))
             cols, names = [batch.column(0), pa.array(n, pa.int64()), pa.array(ids_sha, pa.string()), pa.array(text_sha, pa.string())], ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"]
             if with_text:
                 cols, names = [*cols, pa.array(ids, pa.list_(pa.int64())), pa.array(texts, pa.string())], [*names, "ids", "decoded"]
@@ -198,6 +217,8 @@ def _coded(path: str, with_text: bool):
 def bpe_round_trip(docs: DataFrame, tokenizer: str, id_col: str = "doc_id", text_col: str = "text", with_text: bool = False) -> DataFrame:
     """One row per input row: doc_id, n_tokens, ids_sha256, decoded_sha256 (and ids, decoded, if asked for).
 
-    For word vocabularies (white space dropped, end-of-word suffix). Null and empty texts have no ids and decode to the empty text.
+    For word vocabularies (white space dropped, end-of-word suffix). Null and empty texts have no ids and decode to the
+    empty text. Rows are independent: null ids and repeated rows stay as they are, each with its own result; other columns are not looked at.
+    Ids leave the encoder a block of chunks at a time and go through the decoder's state, so that beside the text only such a block is held.
     """
     return in_arrow(text_table(docs, id_col, text_col), _coded(tokenizer, with_text), "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids array<long>, decoded string" * with_text)

@@ -12,6 +12,8 @@ from __future__ import annotations
 import json
 import re
 from array import array
+from collections.abc import Iterator
+from functools import cached_property
 from pathlib import Path
 
 import numpy as np
@@ -25,6 +27,8 @@ SOLID = re.compile(f"[^{WHITE}]+")
 #: Letters of ASCII and the Latin blocks up to U+024F; text of these, ASCII and nothing else needs no normal form.
 LATIN = "A-Za-z\xc0-\xd6\xd8-\xf6\xf8-\u024f"
 BEYOND_LATIN = re.compile(f"[^\x00-\x7f{LATIN}]")
+#: Chunks of a text whose ids are given at once.
+BLOCK = 4096
 #: Entries of one generation of a worker's table.
 HELD = 300_000
 
@@ -62,44 +66,69 @@ class Held(dict):
         return value
 
 
+def ranked_by_id(model: dict) -> bool:
+    """Whether merging by token id gives what merging by the merge list gives: every token of two symbols or more is made by a merge, in ascending order of ids."""
+    vocab = model["vocab"]
+    made = [vocab.get("".join(m if isinstance(m, list) else m.split(" ", 1)), -1) for m in model["merges"]]
+    several = sum(len(t) > 1 for t in vocab)
+    return all(a < b for a, b in zip([-1, *made], made, strict=False)) and len(made) == several
+
+
 class Encoder:
     """text -> its ids as little-endian unsigned 32-bit bytes, equal to encode(text, add_special_tokens=False).
 
     merge(piece) gives the ids of a piece between the vocabulary's own splits,
     in the vocabulary's stand-in characters; by default it is the library's model.
+    The library itself is loaded only where it is needed.
     """
 
     def __init__(self, path: str, merge=None):
-        from tokenizers import Tokenizer
-
-        self.library = Tokenizer.from_file(path)
-        self.library.no_truncation()
-        self.library.no_padding()
-        self.rules = json.loads(Path(path).read_text())
-        self.special = {t["content"]: t["id"] for t in self.rules["added_tokens"]}
+        self.path = path
+        rules = json.loads(Path(path).read_text())
+        self.special = {t["content"]: t["id"] for t in rules["added_tokens"]}
         self.ordinary = None
-        if self.rules["pre_tokenizer"]["type"] == "ByteLevel":
-            import tiktoken
+        self.bytewise = rules["pre_tokenizer"]["type"] == "ByteLevel"
+        if self.bytewise:
+            plain = {t: n for t, n in rules["model"]["vocab"].items() if t not in self.special}
+            if ranked_by_id(rules["model"] | {"vocab": plain}):
+                import tiktoken
 
-            from public_tokenizers import PATTERN
+                from public_tokenizers import PATTERN
 
-            back = {c: b for b, c in enumerate(SYMBOLS)}
-            ranks = {bytes(back[c] for c in token): n for token, n in self.rules["model"]["vocab"].items() if token not in self.special}
-            self.ordinary = tiktoken.Encoding("ranks", pat_str=PATTERN, mergeable_ranks=ranks, special_tokens={}).encode_to_numpy
+                back = {c: b for b, c in enumerate(SYMBOLS)}
+                ranks = {bytes(back[c] for c in token): n for token, n in plain.items()}
+                self.ordinary = tiktoken.Encoding("ranks", pat_str=PATTERN, mergeable_ranks=ranks, special_tokens={}).encode_to_numpy
         else:
-            pattern = self.rules["pre_tokenizer"]["pretokenizers"][0]["pattern"]["Regex"]
+            pattern = rules["pre_tokenizer"]["pretokenizers"][0]["pattern"]["Regex"]
             self.split = regex.compile(pattern).findall
             self.latin = re.compile(pattern.replace(r"\p{L}", LATIN).replace(r"\p{N}", "0-9"), re.ASCII).findall
             self.chunks, self.pieces = Held(self.solid), Held(self.piece)
             self.merge = merge or (lambda piece: [t.id for t in self.library.model.tokenize(piece)])
 
+    @cached_property
+    def library(self):
+        from tokenizers import Tokenizer
+
+        out = Tokenizer.from_file(self.path)
+        out.no_truncation()
+        out.no_padding()
+        return out
+
     def __call__(self, text: str) -> bytes:
-        if self.ordinary:
-            if any(s in text for s in self.special):
+        if self.bytewise:
+            if not self.ordinary or any(s in text for s in self.special):
                 return array("I", self.library.encode(text, add_special_tokens=False).ids).tobytes()
             return self.ordinary(text).tobytes()
+        return b"".join(self.stream(text))
+
+    def stream(self, text: str) -> Iterator[bytes]:
+        """The same in parts: of a word vocabulary BLOCK chunks at a time, otherwise whole."""
+        if self.bytewise:
+            yield self(text)
+            return
         chunks = SOLID.findall(text) if SEPARATORS.search(text) else text.split()
-        return b"".join(map(self.chunks.__getitem__, chunks))
+        for k in range(0, len(chunks), BLOCK):
+            yield b"".join(map(self.chunks.__getitem__, chunks[k : k + BLOCK]))
 
     def solid(self, chunk: str) -> bytes:
         """Of text without white space."""
