@@ -82,9 +82,29 @@ def without(rows: DataFrame, gone: DataFrame, names: list[str]) -> DataFrame:
     return rows.join(small(staged(gone, "gone")), "row", "left_anti").select(*[F.col(f"c{k}").alias(c) for k, c in enumerate(names)])
 
 
+#: Bytes of a batch that a function is given at once, if it has several rows.
+SLICE_BYTES = 2 << 20
+
+
+def _in_slices(function):
+    """The function over batches of a bounded size, so that what it makes of one stays small."""
+
+    def make(batches):
+        def slices():
+            for batch in batches:
+                step = max(1, batch.num_rows * SLICE_BYTES // max(1, batch.nbytes))
+                for k in range(0, batch.num_rows, step):
+                    yield batch.slice(k, step)
+
+        yield from function(slices())
+        pa.default_memory_pool().release_unused()
+
+    return make
+
+
 def in_arrow(df: DataFrame, function, schema: str) -> DataFrame:
     workers_see_package(df.sparkSession)
-    return df.mapInArrow(function, schema)
+    return df.mapInArrow(_in_slices(function), schema)
 
 
 def _stars(batches):
