@@ -3,11 +3,13 @@
 import hashlib
 import json
 import random
+from collections import Counter
 
 import numpy as np
 import public_tokenizers
 import pytest
 from brute import components, crc, exact, rules, simhash_components, url
+from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
 from tmotif.llm import binary, bpe, common, packing, quality, secrets, simhash, urls
@@ -288,50 +290,61 @@ def test_secrets(spark):
     assert secrets.scan(df.where("false"), forest).count() == 0
 
 
-def kn_brute(lines: list[str], order: int) -> dict:
-    """Modified Kneser-Ney by dictionaries: (context, symbol) -> p for what was seen, and the function for all."""
-    from collections import Counter
-
-    top = Counter()
-    for t in lines:
-        for g in quality.grams(t, order).tolist():
-            top[g] += 1
-    tables = [top]
-    for k in range(order - 1, 0, -1):
-        tables.insert(0, Counter(g % quality.SIZE**k for g in tables[0]))
-
-    def cuts(c):
-        n = Counter(c.values())
-        if not (n[1] and n[2] and n[3]):
-            return 0.5, 0.75, 0.9
-        y = n[1] / (n[1] + 2 * n[2])
-        return max(0.1, 1 - 2 * y * n[2] / n[1]), max(0.1, 2 - 3 * y * n[3] / n[2]), max(0.1, 3 - 4 * y * (n[4] or 1) / n[3])
-
-    d = [cuts(c) for c in tables]
-
-    def p(g: int, k: int) -> float:
-        if k == 0:
-            return 1 / quality.SIZE
-        h = g // quality.SIZE
-        own = {x: n for x, n in tables[k - 1].items() if x // quality.SIZE == h}
-        low = p(g % quality.SIZE ** (k - 1), k - 1)
+def kn_brute(lines: list[str], order: int):
+    """p(symbol, the order - 1 symbols before it) by the definition."""
+    fold = lambda t: "\x02" * (order - 1) + "".join("0" if c in "0123456789" else c for c in t)
+    tables = [Counter(fold(t)[i : i + order] for t in lines for i in range(len(t)))]
+    for _ in range(order - 1):
+        tables.insert(0, Counter(g[1:] for g in tables[0]))
+    cuts = []
+    for table in tables:
+        n = [sum(c == k for c in table.values()) for k in (1, 2, 3, 4)]
+        if not (n[0] and n[1] and n[2]):
+            cuts.append((0.5, 0.75, 0.9))
+        else:
+            y = n[0] / (n[0] + 2 * n[1])
+            cuts.append(tuple(max(0.1, k - (k + 1) * y * (n[k] or (k == 3)) / n[k - 1]) for k in (1, 2, 3)))
+
+    def p(g: str) -> float:
+        k = len(g)
+        if not k:
+            return 1 / (len(tables[0]) + 1)
+        own = {x: n for x, n in tables[k - 1].items() if x[:-1] == g[:-1]}
         if not own:
-            return low
-        cut = lambda n: d[k - 1][min(n, 3) - 1]
+            return p(g[1:])
+        cut = lambda n: cuts[k - 1][min(n, 3) - 1]
         n = own.get(g, 0)
-        return (max(n - cut(n), 0) if n else 0) / sum(own.values()) + sum(map(cut, own.values())) / sum(own.values()) * low
+        return (max(n - cut(n), 0) if n else 0) / sum(own.values()) + sum(map(cut, own.values())) / sum(own.values()) * p(g[1:])
 
-    return p
+    return lambda text: [p(fold(text)[i : i + order]) for i in range(len(text))]
 
 
-def test_kneser_ney(spark):
-    lines = ["abab abba. ab", "ba ba abc", "cab, abba! Ab 1", "aaa bbb ccc abc"] * 2 + ["abcabc"]
-    df = spark.createDataFrame([(t,) for t in lines], "text string").repartition(3)
-    table = quality.model_table(quality.count_grams(df, 3), 3)
-    p = kn_brute(lines, 3)
-    for g in [*quality.grams("abba ab. zq", 3).tolist(), 0, 777, 39 * 1600 + 39 * 40]:
-        assert np.exp(table[g]) == pytest.approx(p(g, 3), rel=1e-5)
-    assert np.exp(table.astype(float)).reshape(-1, quality.SIZE).sum(axis=1) == pytest.approx(1, abs=1e-4)
+KN_LINES = {"en": ["abab abba. ab", "ba ba abc", "cab, abba! Ab 1", "aaa bbb ccc abc"] * 2 + ["abcabc"], "zh": ["中文中文字", "文字中文", "字字", "中文字中"], "": ["no name", "name no"]}
+
+
+@pytest.mark.parametrize("order", [3, 5])
+def test_kneser_ney(spark, order):
+    df = spark.createDataFrame([(x, t) for x, ts in KN_LINES.items() for t in [*ts, None, ""]], "lang string, text string").repartition(3)
+    models = quality.loaded(quality.tables(quality.count_grams(df, order), order), order)
+    assert set(models) == set(KN_LINES)
+    for lang, lines in KN_LINES.items():
+        p = kn_brute(lines, order)
+        for text in [*lines, "abba ab. zq 77", "文中字x", "a"]:
+            assert np.exp(quality.log_p(quality.symbols(text), models[lang])) == pytest.approx(p(text), rel=1e-9)
+
+
+def test_shards_equal_broadcast(spark, monkeypatch):
+    """Tables over the bound are joined by shards: the same scores, no row lost; long texts in chunks."""
+    monkeypatch.setattr(quality, "PART_ROWS", 7)
+    rnd = random.Random(9)
+    rows = [(d, "".join(rnd.choice("abc d.é中9") for _ in range(rnd.randint(0, 90))), rnd.choice(["en", "de", "xx", None])) for d in range(60)] + [(1, None, "en"), (1, None, "en"), (None, "ab", "en"), (7, "abc " * 5000, "de")]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string, lang string").withColumn("model_", F.lit(1)).withColumn("lang_", F.lit("q"))
+    labels = spark.createDataFrame([(d, 1) for d in range(30) if rows[d][2] in ("en", "de")], "doc_id bigint, quality int")
+    a, b = (sorted((tuple(round(x, 9) if isinstance(x, float) else x for x in r) for r in quality.classify(df, labels, largest=n).collect()), key=repr) for n in (quality.LARGEST, 0))
+    assert a == b and len(a) == len(rows) and sum(r[2] is not None for r in a) > 50
+    monkeypatch.setattr(quality, "CHUNK", 100)
+    c = sorted((tuple(round(x, 9) if isinstance(x, float) else x for x in r) for r in quality.classify(df, labels).collect()), key=repr)
+    assert c == a
 
 
 def test_quality(spark, docs, empty):

@@ -1,13 +1,13 @@
-"""Quality classifier: an interpolated modified Kneser-Ney n-gram model over character classes.
-
-Text is read as a sequence over a fixed alphabet of SIZE classes, so the model
-has at most SIZE ** ORDER entries whatever the corpus. Counts of all trusted
-documents are combined in each task and summed by n-gram; the tables of each
-order are joined by hash shards of their contexts and suffixes to give
-probabilities and back-off weights. The finished table is of the stated size at most (LARGEST entries are
-checked) and goes to every worker, where a document's perplexity is one pass over its text.
-A document is kept up to a limit for its language: a quantile of the trusted
-documents' perplexities, and some slack above it.
+"""Quality classifier: an interpolated modified Kneser-Ney model over characters for each language.
+
+Trusted documents are read as sequences of code points (digits are one symbol), START standing before each.
+Their n-grams are counted in each task and summed by (language, n-gram); the table of each order is joined,
+by hash shards, with the totals of its contexts and the probabilities of the order below. A document's perplexity is that
+under its language's model; it is kept up to a quantile of the trusted documents' perplexities in its language.
+
+The finished tables reach the documents in one of two ways, which give the same numbers. Up to LARGEST entries they
+are broadcast. Beyond, every bounded part of the documents sends its distinct n-grams once; these are joined with the
+shards of all orders, and each part gets back the probabilities of its own n-grams.
 """
 
 from __future__ import annotations
@@ -16,153 +16,268 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+import pyarrow.compute
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from tmotif.llm.common import in_arrow, staged
+from tmotif.llm.common import in_arrow, staged, workers_see_package
 
-ORDER = 4
-#: The classes after a-z (0 to 25).
-UPPER, DIGIT, BLANK, LINE, VOWEL, ACCENT, LETTER, STOP, PAUSE, CALL, MARK, SYMBOL, OTHER, START = range(26, 40)
-SIZE = 40
-LARGEST = 1 << 22
-#: Quantile of the trusted documents' perplexities, and the slack on it.
-QUANTILE = 0.995
-SLACK = 1.1
+ORDER = 5
+#: The symbol before a text, what a text's own one becomes, and the symbol of all digits.
+START, OTHER, DIGIT = 2, 1, ord("0")
+#: Entries of all tables that may be broadcast (16 bytes each).
+LARGEST = 4_000_000
+#: Quantile of the trusted documents' perplexities.
+QUANTILE = 0.997
 #: Least discount, so that every n-gram has a chance.
 LEAST_CUT = 0.1
-#: Ids of trusted documents that may be broadcast; more are joined by a shuffle.
-BROADCAST_IDS = 2_000_000
-#: Languages whose limits may be broadcast; more are joined by a shuffle.
-BROADCAST_LANGS = 100_000
-
-
-def _classes() -> np.ndarray:
-    table = np.full(0x250, OTHER, np.uint8)
-    for c in range(0x250):
-        s = chr(c)
-        if "a" <= s <= "z":
-            table[c] = c - 97
-        elif s.isdigit():
-            table[c] = DIGIT
-        elif s.isalpha():
-            table[c] = UPPER if c < 128 or s.isupper() else VOWEL if s in "àâäáãåæèéêëìíîïòóôöõøùúûü" else ACCENT
-    for symbols, kind in ((" \t", BLANK), ("\n\r\x0b\x0c", LINE), (".", STOP), (",;:", PAUSE), ("!?", CALL), ("\"'()[]{}-/\\@_+=", MARK), ("#*$%&|<>~^`", SYMBOL)):
-        for s in symbols:
-            table[ord(s)] = kind
-    return table
-
-
-TABLE = _classes()
-
-
-def grams(text: str, order: int = ORDER) -> np.ndarray:
-    """Codes of the n-grams that end at each character; START stands before the text."""
-    points = np.frombuffer(text.encode("utf-32-le", "replace"), "<u4")
-    kinds = np.where(points < 0x250, TABLE[np.minimum(points, 0x24F)], LETTER).astype(np.int32)
-    line = np.concatenate([np.full(order - 1, START, np.int32), kinds])
-    code = np.zeros(len(kinds), np.int32)
-    for k in range(order):
-        code = code * SIZE + line[k : k + len(kinds)]
-    return code
+#: Ids of trusted documents, and languages, that may be broadcast; more are joined by a shuffle.
+BROADCAST_IDS, BROADCAST_LANGS = 2_000_000, 100_000
+#: Documents of a part, where the tables are not broadcast; n-grams that a counting task holds for one language.
+PART_ROWS, HELD = 2_000, 1_000_000
+#: Characters that are looked up at once.
+CHUNK = 1 << 18
+#: Odd; codes of n-grams are polynomials in it modulo 2^64.
+BASE = 0x9E3779B97F4A7C15
+#: Stands for all languages.
+ANY = "\x01any"
+
+
+def symbols(text: str) -> np.ndarray:
+    points = np.frombuffer(text.encode("utf-32-le", "replace"), "<u4").copy()
+    points[(points >= 48) & (points <= 57)] = DIGIT
+    points[points == START] = OTHER
+    return points
+
+
+def codes(line: np.ndarray, order: int) -> list[np.ndarray]:
+    """For k = 0..order the codes of the k symbols that end at each place from order on."""
+    n, power = len(line) - order, 1
+    line, out = line.astype(np.uint64) + np.uint64(1), [np.zeros(max(0, len(line) - order), np.uint64)]
+    for k in range(1, order + 1):
+        out.append(out[-1] + line[order - k + 1 : order - k + 1 + n] * np.uint64(power))
+        power = power * BASE % (1 << 64)
+    return out
+
+
+def padded(points: np.ndarray, order: int) -> np.ndarray:
+    return np.concatenate([np.full(order, START, points.dtype), points])
+
+
+def _grams(lines: list[np.ndarray], order: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Distinct codes of the n-grams of padded lines, how often each occurs, and its symbols, a row each."""
+    code = np.concatenate([codes(x, order)[order] for x in lines])
+    ends = np.concatenate([np.arange(len(x) - order) + at for x, at in zip(lines, np.cumsum([0, *map(len, lines[:-1])]), strict=True)])
+    distinct, first, counts = np.unique(code, return_index=True, return_counts=True)
+    return distinct, counts, np.concatenate(lines)[ends[first][:, None] + np.arange(1, order + 1)]
 
 
 def _counted(order: int):
     def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total = np.zeros(SIZE**order, np.int64)
+        held: dict[str, tuple] = {}
+
+        def rows(lang: str) -> pa.RecordBatch:
+            _, counts, chars = held.pop(lang)
+            raw = np.ascontiguousarray(chars.astype("<u4")).tobytes()
+            grams = [raw[k : k + 4 * order].decode("utf-32-le") for k in range(0, len(raw), 4 * order)]
+            return pa.RecordBatch.from_arrays([pa.array([lang] * len(grams), pa.string()), pa.array(grams, pa.string()), pa.array(counts, pa.int64())], ["lang", "g", "c"])
+
+        def add(lang: str, lines: list[np.ndarray]) -> None:
+            new = _grams(lines, order)
+            if lang in held:
+                distinct, first, back = np.unique(np.concatenate([held[lang][0], new[0]]), return_index=True, return_inverse=True)
+                counts = np.bincount(back, np.concatenate([held[lang][1], new[1]])).astype(np.int64)
+                new = distinct, counts, np.concatenate([held[lang][2], new[2]])[first]
+            held[lang] = new
+
         for batch in batches:
-            for text in batch.column(0).to_pylist():
+            waiting: dict[str, list[np.ndarray]] = {}
+            for lang, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
                 if text:
-                    np.add.at(total, grams(text, order), 1)
-        seen = np.flatnonzero(total)
-        if len(seen):
-            yield pa.RecordBatch.from_arrays([pa.array(seen.astype(np.int64)), pa.array(total[seen])], ["g", "c"])
+                    waiting.setdefault(lang, []).append(padded(symbols(text), order))
+                    if sum(map(len, waiting[lang])) > CHUNK:
+                        add(lang, waiting.pop(lang))
+            for lang, lines in waiting.items():
+                add(lang, lines)
+            for lang in [x for x in held if len(held[x][0]) > HELD]:
+                yield rows(lang)
+        for lang in [*held]:
+            yield rows(lang)
 
     return make
 
 
 def count_grams(texts: DataFrame, order: int = ORDER) -> DataFrame:
-    """g, c over all rows of a one-column table of texts."""
-    return in_arrow(texts, _counted(order), "g long, c long").groupBy("g").agg(F.sum("c").alias("c"))
+    """lang, g (the symbols, as a string), c over all rows (lang, text)."""
+    return in_arrow(texts.select("lang", "text"), _counted(order), "lang string, g string, c long").groupBy("lang", "g").agg(F.sum("c").alias("c"))
 
 
-def _discounts(counts: DataFrame):
-    """The three discounts of modified Kneser-Ney from the counts of counts; fixed fallbacks where a class is empty."""
-    row = counts.agg(*[F.sum(F.when(F.col("c") == k, 1).otherwise(0)).alias(f"n{k}") for k in (1, 2, 3, 4)]).first()
-    n1, n2, n3, n4 = (row[f"n{k}"] or 0 for k in (1, 2, 3, 4))
-    if not (n1 and n2 and n3):
-        return 0.5, 0.75, 0.9
-    y = n1 / (n1 + 2 * n2)
-    return max(LEAST_CUT, 1 - 2 * y * n2 / n1), max(LEAST_CUT, 2 - 3 * y * n3 / n2), max(LEAST_CUT, 3 - 4 * y * (n4 or 1) / n3)
+def _with_discounts(table: DataFrame) -> DataFrame:
+    """Adds d, the discount of modified Kneser-Ney for the count, by language; fixed ones where a class of counts is empty."""
+    sums = table.groupBy("lang").agg(*[F.sum((F.col("c") == k).cast("double")).alias(f"n{k}") for k in (1, 2, 3, 4)])
+    n1, n2, n3, n4 = (F.col(f"n{k}") for k in (1, 2, 3, 4))
+    y, whole = n1 / (n1 + 2 * n2), (n1 > 0) & (n2 > 0) & (n3 > 0)
+    cuts = [(1 - 2 * y * n2 / n1, 0.5), (2 - 3 * y * n3 / n2, 0.75), (3 - 4 * y * F.greatest(n4, F.lit(1.0)) / n3, 0.9)]
+    named = sums.select("lang", *[F.when(whole, F.greatest(F.lit(LEAST_CUT), x)).otherwise(F.lit(z)).alias(f"d{k}") for k, (x, z) in enumerate(cuts, 1)])
+    return table.join(named, "lang").withColumn("d", F.when(F.col("c") == 1, F.col("d1")).when(F.col("c") == 2, F.col("d2")).otherwise(F.col("d3"))).drop("d1", "d2", "d3")
 
 
-def probabilities(counts: DataFrame, order: int = ORDER) -> list[tuple[DataFrame, DataFrame]]:
-    """For each order from 1: (g, p) of the n-grams seen and (h, back-off weight) of their contexts.
+def tables(counts: DataFrame, order: int = ORDER) -> DataFrame:
+    """lang, k, kind, g, v: kind 'p' has log probabilities of the n-grams seen of order k, 'w' log back-off weights of their contexts; order 0 has that of a symbol never seen.
 
     The highest order has counts, each lower one the number of different
-    symbols before the n-gram. Probabilities of an order join the counts of
-    its contexts and the probabilities of the order below by suffix.
+    symbols before the n-gram.
     """
-    tables = [counts]
-    for k in range(order - 1, 0, -1):
-        tables.insert(0, tables[0].select((F.col("g") % SIZE**k).alias("g")).groupBy("g").agg(F.count(F.lit(1)).alias("c")))
-    out: list[tuple[DataFrame, DataFrame]] = []
-    for k, table in enumerate(tables, 1):
-        table = staged(table, "grams")
-        d1, d2, d3 = _discounts(table)
-        cut = F.when(F.col("c") == 1, d1).when(F.col("c") == 2, d2).otherwise(d3)
-        rows = table.select("g", F.col("c"), cut.alias("d"), F.expr(f"g div {SIZE}").alias("h"), (F.col("g") % SIZE ** (k - 1)).alias("s"))
-        context = rows.groupBy("h").agg(F.sum("c").alias("all"), F.sum("d").alias("held"))
-        rows = rows.join(context, "h")
-        if k == 1:
-            rows = rows.withColumn("low", F.lit(1.0 / SIZE))
-        else:
-            below = out[-1][0].select(F.col("g").alias("s"), F.col("p").alias("low"))
-            rows = rows.join(below, "s")
+    every = [staged(counts, "grams")]
+    for _ in range(order - 1):
+        every.insert(0, every[0].groupBy("lang", F.expr("substring(g, 2)").alias("g")).agg(F.count(F.lit(1)).alias("c")))
+    # a symbol that no trusted text has is one more symbol
+    below = every[0].groupBy("lang").agg((1.0 / (F.count(F.lit(1)) + 1)).alias("low"))
+    out = below.select("lang", F.lit(0).alias("k"), F.lit("p").alias("kind"), F.lit("").alias("g"), F.log("low").alias("v"))
+    on = ["lang"]
+    for k, table in enumerate(every, 1):
+        rows = _with_discounts(staged(table, "grams") if k < order else table).select("lang", "g", "c", "d", F.expr(f"left(g, {k - 1})").alias("h"), F.expr("substring(g, 2)").alias("s"))
+        context = staged(rows.groupBy("lang", "h").agg(F.sum("c").alias("all"), F.sum("d").alias("held")), "contexts")
         p = F.greatest(F.col("c") - F.col("d"), F.lit(0.0)) / F.col("all") + F.col("held") / F.col("all") * F.col("low")
-        out.append((staged(rows.select("g", p.alias("p")), "model"), context.select("h", (F.col("held") / F.col("all")).alias("w"))))
+        seen = staged(rows.join(context, ["lang", "h"]).join(below, on).select("lang", "g", p.alias("p")), "model")
+        out = out.union(seen.select("lang", F.lit(k), F.lit("p"), "g", F.log("p"))).union(context.select("lang", F.lit(k), F.lit("w"), F.col("h"), F.log(F.col("held") / F.col("all"))))
+        below, on = seen.select("lang", F.col("g").alias("s"), F.col("p").alias("low")), ["lang", "s"]
+    return out
+
+
+def loaded(model: DataFrame, order: int = ORDER) -> dict[str, list]:
+    """language -> for each order (codes, log p, codes of contexts, log weights), sorted by code; [0] is that of an unknown symbol."""
+    rows = model.toArrow()
+    lang, k, kind = (np.array(rows[c].to_pylist(), object) for c in ("lang", "k", "kind"))
+    grams, values = np.array(rows["g"].to_pylist(), object), rows["v"].to_numpy()
+    out: dict[str, list] = {}
+    for x in set(lang.tolist()):
+        out[x] = [float(values[(lang == x) & (k == 0)][0])]
+        for n in range(1, order + 1):
+            pair = []
+            for what, size in (("p", n), ("w", n - 1)):
+                at = np.flatnonzero((lang == x) & (k == n) & (kind == what))
+                points = np.frombuffer("".join(grams[at]).encode("utf-32-le"), "<u4").reshape(len(at), size)
+                code = codes(np.concatenate([np.zeros((len(at), 1), np.uint32), points], axis=1).T, size)[size][0] if size else np.zeros(len(at), np.uint64)
+                by = np.argsort(code)
+                pair += [code[by], values[at][by]]
+            out[x].append(tuple(pair))
+    return out
+
+
+def _found(keys: np.ndarray, values: np.ndarray, wanted: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    at = np.minimum(np.searchsorted(keys, wanted), max(0, len(keys) - 1))
+    hit = keys[at] == wanted if len(keys) else np.zeros(len(wanted), bool)
+    return hit, values[at[hit]]
+
+
+def log_p(points: np.ndarray, model: list) -> np.ndarray:
+    """Of each symbol after those before it."""
+    order = len(model) - 1
+    line = padded(points, order)
+    own, before = codes(line, order), codes(line[:-1], order - 1)
+    out, need = np.zeros(len(points)), np.arange(len(points))
+    for k in range(order, 0, -1):
+        keys, values, contexts, weights = model[k]
+        hit, found = _found(keys, values, own[k][need])
+        out[need[hit]] += found
+        need = need[~hit]
+        if not len(need):
+            return out
+        hit, found = _found(contexts, weights, before[k - 1][need])
+        out[need[hit]] += found
+    out[need] += model[0]
     return out
 
 
-def model_table(counts: DataFrame, order: int = ORDER) -> np.ndarray:
-    """log p of every n-gram code; SIZE ** order numbers."""
-    if SIZE**order > LARGEST:
-        raise ValueError(f"{SIZE}^{order} entries are over the checked size {LARGEST}")
-    low = np.full(1, 1.0 / SIZE)
-    for k, (seen, weights) in enumerate(probabilities(counts, order), 1):
-        w = np.ones(SIZE ** (k - 1))
-        pdf = weights.toPandas()
-        w[pdf["h"].to_numpy(np.int64)] = pdf["w"]
-        suffix = np.arange(SIZE**k) % len(low) if k > 1 else np.zeros(SIZE, np.int64)
-        table = np.repeat(w, SIZE) * low[suffix]
-        pdf = seen.toPandas()
-        table[pdf["g"].to_numpy(np.int64)] = pdf["p"]
-        low = table
-    return np.log(low).astype(np.float32)
-
-
-def perplexity(text: str | None, table: np.ndarray, order: int = ORDER) -> float | None:
-    if not text:
+def perplexity(text: str | None, model: list | None) -> float | None:
+    """Per symbol; None for null and empty texts and where there is no model."""
+    if not text or model is None:
         return None
-    return float(np.exp(-np.mean(table[grams(text, order)], dtype=np.float64)))
+    points, order = symbols(text), len(model) - 1
+    total = 0.0
+    for k in range(0, len(points), CHUNK):
+        skip = min(k, order)
+        total += float(log_p(points[k - skip : k + CHUNK], model)[skip:].sum())
+    return float(np.exp(-total / len(points)))
 
 
-def _scored(table, at: int, order: int):
+def _scored(models, text_at: int, lang_at: int):
     def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        log_p = table.value
+        known = models.value
         for batch in batches:
-            scores = pa.array([perplexity(t, log_p, order) for t in batch.column(at).to_pylist()], pa.float64())
-            yield pa.RecordBatch.from_arrays([*batch.columns, scores], [*batch.schema.names, "score"])
+            scores = [perplexity(t, known.get(lang, known.get(ANY))) for t, lang in zip(batch.column(text_at).to_pylist(), batch.column(lang_at).to_pylist(), strict=True)]
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(scores, pa.float64())], [*batch.schema.names, "score"])
 
     return make
 
 
-def scored(rows: DataFrame, table: np.ndarray, text: str = "text", order: int = ORDER) -> DataFrame:
-    """All columns and score, the perplexity per character (null for null and empty texts)."""
-    shared = rows.sparkSession.sparkContext.broadcast(table)
+def _asked(order: int):
+    """The distinct n-grams of each part's documents: part, lang, g."""
+    count = _counted(order)
+
+    def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for part in set(batch.column(0).to_pylist()):
+                own = batch.filter(pa.compute.equal(batch.column(0), part))
+                for rows in count([pa.RecordBatch.from_arrays(own.columns[1:], ["lang", "text"])]):
+                    yield pa.RecordBatch.from_arrays([pa.array([part] * rows.num_rows, pa.int64()), rows.column(0), rows.column(1)], ["part", "lang", "g"])
+
+    return make
+
+
+def _answered(order: int, text: str):
+    def make(key: tuple, rows: pa.Table, grams: pa.Table) -> pa.Table:
+        codes_, values = {}, {}
+        of = np.array(grams["lang"].to_pylist(), object)
+        every = grams["g"].to_pylist()
+        for lang in set(of.tolist()):
+            at = np.flatnonzero(of == lang)
+            points = np.frombuffer("".join([every[k] for k in at]).encode("utf-32-le"), "<u4").reshape(len(at), order)
+            code = codes(np.concatenate([np.zeros((len(at), 1), np.uint32), points], axis=1).T, order)[order][0]
+            by = np.argsort(code)
+            codes_[lang], values[lang] = code[by], grams["v"].to_numpy()[at][by]
+        scores = []
+        for t, lang in zip(rows[text].to_pylist(), rows["model_"].to_pylist(), strict=True):
+            if not t or lang not in codes_:
+                scores.append(None)
+                continue
+            hit, found = _found(codes_[lang], values[lang], codes(padded(symbols(t), order), order)[order])
+            scores.append(float(np.exp(-found.mean())) if hit.all() and not np.isnan(found).any() else None)
+        return rows.drop_columns(["part_", "model_"]).append_column("score", pa.array(scores, pa.float64()))
+
+    return make
+
+
+def scored_by_shards(rows: DataFrame, model: DataFrame, text: str, lang: str, order: int = ORDER) -> DataFrame:
+    """As scored, with the tables joined to the distinct n-grams of each part of the rows, nothing broadcast."""
+    langs = model.where("k = 0").select(F.col("lang").alias("known_")).distinct()
+    named = rows.join(langs, F.col(lang).eqNullSafe(F.col("known_")), "left").withColumn("model_", F.coalesce("known_", F.lit(ANY))).drop("known_")
+    parts = max(1, -(-rows.count() // PART_ROWS))
+    dealt = staged(named.withColumn("part_", F.pmod(F.xxhash64(text, F.monotonically_increasing_id()), F.lit(parts))), "parts")
+    asked = in_arrow(dealt.select(F.col("part_").alias("part"), F.col("model_").alias("lang"), text), _asked(order), "part long, lang string, g string").distinct()
+    value: Column = F.col("v0")
+    joined = asked.join(model.where("k = 0").select("lang", F.col("v").alias("v0")), "lang")
+    for k in range(1, order + 1):
+        p = model.where(f"k = {k} and kind = 'p'").select("lang", F.col("g").alias("g_"), F.col("v").alias(f"p{k}"))
+        w = model.where(f"k = {k} and kind = 'w'").select(F.col("lang"), F.col("g").alias("h_"), F.col("v").alias(f"w{k}"))
+        joined = joined.withColumn("g_", F.expr(f"right(g, {k})")).withColumn("h_", F.expr(f"left(right(g, {k}), {k - 1})"))
+        joined = joined.join(p, ["lang", "g_"], "left").join(w, ["lang", "h_"], "left").drop("g_", "h_")
+        value = F.coalesce(F.col(f"p{k}"), F.coalesce(F.col(f"w{k}"), F.lit(0.0)) + value)
+    answers = joined.select(F.col("part").alias("part_"), "lang", "g", value.alias("v"))
+    workers_see_package(rows.sparkSession)
     schema = T.StructType([*rows.schema.fields, T.StructField("score", T.DoubleType())])
-    return in_arrow(rows, _scored(shared, rows.columns.index(text), order), schema)
+    return dealt.groupBy("part_").cogroup(answers.groupBy("part_")).applyInArrow(_answered(order, text), schema)
+
+
+def scored(rows: DataFrame, model: DataFrame, text: str = "text", lang: str = "lang", order: int = ORDER, largest: int = LARGEST) -> DataFrame:
+    """All columns and score, the perplexity per symbol (null for null and empty texts, and where no model is)."""
+    if model.count() > largest:
+        return scored_by_shards(rows, model, text, lang, order)
+    shared = rows.sparkSession.sparkContext.broadcast(loaded(model, order))
+    schema = T.StructType([*rows.schema.fields, T.StructField("score", T.DoubleType())])
+    return in_arrow(rows, _scored(shared, rows.columns.index(text), rows.columns.index(lang)), schema)
 
 
 def trusted_rows(docs: DataFrame, labels: DataFrame, id_col: str, text_col: str, lang_col: str) -> DataFrame:
@@ -173,45 +288,51 @@ def trusted_rows(docs: DataFrame, labels: DataFrame, id_col: str, text_col: str,
     return docs.join(good, F.col(id_col) == F.col("good_id"), "left_semi").select(F.coalesce(F.col(lang_col), F.lit("")).alias("lang"), F.col(text_col).alias("text"))
 
 
-def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", quantile: float = QUANTILE, slack: float = SLACK, order: int = ORDER) -> tuple[np.ndarray, DataFrame]:
-    """The model's table, and (lang, limit) with a row of null lang for languages without trusted documents."""
+def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", quantile: float = QUANTILE, order: int = ORDER, largest: int = LARGEST) -> tuple[DataFrame, DataFrame]:
+    """The staged tables, and (lang, limit). Where documents have languages without trusted ones, a further model, ANY, of all trusted documents is made for these."""
     trusted = trusted_rows(docs, labels, id_col, text_col, lang_col)
-    table = model_table(count_grams(trusted.select("text"), order), order)
-    scores = staged(scored(trusted, table, order=order).select("lang", "score"), "scores")
-    limit = (F.percentile_approx("score", quantile, 10_000) * slack).alias("limit")
-    limits = scores.groupBy("lang").agg(limit).union(scores.agg(F.lit(None).cast("string").alias("lang"), limit))
-    return table, staged(limits, "limits")
+    langs = docs.select(F.coalesce(F.col(lang_col), F.lit("")).alias("lang")).distinct()
+    if not langs.join(trusted.where("text <> ''").select("lang").distinct(), "lang", "left_anti").isEmpty():
+        trusted = trusted.select(F.explode(F.array("lang", F.lit(ANY))).alias("lang"), "text")
+    model = staged(tables(count_grams(trusted, order), order), "tables")
+    scores = scored(trusted, model, order=order, largest=largest).select("lang", "score")
+    return model, staged(scores.groupBy("lang").agg(F.percentile_approx("score", quantile, 10_000).alias("limit")), "limits")
 
 
 def judged(rows: DataFrame, limits: DataFrame, lang: str) -> DataFrame:
-    """Adds limit and kept to rows with score: kept if score is at most the limit of the language."""
-    own = limits.where("lang is not null").select(F.col("lang").alias("limit_lang"), F.col("limit").alias("own_limit"))
-    if limits.count() <= BROADCAST_LANGS:
-        own = F.broadcast(own)
-    rest = limits.where("lang is null").agg(F.max("limit").alias("any_limit"))
-    rows = rows.join(own, F.coalesce(F.col(lang), F.lit("")) == F.col("limit_lang"), "left").crossJoin(F.broadcast(rest))  # one row
+    """Adds limit and kept to rows with score: kept if score is at most the limit of the language (or of ANY)."""
+    few = limits.count() <= BROADCAST_LANGS
+    named = lambda x: limits.where(F.col("lang") == ANY).agg(F.max("limit").alias("any_limit")) if x else limits.select(F.col("lang").alias("limit_lang"), F.col("limit").alias("own_limit"))
+    own = F.broadcast(named(False)) if few else named(False)
+    rows = rows.join(own, F.coalesce(F.col(lang), F.lit("")) == F.col("limit_lang"), "left").crossJoin(F.broadcast(named(True)))  # one row
     limit = F.coalesce("own_limit", "any_limit")
     return rows.withColumn("limit", limit).withColumn("kept", F.coalesce(F.col("score") <= F.col("limit"), F.lit(False))).drop("limit_lang", "own_limit", "any_limit")
 
 
+def _judged_docs(docs: DataFrame, labels: DataFrame, id_col: str, text_col: str, lang_col: str, how: dict) -> DataFrame:
+    """docs as c0, c1, .. with score, limit, kept."""
+    model, limits = fit(docs, labels, id_col, text_col, lang_col, **how)
+    names = docs.columns
+    inner = docs.select(*[F.col(f"`{c}`").alias(f"c{k}") for k, c in enumerate(names)])
+    text, lang = f"c{names.index(text_col)}", "lang_"
+    inner = inner.withColumn(lang, F.coalesce(f"c{names.index(lang_col)}", F.lit("")))
+    how = {k: v for k, v in how.items() if k in ("order", "largest")}
+    return judged(scored(inner, model, text, lang, **how), limits, lang)
+
+
 def classify(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", **how) -> DataFrame:
     """One row per input row: doc_id, lang, perplexity, limit, kept.
 
-    Null and empty texts have no perplexity and aren't kept. A language without
-    trusted documents takes the limit over all of them; without any trusted
-    document nothing has a limit and nothing is kept.
+    Null and empty texts have no perplexity and aren't kept. A null language is the empty one. A language without
+    trusted documents takes the model and limit of all of them; without any trusted
+    document nothing has a limit and nothing is kept. Null ids are never trusted; of repeated ids every row is. Repeated rows get equal results.
     """
-    table, limits = fit(docs, labels, id_col, text_col, lang_col, **how)
-    rows = docs.select(F.col(id_col).alias("doc_id"), F.col(lang_col).alias("lang"), F.col(text_col).alias("text"))
-    out = judged(scored(rows, table, order=how.get("order", ORDER)).drop("text"), limits, "lang")
-    return out.select("doc_id", "lang", F.col("score").alias("perplexity"), "limit", "kept")
+    names = docs.columns
+    out = _judged_docs(docs, labels, id_col, text_col, lang_col, how)
+    return out.select(F.col(f"c{names.index(id_col)}").alias("doc_id"), F.col(f"c{names.index(lang_col)}").alias("lang"), F.col("score").alias("perplexity"), "limit", "kept")
 
 
 def keep_good(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", **how) -> DataFrame:
     """The rows of docs that classify keeps, with all their columns."""
-    table, limits = fit(docs, labels, id_col, text_col, lang_col, **how)
-    names = docs.columns
-    inner = docs.select(*[F.col(f"`{c}`").alias(f"c{k}") for k, c in enumerate(names)])
-    text, lang = f"c{names.index(text_col)}", f"c{names.index(lang_col)}"
-    out = judged(scored(inner, table, text, how.get("order", ORDER)), limits, lang).where("kept")
-    return out.select(*[F.col(f"c{k}").alias(c) for k, c in enumerate(names)])
+    out = _judged_docs(docs, labels, id_col, text_col, lang_col, how).where("kept")
+    return out.select(*[F.col(f"c{k}").alias(c) for k, c in enumerate(docs.columns)])
