@@ -16,7 +16,6 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -32,11 +31,19 @@ KEY = ["d0", "d1", "d2", "d3", "check", "size"]
 
 
 def merged(runs: list[np.ndarray]) -> np.ndarray:
-    """One sorted run from several: equal entries become one with the smallest (id, row) and the sum of counts."""
+    """One sorted run from several: equal entries become one with the smallest (id, row) and the sum of counts.
+
+    Runs are sorted by their first 64 digest bits, so that the stable sort of these merges
+    whole runs; only entries that agree in them, copies nearly always, are then put in order among themselves.
+    """
     run = np.concatenate(runs) if runs else np.zeros(0, RUN)
-    run = run[np.lexsort([run[x] for x in ("row", "id", *reversed(KEY))])]
+    run = run[np.argsort(run["d0"], kind="stable")]
     if not len(run):
         return run
+    alike = run["d0"][1:] == run["d0"][:-1]
+    tied = np.flatnonzero(np.append(False, alike) | np.append(alike, False))
+    some = run[tied]
+    run[tied] = some[np.lexsort([some[x] for x in ("row", "id", *reversed(KEY))])]
     new = np.ones(len(run), bool)
     new[1:] = np.any([run[k][1:] != run[k][:-1] for k in KEY], axis=0)
     first = np.flatnonzero(new)
@@ -71,9 +78,9 @@ def _runs(slices: int):
     return make
 
 
-def _merge(pdf: pd.DataFrame) -> pd.DataFrame:
-    run = merged([np.frombuffer(x, RUN) for x in pdf["run"]])
-    return pd.DataFrame({"slice": [pdf["slice"].iloc[0]], "node": [pdf["up"].iloc[0]], "run": [run.tobytes()]})
+def _merge(met: pa.Table) -> pa.Table:
+    run = merged([np.frombuffer(x, RUN) for x in met["run"].to_pylist()])
+    return pa.table({"slice": met["slice"][:1], "node": met["up"][:1], "run": pa.array([run.tobytes()], pa.binary())})
 
 
 def _entries(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -102,7 +109,7 @@ def tree_merge(table: DataFrame) -> DataFrame:
     rounds = 0
     while (1 << FAN_BITS * rounds) < nodes:
         rounds += 1
-        runs = runs.withColumn("up", F.shiftright("node", FAN_BITS)).groupBy("slice", "up").applyInPandas(_merge, "slice long, node long, run binary")
+        runs = runs.withColumn("up", F.shiftright("node", FAN_BITS)).groupBy("slice", "up").applyInArrow(_merge, "slice long, node long, run binary")
     return in_arrow(runs.select("run"), _entries, "sha binary, check long, size long, keep_id long, keep_row long, group_size long")
 
 
