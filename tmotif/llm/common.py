@@ -8,6 +8,7 @@ an empty table gives an empty result with the same columns.
 
 from __future__ import annotations
 
+import ctypes
 import os
 import tempfile
 import uuid
@@ -97,13 +98,26 @@ def _in_slices(function):
                     yield batch.slice(k, step)
 
         yield from function(slices())
-        pa.default_memory_pool().release_unused()
+        give_back()
 
     return make
 
 
+def give_back() -> None:
+    """What a worker has freed goes back to the machine, since workers outlive their tasks."""
+    pa.default_memory_pool().release_unused()
+    if trim := getattr(ctypes.CDLL(None), "malloc_trim", None):
+        trim(0)
+
+
+#: Rows of an Arrow batch on its way to a worker; a session that has another value than Spark's own keeps it.
+BATCH_ROWS, BATCH_KEY = 1000, "spark.sql.execution.arrow.maxRecordsPerBatch"
+
+
 def in_arrow(df: DataFrame, function, schema: str) -> DataFrame:
     workers_see_package(df.sparkSession)
+    if df.sparkSession.conf.get(BATCH_KEY) == "10000":  # whole texts and hash sets: ten thousand rows are some 50 MB on either side
+        df.sparkSession.conf.set(BATCH_KEY, BATCH_ROWS)
     return df.mapInArrow(_in_slices(function), schema)
 
 
