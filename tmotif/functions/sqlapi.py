@@ -38,7 +38,7 @@ def register(spark: SparkSession) -> None:
     spark.udtf.register("motif_anchors", MotifAnchors)
     spark.udtf.register("motif_sample_bound", MotifSampleBound)
     spark.udf.register("chain_count", chain_count)
-    spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION rel_error(c DOUBLE, e DOUBLE) RETURN abs(c - e) / c")
+    spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION rel_error(c DOUBLE, e DOUBLE) RETURN abs(c - e) / nullif(c, 0)")
 
 
 def catalog_table(spark: SparkSession) -> DataFrame:

@@ -13,6 +13,7 @@ from tmotif.operators.prefix import counts_below
 from tmotif.operators.sampling import draws, locate
 from tmotif.operators.weights import total, weights, with_offsets
 from tmotif.sources.graph import TemporalGraph
+from tmotif.sources.io import staged
 
 
 def _third_window(anchor: Anchor, delta: int):
@@ -46,9 +47,9 @@ def constrained_paths(tg: TemporalGraph, motif: Motif, anchor: Anchor, delta: in
     """k paths drawn uniformly from those in pattern order and window, and how many there are. For paths."""
     if len(anchor.positions) != 3:
         raise ValueError("constrained sampling is for four vertices")
-    pairs = constrained_weights(tg, anchor, delta).persist()
+    pairs = staged(constrained_weights(tg, anchor, delta).where("w > 0"), "pairs")
     w_total = total(pairs)
-    found = locate(draws(tg.edges.sparkSession, k, w_total, seed), with_offsets(pairs, ["t", "eid", "eid1"]))
+    found = locate(draws(tg.edges.sparkSession, k, w_total, seed), staged(with_offsets(pairs, ["t", "eid", "eid1"]), "centers"), k)
     ends = ranked_incidence(tg, delta).where(F.col("dir") == anchor.cls.a3).select(F.col("vertex").alias("dst"), "rank", F.col("t").alias("t3"), F.col("eid").alias("eid3"), F.col("other").alias("v3"))
     out = found.withColumn("rank", F.col("lo3") + F.col("o")).join(ends, ["dst", "rank"])
     return out.select("draw", "path_id", "eid1", F.col("eid").alias("eid2"), "eid3", "t1", F.col("t").alias("t2"), "t3", "v0", F.col("src").alias("v1"), F.col("dst").alias("v2"), "v3"), w_total
@@ -73,9 +74,10 @@ def hub_estimate(tg: TemporalGraph, motif: Motif, delta: int, k: int, seed: int
     rows = base.join(counts, "eid")
     for i in (1, 2):
         rows = rows.withColumn(f"lo{i}", F.col(f"lo{signs[i]}")).withColumn(f"n{i}", F.col(f"hi{signs[i]}") - F.col(f"lo{signs[i]}"))
-    rows = rows.select("eid", "hub", "leaf0", "t", "lo1", "n1", "lo2", "n2", (F.col("n1") * F.col("n2")).alias("w")).persist()
+    rows = rows.select("eid", "hub", "leaf0", "t", "lo1", "n1", "lo2", "n2", (F.col("n1") * F.col("n2")).alias("w"))
+    rows = staged(rows.where("w > 0"), "hubs")
     w_total = total(rows)
-    found = locate(draws(tg.edges.sparkSession, k, w_total, seed), with_offsets(rows))
+    found = locate(draws(tg.edges.sparkSession, k, w_total, seed), staged(with_offsets(rows), "centers"), k)
     found = found.withColumn("r1", F.expr("lo1 + o div n2")).withColumn("r2", F.expr("lo2 + o % n2"))
     lists = ranked_incidence(tg, delta)
     for i in (1, 2):

@@ -5,8 +5,12 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from tmotif.operators.prefix import running_in_keys, with_previous
 from tmotif.sources.graph import TemporalGraph
 
+#: Width of the time buckets that a vertex's edges are ordered in: a day of microseconds.
+BUCKET = 86_400_000_000
+
 
 def active_centers(weighted: DataFrame) -> DataFrame:
     """Centers with at least one path."""
@@ -17,10 +21,13 @@ def sources_never_targets(tg: TemporalGraph) -> DataFrame:
     return tg.edges.select(F.col("src").alias("v")).distinct().join(tg.edges.select(F.col("dst").alias("v")), "v", "left_anti")
 
 
-def previous_edge(tg: TemporalGraph, by: str = "src") -> DataFrame:
-    """eid, src, t, previous_t: the time of the nearest earlier edge of the same vertex."""
-    order = Window.partitionBy(by).orderBy("t", "eid")
-    return tg.edges.select("eid", by, "t", F.lag("t").over(order).alias("previous_t"))
+def _bucketed(tg: TemporalGraph, width: int, *columns: str) -> DataFrame:
+    return tg.edges.select(*columns, F.expr(f"t div {width}").alias("bucket"))
+
+
+def previous_edge(tg: TemporalGraph, by: str = "src", width: int = BUCKET) -> DataFrame:
+    """eid, src, t, previous_t: the time of the nearest earlier edge of the same vertex. A hub is ordered in buckets of the width."""
+    return with_previous(_bucketed(tg, width, "eid", by, "t"), [by], ["t", "eid"], {"t": "previous_t"})
 
 
 def edges_per_window(windows: DataFrame, tg: TemporalGraph, width: int) -> DataFrame:
@@ -40,12 +47,11 @@ def sliding(tg: TemporalGraph, width: int, steps: int) -> DataFrame:
     return tg.edges.select(F.explode(F.sequence(at - (steps - 1), at)).alias("bucket")).groupBy("bucket").agg(F.count(F.lit(1)).alias("n"))
 
 
-def sessions(tg: TemporalGraph, gap: int) -> DataFrame:
+def sessions(tg: TemporalGraph, gap: int, width: int = BUCKET) -> DataFrame:
     """src, t_first, t_last, n: bursts of a vertex's edges less than gap apart (a gap of exactly that begins a new one)."""
-    order = Window.partitionBy("src").orderBy("t")
-    new = F.when(F.col("t") - F.lag("t").over(order) < gap, 0).otherwise(1)
-    rows = tg.edges.select("src", "t", new.alias("new"))
-    rows = rows.withColumn("k", F.sum("new").over(order))
+    rows = with_previous(_bucketed(tg, width, "eid", "src", "t"), ["src"], ["t", "eid"], {"t": "before"})
+    rows = rows.withColumn("new", F.when(F.col("t") - F.col("before") < gap, 0).otherwise(1)).withColumn("bucket", F.expr(f"t div {width}"))
+    rows = running_in_keys(rows, ["src"], ["t", "eid"], "new", "k")
     return rows.groupBy("src", "k").agg(F.min("t").alias("t_first"), F.max("t").alias("t_last"), F.count(F.lit(1)).alias("n")).drop("k")
 
 
@@ -59,8 +65,14 @@ def top_hubs(tg: TemporalGraph, k: int) -> DataFrame:
 
 
 def degree_deciles(tg: TemporalGraph) -> DataFrame:
-    """decile, n, low, high over vertices; one row per vertex is ranked, not one per edge."""
-    return degrees(tg).withColumn("decile", F.ntile(10).over(Window.orderBy("degree", "v"))).groupBy("decile").agg(F.count(F.lit(1)).alias("n"), F.min("degree").alias("low"), F.max("degree").alias("high"))
+    """decile, n, low, high over vertices in order of degree; only the histogram (a row for each degree that occurs) is ranked."""
+    every = Window.orderBy("degree").rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+    counts = degrees(tg).groupBy("degree").agg(F.count(F.lit(1)).alias("n"))
+    rows = counts.withColumn("end", F.sum("n").over(Window.orderBy("degree").rowsBetween(Window.unboundedPreceding, Window.currentRow))).withColumn("all", F.sum("n").over(every))
+    rows = rows.withColumn("start", F.col("end") - F.col("n")).withColumn("tile", F.explode(F.sequence(F.lit(0), F.lit(9))))
+    edge = lambda k: k * F.expr("`all` div 10") + F.least(k, F.col("all") % 10)  # noqa: E731  # the first tiles take the rest
+    held = F.least("end", edge(F.col("tile") + 1)) - F.greatest("start", edge(F.col("tile")))
+    return rows.withColumn("held", held).where("held > 0").groupBy((F.col("tile") + 1).alias("decile")).agg(F.sum("held").alias("n"), F.min("degree").alias("low"), F.max("degree").alias("high"))
 
 
 def vertex_sets(tg: TemporalGraph) -> DataFrame:
@@ -74,9 +86,11 @@ def vertex_sets(tg: TemporalGraph) -> DataFrame:
     return out
 
 
-def gaps(tg: TemporalGraph) -> DataFrame:
-    order = Window.partitionBy("src").orderBy("t", "eid")
-    return tg.edges.select("eid", (F.col("t") - F.lag("t").over(order)).alias("gap_before"), (F.lead("t").over(order) - F.col("t")).alias("gap_after"))
+def gaps(tg: TemporalGraph, width: int = BUCKET) -> DataFrame:
+    """eid, gap_before, gap_after: to the nearest earlier and later edge of the same source."""
+    rows = with_previous(_bucketed(tg, width, "eid", "src", "t"), ["src"], ["t", "eid"], {"t": "before"})
+    rows = with_previous(rows.withColumn("bucket", F.expr(f"t div {width}")), ["src"], ["t", "eid"], {"t": "after"}, back=True)
+    return rows.select("eid", (F.col("t") - F.col("before")).alias("gap_before"), (F.col("after") - F.col("t")).alias("gap_after"))
 
 
 def pair_index(tg: TemporalGraph) -> DataFrame:

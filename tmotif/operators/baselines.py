@@ -10,6 +10,7 @@ from tmotif.operators.exact import _bucket, matches
 from tmotif.operators.prefix import counts_below
 from tmotif.operators.sampling import BITS, draws
 from tmotif.sources.graph import TemporalGraph
+from tmotif.sources.io import staged
 
 
 def _extent(tg: TemporalGraph) -> tuple[int, int, int]:
@@ -58,7 +59,7 @@ def estimate_windows(tg: TemporalGraph, which, delta: int, s: int, c: float = 1.
     span = F.col(last) - F.col("t0")
     if variant == "A":
         return _row(found, m, delta, F.lit(size / s) / (F.lit(width + 1) - span))
-    found = found.select("t0", F.col(last).alias("t_last"), F.monotonically_increasing_id().alias("id")).persist()
+    found = staged(found.select("t0", F.col(last).alias("t_last"), F.monotonically_increasing_id().alias("id")), "found")
     probes = found.select(F.inline(F.array(F.struct(F.lit("lo").alias("slot"), (F.col("t_last") - width).alias("x")), F.struct(F.lit("hi").alias("slot"), (F.col("t0") + 1).alias("x")))), "id").select("x", "slot", "id")
     counts = counts_below(tg.edges.select("t"), probes, [], width).groupBy("id").agg((F.max(F.when(F.col("slot") == "hi", F.col("n"))) - F.max(F.when(F.col("slot") == "lo", F.col("n")))).alias("n"))
     return _row(counts, m, delta, F.lit(size / s) / F.col("n"))

@@ -3,8 +3,12 @@
 from __future__ import annotations
 
 import math
+import threading
+import time
+import uuid
+from collections.abc import Callable
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tmotif.plans.estimate import census, census_rows, estimate, estimate_seeds
@@ -60,8 +64,9 @@ def count_ratios(tg: TemporalGraph, delta: int, pairs) -> DataFrame:
     return rows
 
 
-def relative_error(estimate_: float, exact: float) -> float:
-    return abs(exact - estimate_) / exact
+def relative_error(estimate_: float, exact: float) -> float | None:
+    """None where there is nothing to be found."""
+    return abs(exact - estimate_) / exact if exact else None
 
 
 def speedup(baseline: list[float], ours: list[float]) -> tuple[list[float], float]:
@@ -75,6 +80,35 @@ def heuristic_seconds(b_high: float, b_avg: float, w: float, c: float, seconds_p
     return b_high * b_avg * w / c * seconds_per_step
 
 
+def guarded(spark: SparkSession, run: Callable[[], object], seconds: float) -> tuple[str, float, object]:
+    """('ok', 'timeout' or 'memory'; seconds taken; the result or None) of a run of Spark jobs that is ended after so many seconds."""
+    context, group = spark.sparkContext, f"guarded-{uuid.uuid4().hex}"
+    late = threading.Event()
+
+    def end() -> None:
+        late.set()
+        while not done.wait(0.2):  # jobs that the run starts after the first are ended, too
+            context.cancelJobGroup(group)
+
+    done, timer, began = threading.Event(), threading.Timer(seconds, end), time.time()
+    context.setJobGroup(group, group, True)
+    timer.start()
+    try:
+        value = run()
+        return "ok", time.time() - began, value
+    except Exception as error:  # noqa: BLE001
+        if late.is_set():
+            return "timeout", time.time() - began, None
+        if "OutOfMemory" in str(error):
+            return "memory", time.time() - began, None
+        raise
+    finally:
+        done.set()
+        timer.cancel()
+        for key in ("spark.jobGroup.id", "spark.job.description", "spark.job.interruptOnCancel"):
+            context.setLocalProperty(key, None)
+
+
 def table_bytes(df: DataFrame) -> int:
     """Catalyst's estimate of the bytes of a table or an operator's result."""
     return int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes().toString())

@@ -11,9 +11,11 @@ from pyspark.sql import functions as F
 from tmotif.functions.motif import Anchor, Motif, motif
 from tmotif.operators import ablation
 from tmotif.operators.extend import check_paths, extend_count
+from tmotif.operators.incidence import ranked_incidence
 from tmotif.operators.sampling import list_paths, sample_paths
 from tmotif.operators.weights import static_weights, total, weights, with_offsets
 from tmotif.sources.graph import TemporalGraph
+from tmotif.sources.io import staged
 
 RESULT = "motif string, delta bigint, k bigint, w_total decimal(38,0), cnt decimal(38,0), estimate double, stderr double, ci_lo double, ci_hi double, hit_rate double, valid_rate double"
 Z95 = 1.959964
@@ -21,37 +23,37 @@ Z95 = 1.959964
 
 @dataclass
 class Prepared:
-    """A class's centers with offsets, and W; shared by all motifs, sample sizes and seeds of that class."""
+    """A class's centers with offsets, W, and the graph's ranked lists; shared by all motifs, sample sizes and seeds of that class."""
 
     tg: TemporalGraph
     delta: int
     cls: object
     centers: DataFrame
     w_total: int
+    lists: DataFrame
 
 
-def prepare(tg: TemporalGraph, delta: int, cls, sampler: str = "centered", buckets: int | None = None, ties: str = "strict") -> Prepared:
+def prepare(tg: TemporalGraph, delta: int, cls, sampler: str = "centered", buckets: int | None = None, ties: str = "strict", lists: DataFrame | None = None) -> Prepared:
+    """Centers and lists are written once to the shared folder: every draw, check and sweep reads them there."""
     weighted = static_weights(tg, cls) if sampler == "static" else weights(tg, delta, cls, ties=ties)
-    weighted = weighted.persist()
-    return Prepared(tg, delta, cls, with_offsets(weighted, buckets=buckets), total(weighted))
+    weighted = staged(weighted.where("w > 0"), "weights")
+    centers = staged(with_offsets(weighted, buckets=buckets), "centers")
+    return Prepared(tg, delta, cls, centers, total(weighted), staged(ranked_incidence(tg, delta), "lists") if lists is None else lists)
 
 
-def choose_anchor(tg: TemporalGraph, m: Motif, delta: int, policy="first") -> Anchor:
-    """'first', 'min_W' (fewest paths), 'min_WB' (fewest paths by the mean of completions over a pilot), or positions."""
+def choose_anchor(tg: TemporalGraph, m: Motif, delta: int, policy="first", k: int = 2_000) -> Anchor:
+    """'first', 'min_W' (fewest paths), 'min_WB' (the smallest sample by heuristic_samples, from a pilot of k draws an anchor), or positions."""
     if policy not in ("min_W", "min_WB"):
         return m.anchor(policy)
     m.anchor()
-    costs = {}
+    ready: dict = {}
     for a in m.anchors():
-        if a.cls not in costs:
-            costs[a.cls] = total(weights(tg, delta, a.cls))
+        if a.cls not in ready:
+            ready[a.cls] = prepare(tg, delta, a.cls, lists=next((p.lists for p in ready.values()), None)) if policy == "min_WB" else total(weights(tg, delta, a.cls))
     if policy == "min_W":
-        return min(m.anchors(), key=lambda a: costs[a.cls])
-    score = {}
-    for a in m.anchors():
-        row = estimate(tg, m, delta, 500, anchor=a.positions).first()
-        score[a] = costs[a.cls] * max(float(row["valid_rate"]), 1e-9)
-    return min(m.anchors(), key=score.get)
+        return min(m.anchors(), key=lambda a: ready[a.cls])
+    # the count is the same for every anchor, so that W times the quantile of completions ranks them
+    return min(m.anchors(), key=lambda a: ready[a.cls].w_total * max(pilot(tg, m, delta, k, anchor=a.positions, prepared=ready[a.cls])["b"], 1.0))
 
 
 def completions(prepared: Prepared, m: Motif, anchor: Anchor, paths: DataFrame, ties: str = "strict", impl: str = "fold") -> DataFrame:
@@ -61,19 +63,39 @@ def completions(prepared: Prepared, m: Motif, anchor: Anchor, paths: DataFrame,
     return checked.join(x, "draw", "left").withColumn("x", F.coalesce("x", F.lit(0).cast("bigint")))
 
 
-def summary(counted: DataFrame, m: Motif, delta: int, w_total: int, by: list[str] | None = None, k: int | None = None) -> DataFrame:
-    """One row (per group) of RESULT from rows with valid and x; k: draws, if some had no row."""
+def summary(counted: DataFrame, m: Motif, delta: int, w_total: int, by: list[str] | None = None, k: int | None = None, scheme: str = "iid") -> DataFrame:
+    """One row (per group) of RESULT from rows with draw, valid and x; k: draws, if some had no row.
+
+    The standard error is that of the scheme. iid: of a mean of k. without_replacement: of a mean of as many as came back, with the
+    correction for a finite population. stratified: from the differences of neighbouring strata, which is
+    rather too large. poisson: of a sum of independent draws, which is too large, too, as whole parts are certain.
+    """
     n = F.lit(k).cast("bigint") if k else F.count(F.lit(1))
+    extra = []
+    if scheme == "stratified":
+        counted = counted.groupBy(*(by or []), F.expr("draw div 2").alias("pair")).agg(F.sum("x").cast("bigint").alias("x"), F.sum(F.col("x").cast("double") * F.col("x")).alias("own"), F.sum((F.col("x") > 0).cast("double")).alias("hit"), F.sum(F.col("valid").cast("double")).alias("valid"), F.count(F.lit(1)).alias("rows"))
+        extra = [F.coalesce(F.sum(2 * F.col("own") - F.col("x").cast("double") * F.col("x")), F.lit(0.0)).alias("apart")]
+        squares, hits, n = F.sum("own"), F.sum("hit"), n if k else F.sum("rows")
+    else:
+        squares, hits = F.sum(F.col("x").cast("double") * F.col("x")), F.sum((F.col("x") > 0).cast("double"))
     rows = counted.groupBy(*(by or [])).agg(
         n.alias("k"),
         F.coalesce(F.sum(F.col("x").cast("decimal(38,0)")), F.lit(0).cast("decimal(38,0)")).alias("cnt"),
-        F.coalesce(F.sum(F.col("x").cast("double") * F.col("x")), F.lit(0.0)).alias("squares"),
-        F.coalesce(F.sum((F.col("x") > 0).cast("double")), F.lit(0.0)).alias("hits"),
+        F.coalesce(squares, F.lit(0.0)).alias("squares"),
+        F.coalesce(hits, F.lit(0.0)).alias("hits"),
         F.coalesce(F.sum(F.col("valid").cast("double")), F.lit(0.0)).alias("valids"),
+        *extra,
     )
     whole, count = float(w_total), F.greatest(F.col("k").cast("double"), F.lit(1.0))
     mean = F.col("cnt").cast("double") / count
-    rows = rows.withColumn("estimate", mean * whole).withColumn("stderr", whole * F.sqrt(F.greatest(F.col("squares") / count - mean * mean, F.lit(0.0)) / count))
+    spread = F.greatest(F.col("squares") / count - mean * mean, F.lit(0.0)) / count
+    if scheme == "without_replacement":
+        spread = spread * F.greatest(1 - count / max(whole, 1.0), F.lit(0.0))
+    elif scheme == "poisson":
+        spread = F.col("squares") / (count * count)
+    elif scheme == "stratified":
+        spread = F.greatest(F.col("apart"), F.lit(0.0)) / (count * count)
+    rows = rows.withColumn("estimate", mean * whole).withColumn("stderr", whole * F.sqrt(spread))
     return rows.select(
         *(by or []),
         F.lit(m.name).alias("motif"),
@@ -105,38 +127,39 @@ def estimate(tg: TemporalGraph, which: str | Motif, delta: int, k: int, seed: in
     chosen = choose_anchor(tg, m, delta, anchor)
     if sampler == "constrained":
         paths, w_total = ablation.constrained_paths(tg, m, chosen, delta, k, seed)
-        prepared = Prepared(tg, delta, chosen.cls, tg.edges, w_total)
+        prepared = Prepared(tg, delta, chosen.cls, tg.edges, w_total, tg.edges)
     else:
         prepared = prepared or prepare(tg, delta, chosen.cls, sampler, ties=ties)
         w_total = prepared.w_total
-        paths = sample_paths(tg, prepared.centers, w_total, delta, chosen.cls, k, seed, scheme)
+        paths = sample_paths(tg, prepared.centers, w_total, delta, chosen.cls, k, seed, scheme, lists=prepared.lists)
     counted = completions(prepared, m, chosen, paths, ties, impl)
-    return summary(counted, m, delta, w_total, k=k if scheme in ("iid", "stratified", "poisson") else None)
+    return summary(counted, m, delta, w_total, k=k if scheme in ("iid", "stratified", "poisson") else None, scheme=scheme)
 
 
-def estimate_seeds(tg: TemporalGraph, which, delta: int, k: int, seeds=range(42, 47), anchor="first", scheme: str = "iid") -> DataFrame:
-    """One row per seed, all from one set of weights; the runs are one job."""
-    m = motif(which)
+def estimate_seeds(tg: TemporalGraph, which, delta: int, k: int, seeds=range(42, 47), anchor="first", prepared: Prepared | None = None) -> DataFrame:
+    """One row per seed (column seed): all draws of all seeds are one sample, extended once."""
+    m, seeds = motif(which), [*seeds]
     chosen = choose_anchor(tg, m, delta, anchor)
-    prepared = prepare(tg, delta, chosen.cls)
-    out = None
-    for s in seeds:
-        counted = completions(prepared, m, chosen, sample_paths(tg, prepared.centers, prepared.w_total, delta, chosen.cls, k, s, scheme))
-        one = summary(counted, m, delta, prepared.w_total, k=k).withColumn("seed", F.lit(s))
-        out = one if out is None else out.union(one)
-    return out
+    prepared = prepared or prepare(tg, delta, chosen.cls)
+    paths = sample_paths(tg, prepared.centers, prepared.w_total, delta, chosen.cls, k, seeds, lists=prepared.lists)
+    counted = completions(prepared, m, chosen, paths).withColumn("seed", F.get(F.array(*map(F.lit, seeds)), F.expr(f"draw div {k}")))
+    rows = summary(counted, m, delta, prepared.w_total, by=["seed"], k=k)
+    if prepared.w_total:
+        return rows
+    none = summary(counted, m, delta, 0, k=k)  # without paths there are no draws: a row of zeros for each seed
+    return none.crossJoin(F.broadcast(tg.edges.sparkSession.createDataFrame([(x,) for x in seeds], "seed int"))).select(*rows.columns)
 
 
 def estimate_many(tg: TemporalGraph, names, delta: int, k: int, seed: int = 42) -> DataFrame:
-    """Several motifs: those whose anchors share a class share its weights and its sample."""
+    """Several motifs: those whose anchors share a class share its weights and its sample, all share the lists."""
     groups: dict = {}
     for name in names:
         m = motif(name)
         groups.setdefault(m.anchor().cls, []).append(m)
-    out = None
+    out, lists = None, staged(ranked_incidence(tg, delta), "lists")
     for cls, ms in groups.items():
-        prepared = prepare(tg, delta, cls)
-        paths = sample_paths(tg, prepared.centers, prepared.w_total, delta, cls, k, seed).persist()
+        prepared = prepare(tg, delta, cls, lists=lists)
+        paths = staged(sample_paths(tg, prepared.centers, prepared.w_total, delta, cls, k, seed, lists=lists), "paths")
         for m in ms:
             one = summary(completions(prepared, m, m.anchor(), paths), m, delta, prepared.w_total, k=k)
             out = one if out is None else out.union(one)
@@ -144,13 +167,43 @@ def estimate_many(tg: TemporalGraph, names, delta: int, k: int, seed: int = 42)
 
 
 def sweep(tg: TemporalGraph, which, deltas, k: int, seed: int = 42) -> DataFrame:
-    out = None
+    """One estimate for each window; ranks don't depend on the window, so that all share the lists."""
+    m = motif(which)
+    out, lists = None, staged(ranked_incidence(tg, max(deltas)), "lists")
     for d in deltas:
-        one = estimate(tg, which, d, k, seed)
+        one = estimate(tg, m, d, k, seed, prepared=prepare(tg, d, m.anchor().cls, lists=lists))
         out = one if out is None else out.union(one)
     return out
 
 
+def convergence(tg: TemporalGraph, which, delta: int, ks, seeds=range(42, 47), prepared: Prepared | None = None) -> DataFrame:
+    """k, seed, estimate, stderr for growing sample sizes, all from one set of weights."""
+    m = motif(which)
+    prepared = prepared or prepare(tg, delta, m.anchor().cls)
+    out = None
+    for k in ks:
+        one = estimate_seeds(tg, m, delta, k, seeds, prepared=prepared).select("motif", "k", "seed", "cnt", "estimate", "stderr")
+        out = one if out is None else out.union(one)
+    return out
+
+
+def pilot(tg: TemporalGraph, which, delta: int, k: int, seed: int = 42, anchor="first", quantile: float = 0.9, prepared: Prepared | None = None) -> dict[str, float]:
+    """w, c (the estimated count), b (the quantile of the completions of draws that have any; 0 if none has) and b_max of a small sample."""
+    m = motif(which)
+    chosen = m.anchor(anchor)
+    prepared = prepared or prepare(tg, delta, chosen.cls)
+    paths = sample_paths(tg, prepared.centers, prepared.w_total, delta, chosen.cls, k, seed, lists=prepared.lists)
+    hit = F.when(F.col("x") > 0, F.col("x"))
+    row = completions(prepared, m, chosen, paths).agg(F.sum("x").alias("s"), F.percentile(hit, F.lit(quantile)).alias("b"), F.max("x").alias("m")).first()
+    return {"w": float(prepared.w_total), "c": prepared.w_total * float(row["s"] or 0) / k, "b": float(row["b"] or 0), "b_max": float(row["m"] or 0)}
+
+
+def pilot_samples(tg: TemporalGraph, which, delta: int, k: int = 20_000, seed: int = 42, prepared: Prepared | None = None) -> int | None:
+    """heuristic_samples of a pilot; None if no draw of it has a match."""
+    got = pilot(tg, which, delta, k, seed, prepared=prepared)
+    return heuristic_samples(got["b"], got["w"], got["c"]) if got["c"] else None
+
+
 def estimate_adaptive(tg: TemporalGraph, which, delta: int, epsilon: float, first: int = 2_000, most: int = 1 << 22, seed: int = 42) -> DataFrame:
     """Doubles k until the 95% half width is at most epsilon of the estimate, or k reaches most. Weights are made once."""
     m = motif(which)
@@ -182,15 +235,19 @@ def census_rows(tg: TemporalGraph, which, delta: int, anchor="first", ties: str
     m = motif(which)
     chosen = choose_anchor(tg, m, delta, anchor)
     prepared = prepare(tg, delta, chosen.cls, ties=ties)
-    paths = list_paths(tg, prepared.centers, delta, chosen.cls)
+    paths = list_paths(tg, prepared.centers, delta, chosen.cls, prepared.lists)
     return completions(prepared, m, chosen, paths, ties, impl), prepared.w_total, m
 
 
 def required_samples(sigma: float, r: int, w: float, c: float, epsilon: float, gamma: float) -> int:
     """Draws that bound the relative error by epsilon with probability 1 - gamma."""
+    if c <= 0 or epsilon <= 0 or not 0 < gamma < 1:
+        raise ValueError("the bound needs a positive count and error, and a probability between 0 and 1")
     return math.ceil(3 * sigma**r * w * math.log(2 / gamma) / (c * epsilon**2))
 
 
 def heuristic_samples(b: float, w: float, c: float) -> int:
     """Draws by a quantile b of the completions of an anchor that has any."""
+    if c <= 0:
+        raise ValueError("without a match there is no heuristic")
     return math.ceil(b * w / c)

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from tmotif.functions.motif import Anchor, Motif, PathClass, WedgeClass, motif
+from tmotif.functions.motif import EIGHT, Anchor, Motif, PathClass, WedgeClass, motif
 
 DAY, HOUR = 86_400_000_000, 3_600_000_000
 R_DELTA, F_DELTA, T_DELTA, N_DELTA = DAY, 4 * HOUR, 30, 3
@@ -48,10 +48,36 @@ def self_join(m: Motif, delta: int, given: dict[int, str] | None = None) -> tupl
     return ", ".join(tables), " AND ".join(tests)
 
 
-def exact(view_name: str, name: str, delta: int, more: str = "") -> str:
-    m = motif(name)
-    tables, tests = self_join(m, delta)
-    return view(view_name) + f"SELECT '{m.name}' AS motif, CAST({delta} AS BIGINT) AS delta, CAST(count(*) AS BIGINT) AS count{more} FROM {tables} WHERE {tests}"
+def stepwise(m: Motif, delta: int, tag: str = "g", edges: str = "edges") -> tuple[list[str], str]:
+    """CTEs, one a pattern edge, of partial matches folded by what the next edges ask of them; and the count of all matches."""
+    bound: list[str] = []
+    parts = []
+    for p, (a, b) in enumerate(m.edges):
+        ends = {a: "e.src", b: "e.dst"}
+        new = [x for x in (a, b) if x not in bound]
+        every = [*(f"g.v_{x}" for x in bound), *(f"{ends[x]} AS v_{x}" for x in new)]
+        if p == 0:
+            parts.append(f"{tag}0 AS MATERIALIZED (SELECT {', '.join(every)}, e.t AS early, e.t AS late, count(*) AS times FROM {edges} e GROUP BY ALL)")
+        else:
+            tests = [f"{ends[x]} = g.v_{x}" for x in (a, b) if x in bound] + [f"{ends[x]} <> g.v_{y}" for x in new for y in bound]
+            tests += ["e.t > g.late", f"e.t <= g.early + {delta}"]
+            parts.append(f"{tag}{p} AS MATERIALIZED (SELECT {', '.join(every)}, g.early, e.t AS late, sum(g.times) AS times FROM {tag}{p - 1} g JOIN {edges} e ON {' AND '.join(tests)} GROUP BY ALL)")
+        bound += new
+    return parts, f"(SELECT CAST(coalesce(sum(times), 0) AS BIGINT) FROM {tag}{len(m.edges) - 1})"
+
+
+def counts(view_name: str, names, delta: int, select: str = "SELECT '{name}' AS motif, CAST({delta} AS BIGINT) AS delta, {count} AS count") -> str:
+    """A row for each motif."""
+    parts, rows = [], []
+    for k, name in enumerate(names):
+        own, count = stepwise(motif(name), delta, f"g{k}_")
+        parts += own
+        rows.append(select.format(name=motif(name).name, delta=delta, count=count))
+    return view(view_name, *parts) + " UNION ALL ".join(rows)
+
+
+def exact(view_name: str, name: str, delta: int) -> str:
+    return counts(view_name, [name], delta)
 
 
 def side(alias: str, t: str, b: str, delta: int) -> str:
@@ -79,11 +105,40 @@ LISTS = "lists AS MATERIALIZED (SELECT dir, vertex, CAST(row_number() OVER (PART
 OFFSETS = "centers AS MATERIALIZED (SELECT *, sum(w) OVER (ORDER BY t, eid) - w AS first FROM weighted WHERE w > 0)"
 
 
-def draws(k: int, seed: int = 42, total: str = "(SELECT coalesce(sum(w), 0) FROM weighted)") -> str:
-    return f"drawn AS MATERIALIZED (SELECT i AS draw, (CAST(CAST('0x' || substr(md5('{seed}|' || i), 1, 13) AS BIGINT) AS HUGEINT) * CAST({total} AS HUGEINT)) // 4503599627370496 AS path_id FROM range({k}) r(i))"
+WHOLE = "(SELECT coalesce(sum(w), 0) FROM weighted)"
+
+
+def hashed(text: str) -> str:
+    return f"CAST(CAST('0x' || substr(md5({text}), 1, 13) AS BIGINT) AS HUGEINT)"
+
+
+def draws(k: int, seed: int = 42, total: str = WHOLE) -> str:
+    return f"drawn AS MATERIALIZED (SELECT i AS draw, ({hashed(f"'{seed}|' || i")} * CAST({total} AS HUGEINT)) // 4503599627370496 AS path_id FROM range({k}) r(i))"
+
+
+def draws_of_seeds(k: int, seeds, total: str = WHOLE) -> str:
+    """Draw i of the n-th seed is n * k + i."""
+    rows = ", ".join(f"({n}, '{s}|')" for n, s in enumerate(seeds))
+    return f"drawn AS MATERIALIZED (SELECT n * {k} + i AS draw, ({hashed('name || i')} * CAST({total} AS HUGEINT)) // 4503599627370496 AS path_id FROM range({k}) r(i), (VALUES {rows}) s(n, name))"
+
+
+def draws_stratified(k: int, seed: int = 42, total: str = WHOLE) -> str:
+    low, high = f"CAST({total} AS HUGEINT) * i // {k}", f"CAST({total} AS HUGEINT) * (i + 1) // {k}"
+    return f"drawn AS MATERIALIZED (SELECT i AS draw, {low} + {hashed(f"'{seed}|' || i")} * greatest({high} - {low}, 1) // 4503599627370496 AS path_id FROM range({k}) r(i))"
+
+
+def draws_distinct(k: int, seed: int = 42) -> list[str]:
+    return [draws(k, seed).replace("drawn AS", "repeated AS", 1), "drawn AS MATERIALIZED (SELECT min(draw) AS draw, path_id FROM repeated GROUP BY path_id)"]
+
 
+def located_poisson(k: int, seed: int = 42) -> str:
+    rate = f"(CAST(c.w AS DOUBLE) * {k} / {WHOLE})"
+    u = f"CAST({hashed(f"'{seed}|' || c.eid")} AS DOUBLE) / 4503599627370496"
+    times = f"CAST(floor({rate}) AS BIGINT) + CASE WHEN {u} < {rate} - floor({rate}) THEN 1 ELSE 0 END"
+    return f"SELECT row_number() OVER () AS draw, c.first + o AS path_id, * FROM (SELECT c.*, {hashed(f"'{seed}|' || c.eid || '|' || nth")} * c.w // 4503599627370496 AS o FROM centers c, unnest(range(1, {times} + 1)) x(nth)) c"
 
-def decoded(cls: PathClass | WedgeClass, located: str = "SELECT draw, path_id, c.*, path_id - c.first AS o FROM drawn JOIN centers c ON path_id >= c.first AND path_id < c.first + c.w") -> list[str]:
+
+def decoded(cls: PathClass | WedgeClass, located: str = "SELECT draw, path_id, c.*, path_id - c.first AS o FROM drawn ASOF JOIN centers c ON path_id >= c.first") -> list[str]:
     if isinstance(cls, PathClass):
         return [f"located AS MATERIALIZED ({located})", f"""paths AS MATERIALIZED (SELECT CAST(draw AS BIGINT) AS draw, CAST(path_id AS BIGINT) AS path_id, a.eid AS eid1, l.eid AS eid2, b.eid AS eid3, a.t AS t1, l.t AS t2, b.t AS t3, a.other AS v0, l.src AS v1, l.dst AS v2, b.other AS v3
 FROM located l JOIN lists a ON a.dir = '{cls.a1}' AND a.vertex = l.src AND a.rank = l.lo1 + l.o // l.n3 JOIN lists b ON b.dir = '{cls.a3}' AND b.vertex = l.dst AND b.rank = l.lo3 + l.o % l.n3)"""]
@@ -100,29 +155,84 @@ def valid(anchor: Anchor, delta: int) -> str:
 
 
 def completed(m: Motif, anchor: Anchor, delta: int) -> list[str]:
-    """CTE done: draw, x; for each valid path with completions."""
+    """CTE done: draw, x; for each valid path with completions. One CTE a pattern edge, folded by (draw, time of the last edge)."""
     times = {p: f"p.t{k}" for k, p in enumerate(anchor.positions, 1)}
     where = {v: f"p.v{k}" for k, v in enumerate(anchor.vertices)}
-    tables, tests = ["ok p"], []
-    spot = []
-    for p, (a, b) in enumerate(m.edges):
-        if p in times:
-            spot.append(times[p])
+    parts = [f"ok AS MATERIALIZED (SELECT * FROM paths WHERE {valid(anchor, delta)})", f"c0 AS (SELECT p.draw, {times[0]} AS late, 1 AS x FROM ok p)"]
+    for q, (a, b) in enumerate(m.edges[1:], 1):
+        if q in times:
+            parts.append(f"c{q} AS MATERIALIZED (SELECT c.draw, {times[q]} AS late, sum(c.x) AS x FROM c{q - 1} c JOIN ok p USING (draw) WHERE {times[q]} > c.late GROUP BY ALL)")
             continue
-        tables.append(f"edges e{p}")
-        tests += [f"e{p}.src = {where[a]}", f"e{p}.dst = {where[b]}"]
-        spot.append(f"e{p}.t")
-    tests += [f"{b} > {a}" for a, b in zip(spot, spot[1:], strict=False)] + [f"{x} <= {spot[0]} + {delta}" for x in spot[1:]]
-    return [f"ok AS MATERIALIZED (SELECT * FROM paths WHERE {valid(anchor, delta)})", f"done AS MATERIALIZED (SELECT p.draw, count(*) AS x FROM {', '.join(tables)} WHERE {' AND '.join(tests)} GROUP BY p.draw)"]
+        later = [t for s, t in times.items() if s > q]
+        tests = [f"e.src = {where[a]}", f"e.dst = {where[b]}", "e.t > c.late", f"e.t <= {times[0]} + {delta}", *(f"e.t < {t}" for t in later)]
+        parts.append(f"c{q} AS MATERIALIZED (SELECT c.draw, e.t AS late, sum(c.x) AS x FROM c{q - 1} c JOIN ok p USING (draw) JOIN edges e ON {' AND '.join(tests)} GROUP BY ALL)")
+    return [*parts, f"done AS MATERIALIZED (SELECT draw, CAST(sum(x) AS BIGINT) AS x FROM c{len(m.edges) - 1} GROUP BY draw)"]
 
 
 ESTIMATE = "SELECT '{name}' AS motif, CAST({delta} AS BIGINT) AS delta, CAST({k} AS BIGINT) AS k, CAST((SELECT coalesce(sum(w), 0) FROM weighted) AS BIGINT) AS w_total, CAST(coalesce((SELECT sum(x) FROM done), 0) AS BIGINT) AS cnt, CAST(coalesce((SELECT sum(x) FROM done), 0) AS DOUBLE) / CAST({k} AS DOUBLE) * CAST((SELECT coalesce(sum(w), 0) FROM weighted) AS DOUBLE) AS estimate"
 
 
-def sampled(view_name: str, name: str, delta: int, k: int = K, seed: int = 42, static: bool = False) -> list[str]:
+def sampled(view_name: str, name: str, delta: int, k: int = K, seed: int = 42, static: bool = False, drawn: list[str] | None = None) -> list[str]:
+    m = motif(name)
+    a = m.anchor()
+    return [*weighted(a.cls, delta, static), LISTS, OFFSETS, *(drawn or [draws(k, seed)]), *decoded(a.cls), *completed(m, a, delta)]
+
+
+def constrained(name: str, delta: int, k: int = K, seed: int = 42) -> list[str]:
+    """CTEs for an anchor of the first three edges whose ends lie before and after the center: w and all up to done."""
     m = motif(name)
     a = m.anchor()
-    return [*weighted(a.cls, delta, static), LISTS, OFFSETS, draws(k, seed), *decoded(a.cls), *completed(m, a, delta)]
+    return [
+        f"weighted AS MATERIALIZED (SELECT e.eid, e.src, e.dst, e.t, a.eid AS eid1, a.t AS t1, a.src AS v0, count(b.eid) AS w FROM edges e JOIN edges a ON a.dst = e.src AND a.t >= e.t - {delta} AND a.t < e.t JOIN edges b ON b.src = e.dst AND b.t > e.t AND b.t <= a.t + {delta} GROUP BY ALL)",
+        LISTS,
+        "centers AS MATERIALIZED (SELECT *, sum(w) OVER (ORDER BY t, eid, eid1) - w AS first FROM weighted)",
+        draws(k, seed),
+        "lows AS MATERIALIZED (SELECT e.eid, count(f.eid) AS lo FROM edges e LEFT JOIN edges f ON f.src = e.dst AND f.t <= e.t GROUP BY e.eid)",
+        "located AS MATERIALIZED (SELECT draw, path_id, c.*, path_id - c.first AS o, l.lo FROM drawn ASOF JOIN centers c ON path_id >= c.first JOIN lows l ON l.eid = c.eid)",
+        "paths AS MATERIALIZED (SELECT draw, l.eid1, l.eid AS eid2, b.eid AS eid3, l.t1, l.t AS t2, b.t AS t3, l.v0, l.src AS v1, l.dst AS v2, b.other AS v3 FROM located l JOIN lists b ON b.dir = '+' AND b.vertex = l.dst AND b.rank = l.lo + l.o)",
+        *completed(m, a, delta),
+    ]
+
+
+def adaptive(view_name: str, name: str, delta: int, epsilon: float, first: int = 2_000, steps: int = 4) -> str:
+    """The first k among first, 2 * first, .. that is precise enough, and its estimate."""
+    most = first << steps - 1
+    rows = " UNION ALL ".join(f"SELECT {first << n} AS k, coalesce(sum(x), 0) AS cnt, coalesce(sum(CAST(x AS DOUBLE) * x), 0) AS squares FROM done WHERE draw < {first << n}" for n in range(steps))
+    each = f"CAST(cnt AS DOUBLE) / k * CAST({WHOLE} AS DOUBLE)"
+    error = f"CAST({WHOLE} AS DOUBLE) * sqrt(greatest(squares / k - (CAST(cnt AS DOUBLE) / k) * (CAST(cnt AS DOUBLE) / k), 0) / k)"
+    return view(view_name, *sampled(view_name, name, delta, most), f"runs AS ({rows})", f"fine AS (SELECT * FROM runs WHERE cnt > 0 AND 1.959964 * {error} <= {epsilon} * {each})") + f"SELECT '{name}' AS motif, CAST({delta} AS BIGINT) AS delta, CAST(k AS BIGINT) AS k, CAST({WHOLE} AS BIGINT) AS w_total, CAST(cnt AS BIGINT) AS cnt, {each} AS estimate FROM fine WHERE k = (SELECT min(k) FROM fine)"
+
+
+def hub(name: str, delta: int, k: int = K) -> str:
+    """A star of three out-edges: the base edge, and a pair of its hub's later out-edges."""
+    parts = [degree("1", "src", "+", ">", delta), "weighted AS MATERIALIZED (SELECT e.eid, e.src, e.dst, e.t, d1.lo, d1.n, d1.n * d1.n AS w FROM edges e JOIN d1 USING (eid))", LISTS, OFFSETS, draws(k), "located AS MATERIALIZED (SELECT draw, c.*, path_id - c.first AS o FROM drawn ASOF JOIN centers c ON path_id >= c.first)"]
+    parts.append("done AS MATERIALIZED (SELECT draw, 1 AS x FROM located l JOIN lists a ON a.dir = '+' AND a.vertex = l.src AND a.rank = l.lo + l.o // l.n JOIN lists b ON b.dir = '+' AND b.vertex = l.src AND b.rank = l.lo + l.o % l.n WHERE a.t < b.t AND a.other <> b.other AND a.other <> l.dst AND b.other <> l.dst)")
+    return view("R", *parts) + ESTIMATE.format(name=name, delta=delta, k=k)
+
+
+def rates(view_name: str, name: str, delta: int, k: int = K) -> str:
+    tail = "SELECT '{s}' AS sampler, CAST({w} AS BIGINT) AS w_total, CAST((SELECT count(*) FROM ok) AS DOUBLE) / {k} AS valid_rate, CAST((SELECT count(*) FROM done) AS DOUBLE) / {k} AS hit_rate"
+    parts = {"static": sampled(view_name, name, delta, k, static=True), "centered": sampled(view_name, name, delta, k), "constrained": constrained(name, delta, k)}
+    return " UNION ALL ".join(f"({view(view_name, *p)}{tail.format(s=x, w=WHOLE, k=k)})" for x, p in parts.items())
+
+
+def errors_of_seeds(view_name: str, name: str, delta: int, k: int, seeds) -> str:
+    own, count = stepwise(motif(name), delta)
+    runs = f"runs AS (SELECT n, CAST(coalesce((SELECT sum(x) FROM done WHERE draw // {k} = n), 0) AS DOUBLE) / {k} * CAST({WHOLE} AS DOUBLE) AS estimate FROM range({len(seeds)}) r(n))"
+    parts = [*sampled(view_name, name, delta, drawn=[draws_of_seeds(k, seeds)]), *own, runs, f"truth AS (SELECT {count} AS exact)"]
+    return view(view_name, *parts) + f"SELECT '{name}' AS motif, exact, CASE WHEN exact > 0 THEN round(avg(abs(estimate - exact) / exact), 6) END AS mean_error, CASE WHEN exact > 0 THEN round(stddev_samp(abs(estimate - exact) / exact), 6) ELSE 0.0 END AS std_error FROM runs, truth GROUP BY exact"
+
+
+def converging(view_name: str, name: str, delta: int, ks, seeds) -> str:
+    rows = []
+    for k in ks:
+        run = view(view_name, *sampled(view_name, name, delta, drawn=[draws_of_seeds(k, seeds)]))
+        rows.append(f"({run}SELECT '{name}' AS motif, CAST({k} AS BIGINT) AS k, CAST(s.seed AS INT) AS seed, CAST(coalesce((SELECT sum(x) FROM done WHERE draw // {k} = s.n), 0) AS BIGINT) AS cnt FROM (VALUES {', '.join(f'({n}, {x})' for n, x in enumerate(seeds))}) s(n, seed))")
+    return " UNION ALL ".join(rows)
+
+
+def anchors_of(view_name: str, name: str, delta: int) -> str:
+    return view(view_name, *census_parts(name, delta)) + f"SELECT '{view_name}' AS graph, '{name}' AS motif, CAST(max(x) AS BIGINT) AS b_max, count(*) AS hits, CAST(coalesce(sum(x), 0) AS BIGINT) AS count, round(avg(x), 6) AS b_avg, round(stddev_pop(x), 6) AS b_std, round(coalesce(sum(x), 0) / CAST({WHOLE} AS DOUBLE), 9) AS b_avg_all FROM done"
 
 
 def estimate(view_name: str, name: str, delta: int, k: int = K, seed: int = 42, static: bool = False) -> str:
@@ -211,13 +321,36 @@ def oracle_sql() -> dict[str, str]:
     out["census_bipartite_tri"] = exact("T", "TRI", T_DELTA)
     out["bipartite_cycle"] = exact("T", "M4-0", T_DELTA)
     out["nation_ties_tri"] = exact("N", "TRI", N_DELTA)
-    for name in ("M4-0", "M4-5", "M3-0", "M3-1", "TRI", "LATE", "SPLIT", "PAW"):
+    for name in (*EIGHT, "TRI", "LATE", "SPLIT", "PAW"):
         out[f"estimate_{name.lower().replace('-', '_')}"] = estimate("F", name, F_DELTA)
     out["estimate_static"] = estimate("R", "M4-0", R_DELTA, static=True)
     out["estimate_sweep"] = " UNION ALL ".join(f"({estimate('R', 'M4-0', d)})" for d in (R_DELTA, 2 * R_DELTA))
-    out["anchor_stats"] = view("F", *census_parts("M4-0", F_DELTA)) + "SELECT 'M4-0' AS motif, CAST(max(x) AS BIGINT) AS b_max, count(*) AS hits, CAST(sum(x) AS BIGINT) AS count FROM done"
-    out["count_table"] = view("R") + "SELECT graph, motif, CAST(sum(count) AS BIGINT) AS count FROM (" + " UNION ALL ".join(f"SELECT 'R' AS graph, '{n}' AS motif, count(*) AS count FROM {self_join(motif(n), R_DELTA)[0]} WHERE {self_join(motif(n), R_DELTA)[1]}" for n in ("TRI", "M4-0", "M4-5")) + ") GROUP BY ROLLUP(graph, motif)"
-    out["count_ratios"] = view("R") + "SELECT a.c AS above_count, b.c AS below_count FROM " + ", ".join(f"(SELECT count(*) AS c FROM {self_join(motif(n), R_DELTA)[0]} WHERE {self_join(motif(n), R_DELTA)[1]}) {x}" for n, x in (("M4-0", "a"), ("TRI", "b")))
+    out["anchor_stats"] = " UNION ALL ".join(f"({anchors_of(v, n, d)})" for v, n, d in ANCHORS)
+    out["estimate_stratified"] = view("F", *sampled("F", "M4-0", F_DELTA, drawn=[draws_stratified(K)])) + ESTIMATE.format(name="M4-0", delta=F_DELTA, k=K)
+    out["estimate_without_replacement"] = view("F", *sampled("F", "M4-0", F_DELTA, drawn=draws_distinct(K))) + ESTIMATE.format(name="M4-0", delta=F_DELTA, k="(SELECT count(*) FROM drawn)")
+    m = motif("M4-0")
+    out["estimate_poisson"] = view("F", *weighted(cls, F_DELTA), LISTS, OFFSETS, *decoded(cls, located_poisson(K)), *completed(m, m.anchor(), F_DELTA)) + ESTIMATE.format(name="M4-0", delta=F_DELTA, k=K)
+    out["estimate_constrained"] = view("R", *constrained("M4-0", R_DELTA)) + ESTIMATE.format(name="M4-0", delta=R_DELTA, k=K)
+    out["estimate_hub_star"] = hub("STAR", R_DELTA)
+    out["estimate_adaptive"] = adaptive("F", "M4-0", F_DELTA, 0.1)
+    out["estimate_eight"] = " UNION ALL ".join(f"({estimate('F', n, F_DELTA)})" for n in EIGHT)
+    out["hit_rates"] = rates("R", "M4-0", R_DELTA)
+    out["hit_rates_folded"] = rates("F", "M4-0", F_DELTA)
+    out["relative_error_5_seeds"] = " UNION ALL ".join(f"({errors_of_seeds('F', n, F_DELTA, K, SEEDS)})" for n in ERRORS)
+    out["convergence_in_k"] = converging("F", "M4-0", F_DELTA, GROWING, SEEDS)
+    out["heuristic_samples"] = " UNION ALL ".join(f"({view('F', *sampled('F', n, F_DELTA, PILOT))}SELECT '{n}' AS motif, CAST(ceil(quantile_cont(CAST(x AS DOUBLE), 0.9) * {WHOLE} / (CAST({WHOLE} AS DOUBLE) * sum(x) / {PILOT})) AS BIGINT) AS k FROM done)" for n in HEURISTIC)
+    out["approx_vertices"] = view("R") + "SELECT count(*) AS vertices, true AS near FROM (SELECT src FROM edges UNION SELECT dst FROM edges)"
+    for name, (v, names, delta) in WORKLOADS.items():
+        out[name] = counts(v, names, delta)
+    out["count_table"] = "SELECT graph, motif, CAST(sum(count) AS BIGINT) AS count FROM (" + " UNION ALL ".join("(" + counts(v, names, d, f"SELECT '{v}' AS graph, '{{name}}' AS motif, {{count}} AS count") + ")" for v, names, d in TABLE) + ") GROUP BY ROLLUP(graph, motif)"
+    ratio = []
+    for above, below in RATIOS:
+        (x, nx), (y, ny) = stepwise(motif(above), F_DELTA, "x"), stepwise(motif(below), F_DELTA, "y")
+        ratio.append(f"({view('F', *x, *y)}SELECT '{above}' AS above, '{below}' AS below, {nx} AS above_count, {ny} AS below_count)")
+    (x, nx), (y, ny) = stepwise(motif("TRI"), F_DELTA, "x"), stepwise(motif("TRI"), F_DELTA, "y", "simple")
+    simple = "simple AS MATERIALIZED (SELECT src, dst, min(t) AS t FROM edges GROUP BY src, dst)"
+    ratio.append(f"({view('F', simple, *x, *y)}SELECT 'TRI' AS above, 'TRI-simple' AS below, {nx} AS above_count, {ny} AS below_count)")
+    out["count_ratios"] = " UNION ALL ".join(ratio)
     width = int(1.25 * R_DELTA)
     extent = "(SELECT max(t) - min(t) + %d + 1 FROM edges)" % width
     inside = f"inside AS MATERIALIZED (SELECT w.win, e.* FROM edges e JOIN windows w ON e.t BETWEEN w.a AND w.a + {width})"
@@ -256,5 +389,20 @@ def oracle_sql() -> dict[str, str]:
 
 LABELS = ("click", "view")
 #: (motif, view, window) of the census queries and of the exact counters.
-CENSUS = (("TRI", "F", F_DELTA), ("M3-0", "F", F_DELTA), ("M3-1", "F", F_DELTA), ("M4-0", "R", R_DELTA), ("M4-5", "R", 2 * R_DELTA), ("PAW", "R", R_DELTA), ("LATE", "R", R_DELTA), ("SPLIT", "R", R_DELTA), ("K4", "R", 2 * R_DELTA), ("PATH", "R", R_DELTA))
-EXACT = (("TRI", "F", F_DELTA), ("M3-0", "F", F_DELTA), ("M3-1", "F", F_DELTA), ("M4-0", "R", R_DELTA), ("M4-5", "R", R_DELTA), ("PAW", "R", R_DELTA), ("LATE", "R", R_DELTA))
+CENSUS = (*((n, "F", F_DELTA) for n in ("TRI", *EIGHT)), ("PAW", "R", R_DELTA), ("LATE", "R", R_DELTA), ("SPLIT", "R", R_DELTA), ("K4", "R", 2 * R_DELTA), ("PATH", "R", R_DELTA))
+EXACT = (*((n, "F", F_DELTA) for n in ("TRI", *EIGHT)), ("PAW", "R", R_DELTA), ("LATE", "R", R_DELTA))
+#: (view, motif, window) whose completions per anchor are described.
+ANCHORS = (("F", "M4-0", F_DELTA), ("F", "M4-5", F_DELTA), ("R", "M4-0", 4 * R_DELTA), ("R", "M4-5", 4 * R_DELTA))
+TABLE = (("F", ("TRI", "M4-0", "M4-5"), F_DELTA), ("R", ("TRI", "M4-0", "M4-5"), R_DELTA))
+RATIOS = (("M4-0", "TRI"), ("M3-1", "M3-0"))
+#: Seeded runs: their seeds, the motifs whose errors are measured, sample sizes of the convergence, and of the pilot.
+SEEDS, ERRORS, GROWING, PILOT = tuple(range(42, 47)), ("TRI", "M3-0", "M3-1", "M4-0", "M4-5"), (1_000, 4_000, 16_000), 20_000
+HEURISTIC = ("M4-0", "M4-5", "M4-2")
+#: name -> (view, motifs, window): longer windows on each view.
+WORKLOADS = {
+    "counts_reply_4_days": ("R", ("TRI", "M4-0", "M4-5"), 4 * R_DELTA),
+    "counts_reply_5_days": ("R", ("TRI", *EIGHT), 5 * R_DELTA),
+    "counts_folded_6_hours": ("F", ("TRI", *EIGHT), 6 * HOUR),
+    "counts_nation_7_days": ("N", ("TRI", "M4-0"), 7),
+    "counts_nation_30_days": ("N", ("TRI",), 30),
+}

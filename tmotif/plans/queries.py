@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-import tempfile
+import uuid
 from collections.abc import Callable
-from functools import partial
+from functools import partial, reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -14,9 +14,10 @@ from tmotif.operators import around, baselines, exact, incidence, measures, samp
 from tmotif.operators.ablation import constrained_weights
 from tmotif.operators.extend import check_paths
 from tmotif.plans import estimate as plans
-from tmotif.plans.oracles import CENSUS, DAY, EXACT, F_DELTA, HOUR, K, LABELS, N_DELTA, R_DELTA, T_DELTA
+from tmotif.plans.oracles import ANCHORS, CENSUS, DAY, ERRORS, EXACT, F_DELTA, GROWING, HEURISTIC, HOUR, K, LABELS, N_DELTA, PILOT, R_DELTA, RATIOS, SEEDS, T_DELTA, TABLE, WORKLOADS
 from tmotif.sources import graph
 from tmotif.sources.graph import TemporalGraph
+from tmotif.sources.io import staged, workspace
 from tmotif.streaming import streams
 
 THROUGH = PathClass("-", "+", "<", ">")
@@ -25,9 +26,8 @@ VIEWS = {"R": graph.reply_graph, "F": partial(graph.reply_graph, fold=6), "N": g
 
 
 def view(spark: SparkSession, sf_dir: str, name: str) -> TemporalGraph:
-    """An edge view, kept for the many passes of a query."""
-    tg = VIEWS[name](spark, sf_dir)
-    return tg.with_edges(tg.edges.persist())
+    """An edge view, written once for the many passes of a query."""
+    return VIEWS[name](spark, sf_dir).staged()
 
 
 def _on(name: str, function: Callable[[TemporalGraph], DataFrame]) -> Callable[[SparkSession, str], DataFrame]:
@@ -89,13 +89,12 @@ def _topics(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def _streamed(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Daily counts by type, through a stream of the events file (a glob, so that a file or a folder will do); complete mode needs no last watermark."""
-    folder = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="tmotif-stream-")
     table = graph.table(spark, sf_dir, "events")
     rows = spark.readStream.schema(table.schema).parquet(f"{sf_dir}/events.parque[t]").select(F.col("ts").cast("timestamp").alias("ts"), "event_type")
-    collected: list[DataFrame] = []
-    query = streams.stream_tumbling(rows, "1 day", "event_type").writeStream.outputMode("complete").foreachBatch(lambda df, _: collected.append(spark.createDataFrame(df.collect(), df.schema))).option("checkpointLocation", f"{folder}/log-tumbling-{id(rows)}").trigger(availableNow=True).start()
+    kept: list[DataFrame] = []
+    query = streams.stream_tumbling(rows, "1 day", "event_type").writeStream.outputMode("complete").foreachBatch(lambda df, _: kept.append(staged(df, "tumbling"))).option("checkpointLocation", f"{workspace(spark)}/log-{uuid.uuid4().hex}").trigger(availableNow=True).start()
     query.awaitTermination()
-    return collected[-1].select(F.unix_date(F.to_date("start")).cast("bigint").alias("day"), "event_type", "n")
+    return kept[-1].select(F.unix_date(F.to_date("start")).cast("bigint").alias("day"), "event_type", "n")
 
 
 def _bounds(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -103,6 +102,45 @@ def _bounds(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame(rows, "motif string, k bigint")
 
 
+def _approximate(tg: TemporalGraph) -> DataFrame:
+    """Vertices, and whether the sketch is within three of its standard errors (5 % each)."""
+    exact_row = tg.vertices().agg(F.count(F.lit(1)).alias("exact"))
+    both = tg.approximate_vertices().crossJoin(exact_row)  # two single rows
+    return both.select(F.col("exact").alias("vertices"), (F.abs(F.col("vertices") - F.col("exact")) <= 0.15 * F.col("exact")).alias("near"))
+
+
+def _union(rows) -> DataFrame:
+    return reduce(DataFrame.unionByName, rows)
+
+
+def _counts(tg: TemporalGraph, names, delta: int) -> DataFrame:
+    return _union(exact.exact_frontier(tg, n, delta) if len(CATALOG[n].edges) > 5 else plans.census(tg, n, delta).select("motif", "delta", "count") for n in names)
+
+
+def _anchors(spark: SparkSession, sf_dir: str) -> DataFrame:
+    graphs = {v: view(spark, sf_dir, v) for v in {v for v, _, _ in ANCHORS}}
+    rows = _union(measures.anchor_stats(graphs[v], n, delta).withColumn("graph", F.lit(v)) for v, n, delta in ANCHORS)
+    return rows.select("graph", "motif", "b_max", "hits", "count", F.round("b_avg", 6).alias("b_avg"), F.round("b_std", 6).alias("b_std"), F.round("b_avg_all", 9).alias("b_avg_all"))
+
+
+def _errors(tg: TemporalGraph) -> DataFrame:
+    rows = _union(measures.accuracy(tg, n, F_DELTA, K, SEEDS) for n in ERRORS)
+    return rows.select("motif", "exact", F.round("mean_error", 6).alias("mean_error"), F.round("std_error", 6).alias("std_error"))
+
+
+def _pilots(tg: TemporalGraph) -> DataFrame:
+    rows = [(n, plans.pilot_samples(tg, n, F_DELTA, PILOT)) for n in HEURISTIC]
+    return tg.edges.sparkSession.createDataFrame(rows, "motif string, k bigint")
+
+
+def _ratios(tg: TemporalGraph) -> DataFrame:
+    """Of motifs, and of one motif in the multigraph and in the graph of each pair's first edges."""
+    rows = measures.count_ratios(tg, F_DELTA, RATIOS).drop("ratio")
+    few = plans.census(tg.simple(), "TRI", F_DELTA).select(F.lit("TRI-simple").alias("below"), F.col("count").alias("below_count"))
+    one = plans.census(tg, "TRI", F_DELTA).select(F.col("motif").alias("above"), F.col("count").alias("above_count")).crossJoin(few)  # two single rows
+    return _union([rows, one])
+
+
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The estimate of M4-0 with 20,000 draws, beside the census."""
     tg = view(spark, sf_dir, "R")
@@ -119,7 +157,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "graph_profile": _on("R", lambda g: g.profile()),
         "static_edges": _on("R", lambda g: g.static_edges()),
         "edge_self_loops": lambda s, d: graph.reply_graph(s, d, 6, keep_loops=True).edges.where("src = dst").agg(F.count(F.lit(1)).alias("loops")),
-        "approx_vertices": _on("R", lambda g: g.approximate_vertices()),
+        "approx_vertices": _on("R", _approximate),
         "ranked_out": _on("R", lambda g: incidence.ranked_incidence(g, R_DELTA).where("dir = '+'").select("vertex", "rank", "t", "eid", "other")),
         "ranked_in": _on("R", lambda g: incidence.ranked_incidence(g, R_DELTA).where("dir = '-'").select("vertex", "rank", "t", "eid", "other")),
         "degrees_before_in": _on("R", lambda g: incidence.windowed_degrees(g, R_DELTA, THROUGH).select("eid", "lo1", "n1")),
@@ -149,22 +187,25 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "estimate_static": _on("R", lambda g: _integers(plans.estimate(g, "M4-0", R_DELTA, K, sampler="static"))),
         "estimate_constrained": _on("R", lambda g: _integers(plans.estimate(g, "M4-0", R_DELTA, K, sampler="constrained"))),
         "estimate_hub_star": _on("R", lambda g: _integers(plans.estimate(g, "STAR", R_DELTA, K, sampler="hub"))),
-        "estimate_adaptive": _on("F", lambda g: plans.estimate_adaptive(g, "M4-0", F_DELTA, 0.1)),
-        "estimate_stratified": _on("F", lambda g: plans.estimate(g, "M4-0", F_DELTA, K, scheme="stratified")),
-        "estimate_without_replacement": _on("F", lambda g: plans.estimate(g, "M4-0", F_DELTA, K, scheme="without_replacement")),
-        "estimate_poisson": _on("F", lambda g: plans.estimate(g, "M4-0", F_DELTA, K, scheme="poisson")),
-        "estimate_eight": _on("F", lambda g: plans.estimate_many(g, EIGHT, F_DELTA, K)),
+        "estimate_adaptive": _on("F", lambda g: _integers(plans.estimate_adaptive(g, "M4-0", F_DELTA, 0.1))),
+        "estimate_stratified": _on("F", lambda g: _integers(plans.estimate(g, "M4-0", F_DELTA, K, scheme="stratified"))),
+        "estimate_without_replacement": _on("F", lambda g: _integers(plans.estimate(g, "M4-0", F_DELTA, K, scheme="without_replacement"))),
+        "estimate_poisson": _on("F", lambda g: _integers(plans.estimate(g, "M4-0", F_DELTA, K, scheme="poisson"))),
+        "estimate_eight": _on("F", lambda g: _integers(plans.estimate_many(g, EIGHT, F_DELTA, K))),
         "estimate_sweep": _on("R", lambda g: _integers(plans.sweep(g, "M4-0", (R_DELTA, 2 * R_DELTA), K))),
         "windows_a": _on("R", lambda g: _rounded(baselines.estimate_windows(g, "M4-0", R_DELTA, 30, variant="A"))),
         "windows_e": _on("R", lambda g: _rounded(baselines.estimate_windows(g, "M4-0", R_DELTA, 30, variant="E"))),
         "partition_sampler": _on("R", lambda g: _rounded(baselines.estimate_partition(g, "M4-0", R_DELTA))),
         "edge_sampler": _on("R", lambda g: _rounded(baselines.estimate_edges(g, "M4-0", R_DELTA))),
-        "anchor_stats": _on("F", lambda g: measures.anchor_stats(g, "M4-0", F_DELTA).select("motif", "b_max", "hits", "count")),
-        "hit_rates": _on("R", lambda g: measures.hit_rates(g, "M4-0", R_DELTA, K)),
+        "anchor_stats": _anchors,
+        "hit_rates": _on("R", lambda g: measures.hit_rates(g, "M4-0", R_DELTA, K).withColumn("w_total", F.col("w_total").cast("bigint"))),
+        "hit_rates_folded": _on("F", lambda g: measures.hit_rates(g, "M4-0", F_DELTA, K).withColumn("w_total", F.col("w_total").cast("bigint"))),
+        "convergence_in_k": _on("F", lambda g: plans.convergence(g, "M4-0", F_DELTA, GROWING, SEEDS).select("motif", "k", "seed", F.col("cnt").cast("bigint").alias("cnt"))),
+        "heuristic_samples": _on("F", _pilots),
         "required_samples": _bounds,
-        "relative_error_5_seeds": _on("F", lambda g: measures.accuracy(g, "M4-0", F_DELTA, K)),
-        "count_table": _on("R", lambda g: measures.count_table({"R": (g, R_DELTA)}, ("TRI", "M4-0", "M4-5"))),
-        "count_ratios": _on("R", lambda g: measures.count_ratios(g, R_DELTA, [("M4-0", "TRI")]).select("above_count", "below_count")),
+        "relative_error_5_seeds": _on("F", _errors),
+        "count_table": lambda s, d: measures.count_table({v: (view(s, d, v), delta) for v, _, delta in TABLE}, TABLE[0][1]),
+        "count_ratios": _on("F", _ratios),
         "edges_by_label_filter": lambda s, d: graph.reply_graph(s, d).where(F.col("label").isin(*LABELS)).edges,
         "edges_semi_active": _on("R", lambda g: around.active_centers(weights.weights(g, R_DELTA, THROUGH))),
         "edges_anti_isolated": _on("R", around.sources_never_targets),
@@ -186,6 +227,8 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "time_slice": lambda s, d: graph.nation_graph(s, d).between(9500, 9600).edges,
         "stream_tumbling": _streamed,
     }
+    for name, (v, names, delta) in WORKLOADS.items():
+        out[name] = _on(v, partial(_counts, names=names, delta=delta))
     for name, v, delta in CENSUS:
         out[f"census_{name.lower().replace('-', '_')}"] = _on(v, partial(plans.census, which=name, delta=delta))
     for name, v, delta in EXACT:

@@ -7,6 +7,9 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from tmotif.operators.prefix import with_previous
+from tmotif.sources.io import staged
+
 MICROSECONDS = {"W": 604_800_000_000, "D": 86_400_000_000, "H": 3_600_000_000}
 
 
@@ -37,7 +40,8 @@ class TemporalGraph:
         number = F.col(eid) if eid else F.monotonically_increasing_id()
         out = df.select(number.cast("bigint").alias("eid"), F.col(src).cast("bigint").alias("src"), F.col(dst).cast("bigint").alias("dst"), time.cast("bigint").alias("t"), *([F.col(label).alias("label")] if label else []))
         out = out.where("src is not null and dst is not null and t is not null")
-        return cls(out if keep_loops else out.where("src <> dst"), unit)
+        out = out if keep_loops else out.where("src <> dst")
+        return cls(out if eid else staged(out, "edges"), unit)  # numbers given here must not change when read again
 
     @classmethod
     def from_rows(cls, spark: SparkSession, rows: list[tuple[int, int, int]]) -> TemporalGraph:
@@ -63,6 +67,15 @@ class TemporalGraph:
         kept = self.edges.join(vertices.select(F.col("v").alias("src")), "src", "left_semi").join(vertices.select(F.col("v").alias("dst")), "dst", "left_semi")
         return self.with_edges(kept.select(*self.edges.columns))
 
+    def staged(self) -> TemporalGraph:
+        """The same edges, written once to the shared folder for the many passes of an estimate."""
+        return self.with_edges(staged(self.edges, "edges"))
+
+    def simple(self) -> TemporalGraph:
+        """One edge a pair, the first one."""
+        first = self.edges.groupBy("src", "dst").agg(F.min(F.struct("t", "eid")).alias("x"))
+        return self.with_edges(first.select(F.col("x.eid").alias("eid"), "src", "dst", F.col("x.t").alias("t")))
+
     def vertices(self) -> DataFrame:
         return self.edges.select(F.explode(F.array("src", "dst")).alias("v")).distinct()
 
@@ -95,8 +108,8 @@ def previous_in_topic(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Events with the user of the previous event of the same topic (an as-of step by lag)."""
     events = table(spark, sf_dir, "events").select("event_id", "ts", "user_id", "event_type", "props")
     topic = F.get_json_object("props", "$.k").cast("int")
-    by = Window.partitionBy("topic").orderBy("ts", "event_id")
-    return events.withColumn("topic", topic).withColumn("previous", F.lag("user_id").over(by)).where("previous is not null")
+    rows = events.withColumn("topic", topic).withColumn("bucket", F.to_date("ts"))
+    return with_previous(rows, ["topic"], ["ts", "event_id"], {"user_id": "previous"}).where("previous is not null")
 
 
 def reply_graph(spark: SparkSession, sf_dir: str, fold: int | None = None, keep_loops: bool = False) -> TemporalGraph:

@@ -2,17 +2,39 @@
 
 from __future__ import annotations
 
+import tempfile
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tmotif.operators.incidence import ranked_incidence
-from tmotif.sources.graph import TemporalGraph
+
+
+def workspace(spark: SparkSession) -> str:
+    """The folder that all executors share. Only a local master may fall back to a temporary one."""
+    folder = spark.conf.get("spark.checkpoint.dir", None) or spark.conf.get("tmotif.workspace", None)
+    if not folder:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
+        folder = tempfile.mkdtemp(prefix="tmotif-")
+        spark.conf.set("tmotif.workspace", folder)
+    return folder
+
+
+def staged(df: DataFrame, label: str) -> DataFrame:
+    """Written once to the shared folder and read back: cuts the lineage, and row numbers made before stay what they are."""
+    path = f"{workspace(df.sparkSession)}/{label}-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
 
 EDGE_SCHEMA = "src bigint, dst bigint, t bigint"
 
 
-def read_edges(spark: SparkSession, path: str, fmt: str = "parquet", unit: str = "s") -> TemporalGraph:
+def read_edges(spark: SparkSession, path: str, fmt: str = "parquet", unit: str = "s"):
     """fmt: parquet, orc, json, csv (header), or text (white-space separated src dst t; lines that begin with # or % are skipped)."""
+    from tmotif.sources.graph import TemporalGraph
+
     if fmt == "text":
         lines = spark.read.text(path).where(~F.col("value").rlike(r"^\s*[#%]") & F.col("value").rlike(r"\S"))
         cells = F.split(F.trim("value"), r"[\s,]+")
@@ -25,13 +47,15 @@ def read_edges(spark: SparkSession, path: str, fmt: str = "parquet", unit: str =
     return TemporalGraph.from_table(df, "src", "dst", "t", eid="eid" if "eid" in df.columns else None, unit=unit)
 
 
-def write_pair_index(tg: TemporalGraph, name: str, buckets: int) -> None:
+def write_pair_index(tg, name: str, buckets: int) -> None:
     """A table bucketed by pair and sorted by time: extension joins read it without a shuffle of the edges."""
     tg.edges.select("src", "dst", "t", "eid").write.mode("overwrite").bucketBy(buckets, "src", "dst").sortBy("t").saveAsTable(name)
 
 
-def write_incidence(tg: TemporalGraph, name: str, delta: int, buckets: int) -> None:
+def write_incidence(tg, name: str, delta: int, buckets: int) -> None:
     """Ranked lists bucketed by (vertex, rank): draws read only the buckets they hit."""
+    from tmotif.operators.incidence import ranked_incidence
+
     ranked_incidence(tg, delta).write.mode("overwrite").bucketBy(buckets, "vertex", "rank").saveAsTable(name)
 
 
