@@ -142,6 +142,17 @@ def test_packing(docs, empty):
     assert packing.pack_documents(empty, path).count() == 0
 
 
+def test_packing_odd(odd):
+    """Null ids and repeated rows are documents of their own."""
+    path = public_tokenizers.path("byte_bpe_50k.json")
+    library = Tokenizer.from_file(path)
+    sizes = {t: len(library.encode(t or "", add_special_tokens=False).ids) + 1 for t in ("same text here", "other", None)}
+    rows = packing.pack_documents(odd, path).collect()
+    assert sorted((str(r["doc_id"]), r["doc_tokens"]) for r in rows) == sorted((str(r["doc_id"]), sizes[r["text"]]) for r in odd.collect())
+    placed = sorted((r["offset"], r["length"]) for r in rows)
+    assert {r["sequence_id"] for r in rows} == {0} and [at for at, _ in placed] == [sum(n for _, n in placed[:k]) for k in range(len(placed))]
+
+
 def test_pack_histogram():
     rnd = random.Random(0)
     for _ in range(30):
@@ -271,6 +282,13 @@ def test_rules(docs, empty):
     assert rules_op.quality_rules(empty).count() == 0
 
 
+def test_rules_odd(odd):
+    """Rows are judged one by one; nulls have no words."""
+    rows = rules_op.quality_rules(odd).collect()
+    want = sorted((str(r["doc_id"]), *rules(r["text"])) for r in odd.collect())
+    assert sorted((str(r["doc_id"]), *(r[c] for c in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed"))) for r in rows) == want
+
+
 def test_secrets(spark):
     forest = secrets.default_forest(spark)
     held = secrets.findings_table(spark, secrets.labelled_findings(200, seed=99))
@@ -330,7 +348,7 @@ def test_kneser_ney(spark, order):
     for lang, lines in KN_LINES.items():
         p = kn_brute(lines, order)
         for text in [*lines, "abba ab. zq 77", "文中字x", "a"]:
-            assert np.exp(quality.log_p(quality.symbols(text), models[lang])) == pytest.approx(p(text), rel=1e-9)
+            assert np.exp(quality.log_p(quality.padded(quality.symbols(text), order), models[lang])) == pytest.approx(p(text), rel=1e-9)
 
 
 def test_shards_equal_broadcast(spark, monkeypatch):

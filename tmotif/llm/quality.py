@@ -146,68 +146,123 @@ def tables(counts: DataFrame, order: int = ORDER) -> DataFrame:
     return out
 
 
+class Table:
+    """Codes and their values, by open addressing: at most a quarter of the slots is used, so that most look-ups end at the first."""
+
+    NONE = np.uint64((1 << 64) - 1)
+
+    def __init__(self, keys: np.ndarray, values: np.ndarray):
+        bits = max(4, int(4 * len(keys)).bit_length())
+        self.shift, self.mask = np.uint64(64 - bits), np.int64((1 << bits) - 1)
+        self.keys, self.values = np.full(1 << bits, self.NONE, np.uint64), np.zeros(1 << bits)
+        slots, left = self._slots(keys), np.arange(len(keys))
+        while len(left):
+            free = left[self.keys[slots[left]] == self.NONE]
+            at, first = np.unique(slots[free], return_index=True)
+            self.keys[at], self.values[at] = keys[free[first]], values[free[first]]
+            left = np.setdiff1d(left, free[first], assume_unique=True)
+            slots[left] = (slots[left] + 1) & self.mask
+
+    def _slots(self, keys: np.ndarray) -> np.ndarray:
+        return ((keys ^ (keys >> np.uint64(29))) * np.uint64(BASE) >> self.shift).astype(np.int64)
+
+    def get(self, wanted: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Which are there, and the values of all (zero where not)."""
+        slots = self._slots(wanted)
+        there = self.keys[slots]
+        hit = there == wanted
+        values = np.where(hit, self.values[slots], 0.0)
+        left = np.flatnonzero(~hit & (there != self.NONE))
+        while len(left):
+            slots[left] = (slots[left] + 1) & self.mask
+            there = self.keys[slots[left]]
+            met = there == wanted[left]
+            hit[left[met]], values[left[met]] = True, self.values[slots[left[met]]]
+            left = left[~met & (there != self.NONE)]
+        return hit, values
+
+
+def _table(grams: list[str], values: np.ndarray, size: int) -> Table:
+    """Of n-grams of so many symbols, given as strings."""
+    if not size:
+        return Table(np.zeros(len(grams), np.uint64), values)
+    points = np.frombuffer("".join(grams).encode("utf-32-le"), "<u4").reshape(len(grams), size)
+    return Table(codes(np.concatenate([np.zeros((len(grams), 1), np.uint32), points], axis=1).T, size)[size].reshape(-1), values)
+
+
 def loaded(model: DataFrame, order: int = ORDER) -> dict[str, list]:
-    """language -> for each order (codes, log p, codes of contexts, log weights), sorted by code; [0] is that of an unknown symbol."""
+    """language -> for each order the tables of log p and of log weights; [0] is the log p of an unknown symbol."""
     rows = model.toArrow()
-    lang, k, kind = (np.array(rows[c].to_pylist(), object) for c in ("lang", "k", "kind"))
-    grams, values = np.array(rows["g"].to_pylist(), object), rows["v"].to_numpy()
+    lang, k, kind, grams = (np.array(rows[c].to_pylist(), object) for c in ("lang", "k", "kind", "g"))
+    values = rows["v"].to_numpy()
     out: dict[str, list] = {}
     for x in set(lang.tolist()):
-        out[x] = [float(values[(lang == x) & (k == 0)][0])]
-        for n in range(1, order + 1):
-            pair = []
-            for what, size in (("p", n), ("w", n - 1)):
-                at = np.flatnonzero((lang == x) & (k == n) & (kind == what))
-                points = np.frombuffer("".join(grams[at]).encode("utf-32-le"), "<u4").reshape(len(at), size)
-                code = codes(np.concatenate([np.zeros((len(at), 1), np.uint32), points], axis=1).T, size)[size][0] if size else np.zeros(len(at), np.uint64)
-                by = np.argsort(code)
-                pair += [code[by], values[at][by]]
-            out[x].append(tuple(pair))
+        of = lambda n, what: np.flatnonzero((lang == x) & (k == n) & (kind == what))  # noqa: B023, E731
+        pick = lambda at, size: _table(grams[at].tolist(), values[at], size)
+        out[x] = [float(values[of(0, "p")][0]), *((pick(of(n, "p"), n), pick(of(n, "w"), n - 1)) for n in range(1, order + 1))]
     return out
 
 
-def _found(keys: np.ndarray, values: np.ndarray, wanted: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    at = np.minimum(np.searchsorted(keys, wanted), max(0, len(keys) - 1))
-    hit = keys[at] == wanted if len(keys) else np.zeros(len(wanted), bool)
-    return hit, values[at[hit]]
-
-
-def log_p(points: np.ndarray, model: list) -> np.ndarray:
-    """Of each symbol after those before it."""
+def log_p(line: np.ndarray, model: list) -> np.ndarray:
+    """Of each symbol of a line after those before it; the first order symbols stand for what was before and have none."""
     order = len(model) - 1
-    line = padded(points, order)
-    own, before = codes(line, order), codes(line[:-1], order - 1)
-    out, need = np.zeros(len(points)), np.arange(len(points))
+    own = codes(np.concatenate([np.full(1, START, line.dtype), line]), order)  # own[k][i + 1] ends at the symbol, own[k][i] before it
+    out, need = np.zeros(max(0, len(line) - order)), np.arange(max(0, len(line) - order))
     for k in range(order, 0, -1):
-        keys, values, contexts, weights = model[k]
-        hit, found = _found(keys, values, own[k][need])
-        out[need[hit]] += found
+        hit, values = model[k][0].get(own[k][1:] if k == order else own[k][need + 1])
+        out[need] += values
         need = need[~hit]
         if not len(need):
             return out
-        hit, found = _found(contexts, weights, before[k - 1][need])
-        out[need[hit]] += found
+        out[need] += model[k][1].get(own[k - 1][need])[1]
     out[need] += model[0]
     return out
 
 
-def perplexity(text: str | None, model: list | None) -> float | None:
-    """Per symbol; None for null and empty texts and where there is no model."""
-    if not text or model is None:
-        return None
-    points, order = symbols(text), len(model) - 1
-    total = 0.0
-    for k in range(0, len(points), CHUNK):
-        skip = min(k, order)
-        total += float(log_p(points[k - skip : k + CHUNK], model)[skip:].sum())
-    return float(np.exp(-total / len(points)))
+def perplexities(texts: list[str | None], model: list | None) -> list[float | None]:
+    """Per symbol; None for null and empty texts and where there is no model. Short texts are looked up together, long ones in parts."""
+    out: list[float | None] = [None] * len(texts)
+    if model is None:
+        return out
+    order, waiting, size = len(model) - 1, [], 0
+
+    def done() -> None:
+        line = np.concatenate([x for _, x in waiting])
+        sums = np.concatenate([np.zeros(1), np.cumsum(log_p(line, model))])
+        at = 0
+        for k, x in waiting:
+            n = len(x) - order
+            out[k] = float(np.exp((sums[at] - sums[at + n]) / n))
+            at += len(x)
+
+    for k, text in enumerate(texts):
+        if not text:
+            continue
+        points = padded(symbols(text), order)
+        if len(points) > CHUNK:
+            total = sum(float(log_p(points[j : j + CHUNK + order], model).sum()) for j in range(0, len(points) - order, CHUNK))
+            out[k] = float(np.exp(-total / (len(points) - order)))
+            continue
+        waiting.append((k, points))
+        size += len(points)
+        if size > CHUNK:
+            done()
+            waiting, size = [], 0
+    if waiting:
+        done()
+    return out
 
 
 def _scored(models, text_at: int, lang_at: int):
     def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         known = models.value
         for batch in batches:
-            scores = [perplexity(t, known.get(lang, known.get(ANY))) for t, lang in zip(batch.column(text_at).to_pylist(), batch.column(lang_at).to_pylist(), strict=True)]
+            texts, of = batch.column(text_at).to_pylist(), batch.column(lang_at).to_pylist()
+            scores: list[float | None] = [None] * len(texts)
+            for lang in set(of):
+                own = [k for k, x in enumerate(of) if x == lang]
+                for k, score in zip(own, perplexities([texts[k] for k in own], known.get(lang, known.get(ANY))), strict=True):
+                    scores[k] = score
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(scores, pa.float64())], [*batch.schema.names, "score"])
 
     return make
@@ -229,21 +284,17 @@ def _asked(order: int):
 
 def _answered(order: int, text: str):
     def make(key: tuple, rows: pa.Table, grams: pa.Table) -> pa.Table:
-        codes_, values = {}, {}
-        of = np.array(grams["lang"].to_pylist(), object)
-        every = grams["g"].to_pylist()
+        of, every, values = np.array(grams["lang"].to_pylist(), object), grams["g"].to_pylist(), grams["v"].to_numpy()
+        known = {}
         for lang in set(of.tolist()):
             at = np.flatnonzero(of == lang)
-            points = np.frombuffer("".join([every[k] for k in at]).encode("utf-32-le"), "<u4").reshape(len(at), order)
-            code = codes(np.concatenate([np.zeros((len(at), 1), np.uint32), points], axis=1).T, order)[order][0]
-            by = np.argsort(code)
-            codes_[lang], values[lang] = code[by], grams["v"].to_numpy()[at][by]
+            known[lang] = _table([every[k] for k in at], values[at], order)
         scores = []
         for t, lang in zip(rows[text].to_pylist(), rows["model_"].to_pylist(), strict=True):
-            if not t or lang not in codes_:
+            if not t or lang not in known:
                 scores.append(None)
                 continue
-            hit, found = _found(codes_[lang], values[lang], codes(padded(symbols(t), order), order)[order])
+            hit, found = known[lang].get(codes(padded(symbols(t), order), order)[order])
             scores.append(float(np.exp(-found.mean())) if hit.all() and not np.isnan(found).any() else None)
         return rows.drop_columns(["part_", "model_"]).append_column("score", pa.array(scores, pa.float64()))
 
