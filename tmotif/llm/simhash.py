@@ -141,8 +141,6 @@ RING, RING_DIFFER = 32, 10
 SIMILAR = 0.8
 #: Sets of fewer shingles are met by an exact prefix of their hashes: on rings of theirs one changed shingle fills many segments.
 SHORT = 64
-#: Longer chains that crowded keys are parted by.
-CHAINS = (5, 8, 12)
 
 
 def shingle_hashes(text: bytes, width: int, seed: int = 42) -> np.ndarray:
@@ -275,8 +273,7 @@ def similar_links(rows: DataFrame, width: int = 5, similarity: float = SIMILAR,
     budget of RING_DIFFER in RING leaves without difference. A pair with a shorter set shares one of the smallest
     hashes of both (see prefix_of), which misses none. Sizes must allow the similarity; the Jaccard
     similarity of the whole shingle sets then decides alone. In a key that
-    more than crowd rows share each row first meets the key's smallest row, and the smallest
-    rows of its keys of longer chains, which are ever fewer; keys that these links leave
+    more than crowd rows share each row first meets the key's smallest row; keys that these links leave
     in parts have all their rows compared, see crowd_links.
     """
     table = staged(in_arrow(rows.select("row", "doc_id", F.col("text").cast("binary")), _rings(width, similarity), "row long, doc_id long, n int, ring array<int>, first array<long>"), "rings")
@@ -291,9 +288,6 @@ def similar_links(rows: DataFrame, width: int = 5, similarity: float = SIMILAR,
     many = staged(members.where(F.col("n") > crowd).select("key", "row", "hub"), "many")
     stars = many.where("row <> hub").select(F.col("hub").alias("a"), F.col("row").alias("b"))
     crowded = many.select("row").distinct()
-    longer = table.where("ring is not null").join(crowded, "row", "left_semi").select("row", F.explode(F.concat(*[_chain_keys(n) for n in CHAINS])).alias("key"))
-    hubs = longer.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.min("row").alias("hub")).where("n > 1")
-    stars = stars.union(longer.join(hubs, "key").where("row <> hub").select(F.col("hub").alias("a"), F.col("row").alias("b")))
     pairs = pairs.union(stars).distinct()
     side = lambda x: table.select(F.col("row").alias(x), F.col("n").alias(f"n{x}"))
     near = staged(pairs.join(side("a"), "a").join(side("b"), "b").where(F.least("na", "nb") >= similarity * F.greatest("na", "nb")).select("a", "b"), "near")
