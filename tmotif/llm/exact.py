@@ -6,9 +6,9 @@ smallest (id, row) seen. Runs then meet in binomial rounds: in round r the nodes
 whose numbers agree above bit r * FAN_BITS hand their runs of a slice to the
 lowest of them, which merges them and keeps the smallest identifier of equal
 digests. An entry is equal only if the SHA-256, a second hash and the length
-agree, so that each merge verifies what it joins. Slices are of bounded size
-(SLICE_ROWS rows on average), so no task ever holds a whole table, and a group of copies is
-one entry in every run from the first round on.
+agree, so that each merge verifies what it joins. A merged run is cut into as many finer slices as runs met, so that
+runs stay of one size (SLICE_ROWS rows on average) and of one number in every round, however many rows and tasks there
+are; no task ever holds a whole table, and a group of copies is one entry in every run from the first round on.
 """
 
 from __future__ import annotations
@@ -22,8 +22,8 @@ from pyspark.sql import functions as F
 
 from tmotif.llm.common import NO_ID, SPACE_CLASS, in_arrow, numbered, staged, text_table, without, workers_see_package
 
-#: Rows of a slice of the digest space on average, before merging.
-SLICE_ROWS = 200_000
+#: Rows of a run on average.
+SLICE_ROWS = 50_000
 #: Sixteen runs meet in a round.
 FAN_BITS = 4
 RUN = np.dtype([("d0", "<u8"), ("d1", "<u8"), ("d2", "<u8"), ("d3", "<u8"), ("check", "<i8"), ("size", "<i8"), ("id", "<i8"), ("row", "<i8"), ("n", "<i8")])
@@ -52,6 +52,13 @@ def merged(runs: list[np.ndarray]) -> np.ndarray:
     return out
 
 
+def in_slices(run: np.ndarray, slices: int) -> list[tuple[int, np.ndarray]]:
+    """A sorted run cut at equal shares of the digest space: (share, entries) of those that have any."""
+    which = (run["d0"] >> np.uint64(32)) * np.uint64(slices) >> np.uint64(32)
+    cuts = np.flatnonzero(which[1:] != which[:-1]) + 1
+    return [(int(which[a]), run[a:b]) for a, b in zip([0, *cuts], [*cuts, len(run)], strict=True)] if len(run) else []
+
+
 def _runs(slices: int):
     def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: dict[int, list[np.ndarray]] = {}
@@ -64,11 +71,10 @@ def _runs(slices: int):
             run["check"], run["size"] = cols["check"].to_numpy(zero_copy_only=False), cols["size"].to_numpy(zero_copy_only=False)
             run["id"] = cols["doc_id"].fill_null(int(NO_ID)).to_numpy(zero_copy_only=False)
             run["row"], run["n"] = cols["row"].to_numpy(zero_copy_only=False), 1
-            which = (run["d0"] >> np.uint64(32)) * np.uint64(slices) >> np.uint64(32)
-            for s in np.unique(which):
-                held.setdefault(int(s), []).append(merged([run[which == s]]))
-                if len(held[int(s)]) >= 16:
-                    held[int(s)] = [merged(held[int(s)])]
+            for s, part in in_slices(merged([run]), slices):
+                held.setdefault(s, []).append(part)
+                if len(held[s]) >= 16:
+                    held[s] = [merged(held[s])]
         from pyspark import TaskContext
 
         node = TaskContext.get().partitionId()
@@ -78,9 +84,15 @@ def _runs(slices: int):
     return make
 
 
-def _merge(met: pa.Table) -> pa.Table:
-    run = merged([np.frombuffer(x, RUN) for x in met["run"].to_pylist()])
-    return pa.table({"slice": met["slice"][:1], "node": met["up"][:1], "run": pa.array([run.tobytes()], pa.binary())})
+def _merge(slices: int):
+    """Merges the runs of a node and a slice, and cuts the result into the slices of the next round."""
+
+    def merge(met: pa.Table) -> pa.Table:
+        parts = in_slices(merged([np.frombuffer(x, RUN) for x in met["run"].to_pylist()]), slices)
+        up = met["up"][0].as_py()
+        return pa.table({"slice": pa.array([s for s, _ in parts], pa.int64()), "node": pa.array([up] * len(parts), pa.int64()), "run": pa.array([x.tobytes() for _, x in parts], pa.binary())})
+
+    return merge
 
 
 def _entries(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -103,13 +115,16 @@ def tree_merge(table: DataFrame) -> DataFrame:
     """Digests held by two rows or more: sha, check, size, keep_id, keep_row, group_size."""
     spark = table.sparkSession
     nodes = table.rdd.getNumPartitions()
-    slices = max(1, -(-table.count() // SLICE_ROWS))
+    slices = max(1, -(-table.count() // (SLICE_ROWS * max(1, nodes))))
     runs = in_arrow(table.select("doc_id", "row", "sha", "check", "size"), _runs(slices), "slice long, node long, run binary")
     workers_see_package(spark)
     rounds = 0
     while (1 << FAN_BITS * rounds) < nodes:
         rounds += 1
-        runs = runs.withColumn("up", F.shiftright("node", FAN_BITS)).groupBy("slice", "up").applyInArrow(_merge, "slice long, node long, run binary")
+        slices <<= FAN_BITS
+        if slices >= 1 << 32:
+            raise ValueError("more runs than the digest space has slices")
+        runs = runs.withColumn("up", F.shiftright("node", FAN_BITS)).groupBy("slice", "up").applyInArrow(_merge(slices), "slice long, node long, run binary")
     return in_arrow(runs.select("run"), _entries, "sha binary, check long, size long, keep_id long, keep_row long, group_size long")
 
 
