@@ -23,7 +23,7 @@ from pyspark.sql import functions as F
 from tmotif.llm.common import NO_ID, in_arrow, staged, text_table
 from tmotif.llm.tokens import encoder
 
-MAGIC = b"PFR1"
+MAGIC = b"PFR2"
 BLOCK = 1024
 PERCENTILE = 0.95
 #: A segment ends with the document that brings it to so many ids.
@@ -77,7 +77,7 @@ def encode_blocks(ids: np.ndarray) -> tuple[np.ndarray, bytes]:
                     where = np.flatnonzero(over[j])
                     made[k + b] = struct.pack("<IBHH", int(least[b]), int(w), rest.shape[1], len(where)) + raw[j].tobytes() + where.astype("<u2").tobytes() + rest[b][where].astype("<u4").tobytes()
         blocks += made
-    return np.cumsum([0, *map(len, blocks)])[:-1].astype("<u4"), b"".join(blocks)
+    return np.cumsum([0, *map(len, blocks)])[:-1].astype("<u8"), b"".join(blocks)
 
 
 def decode_blocks(starts: np.ndarray, raw: bytes) -> np.ndarray:
@@ -113,8 +113,8 @@ def read_segment(image: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     n, docs, blocks = struct.unpack_from("<QII", image, 4)
     p = 20
     doc_ids, lengths = np.frombuffer(image, "<i8", docs, p), np.frombuffer(image, "<u4", docs, p + 8 * docs)
-    starts = np.frombuffer(image, "<u4", blocks, p + 12 * docs)
-    ids = decode_blocks(starts, image[p + 12 * docs + 4 * blocks :])
+    starts = np.frombuffer(image, "<u8", blocks, p + 12 * docs)
+    ids = decode_blocks(starts, image[p + 12 * docs + 8 * blocks :])
     if len(ids) != n:
         raise ValueError("segment is cut short")
     return doc_ids, lengths, ids
@@ -124,8 +124,8 @@ def block_of(image: bytes, number: int) -> np.ndarray:
     """Ids of one block alone, by the index of block starts."""
     _, docs, blocks = struct.unpack_from("<QII", image, 4)
     p = 20 + 12 * docs
-    at = int(np.frombuffer(image, "<u4", blocks, p)[number])
-    return decode_blocks(np.zeros(1, np.int64), image[p + 4 * blocks + at :])
+    at = int(np.frombuffer(image, "<u8", blocks, p)[number])
+    return decode_blocks(np.zeros(1, np.int64), image[p + 8 * blocks + at :])
 
 
 def _segments(path: str, end: int):
