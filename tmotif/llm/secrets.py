@@ -34,7 +34,8 @@ TREES, DEPTH, SEED = 15, 4, 7
 MOST_FINDINGS = 2000
 
 
-def features(text: Column, left: Column, right: Column) -> dict[str, Column]:
+def features(text: Column, left: Column, right: Column, words: str = DICTIONARY) -> dict[str, Column]:
+    """words: the dictionary as a regular expression."""
     size = F.greatest(F.length(text), F.lit(1))
     known = F.lit(False)
     for _, pattern in KINDS:
@@ -43,7 +44,7 @@ def features(text: Column, left: Column, right: Column) -> dict[str, Column]:
     return {
         "length": number(F.length(text)),
         "transitions": number(F.regexp_count(text, F.lit("[a-z](?=[A-Z0-9])|[A-Z](?=[a-z0-9])|[0-9](?=[A-Za-z])"))) / size,
-        "dictionary": number(F.length(text) - F.length(F.regexp_replace(text, DICTIONARY, ""))) / size,
+        "dictionary": number(F.length(text) - F.length(F.regexp_replace(text, words, ""))) / size,
         "path": number(text.rlike(r"^[./~]|/.*/|\.[a-z]{2,4}$|^www") | left.rlike(r"[/\\@:]$") | right.rlike(r"^[/\\@]")),
         "secret_word": number(left.rlike(SECRET_WORD)),
         "harmless_word": number(left.rlike(HARMLESS_WORD)),
@@ -112,6 +113,38 @@ def findings_table(spark: SparkSession, findings: list[tuple[str, str, str, int]
     return spark.range(1).select(F.inline(F.array(*rows)))
 
 
+def learned_words(docs: DataFrame, most: int = 200, text_col: str = "text") -> list[str]:
+    """The words of 4 to 12 letters that most documents hold, in that order, at most so many: a dictionary of the texts at hand."""
+    words = F.array_distinct(F.regexp_extract_all(F.lower(F.coalesce(F.col(text_col), F.lit(""))), F.lit("(?<![a-z])[a-z]{4,12}(?![a-z])"), F.lit(0)))
+    counts = docs.select(F.explode(words).alias("word")).groupBy("word").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
+    return [r["word"] for r in counts.orderBy(F.desc("n"), "word").limit(most).collect()]
+
+
+def dictionary_of(words: list[str]) -> str:
+    """The fixed word parts and these words, longest first, as a regular expression."""
+    own = sorted({*words, *DICTIONARY.removeprefix("(?i)").split("|")}, key=lambda w: (-len(w), w))
+    return "(?i)" + "|".join(own)
+
+
+def table_findings(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """doc_id, left, candidate, right, label: candidates of the documents that rules label for sure.
+
+    1: of a known kind, or 16 characters or more named by a secret word. 0: a host name, a number, an address, a file, a value
+    after a harmless word. All others are left out.
+    """
+    between, texts = F.split("text", CANDIDATE), F.regexp_extract_all("text", F.lit(CANDIDATE), F.lit(0))
+    rows = docs.select(F.col(id_col).alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text")).withColumn("found", texts)
+    rows = rows.where(F.size("found") > 0).withColumn("between", between).select("doc_id", "between", F.posexplode("found").alias("i", "candidate"))
+    rows = rows.select("doc_id", F.right(F.get("between", F.col("i")), F.lit(BESIDE)).alias("left"), "candidate", F.left(F.get("between", F.col("i") + 1), F.lit(BESIDE)).alias("right"))
+    known = F.lit(False)
+    for _, pattern in KINDS:
+        known = known | F.col("candidate").rlike(pattern)
+    harmless = F.col("candidate").rlike(r"^[a-z0-9-]+(\.[a-z0-9-]+)+$|^[0-9]+$|^[./~]|/.*/|\.[a-z]{2,4}$") | F.col("left").rlike(HARMLESS_WORD + "[^a-z]*$") | F.col("left").rlike("@$") | F.col("right").rlike("^@")
+    named = F.col("left").rlike(SECRET_WORD + r"""["']?\s*[=:]+\s*["']?$""") & (F.length("candidate") >= 16)
+    label = F.when(known | (named & ~harmless), 1).when(harmless & ~known, 0)
+    return rows.withColumn("label", label).where("label is not null")
+
+
 def _tree(x: np.ndarray, y: np.ndarray, rng: np.random.Generator, depth: int):
     """A leaf is a share of secrets, a node (feature, limit, at most, more)."""
     share = float(y.mean())
@@ -133,10 +166,12 @@ def _tree(x: np.ndarray, y: np.ndarray, rng: np.random.Generator, depth: int):
     return f, limit, _tree(x[left], y[left], rng, depth - 1), _tree(x[~left], y[~left], rng, depth - 1)
 
 
-def grow(labelled: DataFrame, trees: int = TREES, depth: int = DEPTH, seed: int = SEED) -> list:
-    """A forest from rows (left, candidate, right, label); the first MOST_FINDINGS by hash if there are more."""
-    named = features(F.col("candidate"), F.col("left"), F.col("right"))
+def grow(labelled: DataFrame, trees: int = TREES, depth: int = DEPTH, seed: int = SEED, words: str = DICTIONARY) -> list:
+    """A forest from rows (left, candidate, right, label); the first MOST_FINDINGS by hash if there are more. Scans must use the same words."""
+    named = features(F.col("candidate"), F.col("left"), F.col("right"), words)
     rows = labelled.orderBy(F.xxhash64("left", "candidate", "right")).limit(MOST_FINDINGS).select(*[named[f].alias(f) for f in FEATURES], "label").collect()
+    if not rows:
+        raise ValueError("a forest needs labelled findings")
     x, y = np.array([r[:-1] for r in rows], float), np.array([r[-1] for r in rows], float)
     rng = np.random.default_rng(seed)
     forest = []
@@ -173,7 +208,7 @@ def candidates(text: Column) -> tuple[Column, Column]:
     return F.regexp_extract_all(text, F.lit(CANDIDATE), F.lit(0)), F.split(text, CANDIDATE)
 
 
-def found(docs: DataFrame, forest: list, threshold: float = 0.5) -> DataFrame:
+def found(docs: DataFrame, forest: list, threshold: float = 0.5, words: str = DICTIONARY) -> DataFrame:
     """Adds findings to rows with column text: array of (start, length, kind, score), secret (whole texts of those at the threshold)."""
     found_texts, between = candidates(F.col("text"))
     rows = docs.withColumn("found", found_texts)
@@ -182,7 +217,7 @@ def found(docs: DataFrame, forest: list, threshold: float = 0.5) -> DataFrame:
     rows = rows.withColumn("starts", F.when(F.size("found") > 0, starts))
 
     def described(c: Column, i: Column) -> Column:
-        named = features(c, F.right(F.get("between", i), F.lit(BESIDE)), F.left(F.get("between", i + 1), F.lit(BESIDE)))
+        named = features(c, F.right(F.get("between", i), F.lit(BESIDE)), F.left(F.get("between", i + 1), F.lit(BESIDE)), words)
         return F.struct(c.alias("text"), F.get("starts", i).alias("start"), *[named[f].alias(f) for f in FEATURES])
 
     rows = rows.withColumn("described", F.when(F.size("found") > 0, F.transform("found", described)))
@@ -204,11 +239,15 @@ def redacted(text: Column, secrets: Column) -> Column:
     return F.when(F.size(secrets) > 0, cut).otherwise(text)
 
 
-def scan(docs: DataFrame, forest: list | None = None, id_col: str = "doc_id", text_col: str = "text", threshold: float = 0.5) -> DataFrame:
-    """One row per input row: doc_id, n_candidates, secrets (start, length, kind, score, text), redacted. A null text has none and is redacted to null."""
+def scan(docs: DataFrame, forest: list | None = None, id_col: str = "doc_id", text_col: str = "text", threshold: float = 0.5, words: str = DICTIONARY) -> DataFrame:
+    """One row per input row: doc_id, n_candidates, secrets (start, length, kind, score, text), redacted.
+
+    A null text has none and is redacted to null, an empty one to the empty text. Rows are scanned one by one: null ids and
+    repeated rows stay as they are; other columns are not looked at. words: the dictionary the forest was grown with.
+    """
     forest = forest or default_forest(docs.sparkSession)
     rows = docs.select(F.col(id_col).alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"), F.col(text_col).isNull().alias("none"))
-    rows = found(rows, forest, threshold)
+    rows = found(rows, forest, threshold, words)
     return rows.select("doc_id", "n_candidates", "secrets", F.when(~F.col("none"), redacted(F.col("text"), F.col("secrets"))).alias("redacted"))
 
 
