@@ -31,13 +31,14 @@ class MotifSampleBound:
 
 
 def register(spark: SparkSession) -> None:
-    """motif_edges, motif_anchors, motif_sample_bound (table functions), chain_count (scalar over arrays in scan order), rel_error."""
-    from tmotif.operators.extend import chain_count
+    """motif_edges, motif_anchors, motif_sample_bound (table functions), chain_count (scalar over arrays in scan order), chain_total (aggregate), rel_error."""
+    from tmotif.operators.extend import chain_count, chain_total
 
     spark.udtf.register("motif_edges", MotifEdges)
     spark.udtf.register("motif_anchors", MotifAnchors)
     spark.udtf.register("motif_sample_bound", MotifSampleBound)
     spark.udf.register("chain_count", chain_count)
+    spark.udf.register("chain_total", chain_total)
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION rel_error(c DOUBLE, e DOUBLE) RETURN abs(c - e) / nullif(c, 0)")
 
 

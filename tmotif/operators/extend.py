@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from functools import reduce
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
@@ -96,6 +97,16 @@ def chain_count(times: pd.Series, positions: pd.Series, length: pd.Series) -> pd
     return pd.Series(out, dtype="int64")
 
 
+@F.pandas_udf(LongType())
+def chain_total(times: pd.Series, positions: pd.Series, length: pd.Series) -> int:
+    """The same as an aggregate over rows (t, pos, length) in any order; times in a chain increase strictly."""
+    n = int(length.iloc[0]) if len(length) else 0
+    c = [0] * n
+    for p in positions.iloc[np.lexsort((-positions.to_numpy(), times.to_numpy()))].tolist():
+        c[p] += 1 if p == 0 else c[p - 1]
+    return c[-1] if n else 0
+
+
 def extend_count(paths: DataFrame, tg: TemporalGraph, motif: Motif, anchor: Anchor, delta: int, ties: str = "strict", impl: str = "fold") -> DataFrame:
     """draw, x: for each path with at least one completion, how many there are. paths must be valid, draw a key.
 

@@ -10,9 +10,13 @@ from tmotif.operators.prefix import counts_below, ranked
 from tmotif.sources.graph import TemporalGraph
 
 
+#: A vertex's edges are ordered in buckets of so small a part of the window, so that a dense hub is many tasks even within one.
+PARTS = 8
+
+
 def ranked_incidence(tg: TemporalGraph, delta: int) -> DataFrame:
     """dir, vertex, rank, t, eid, other: each vertex's out- ('+') and in-list ('-') in (t, eid) order."""
-    return ranked(tg.both_roles(), ["dir", "vertex"], ["t", "eid"], delta)
+    return ranked(tg.both_roles(), ["dir", "vertex"], ["t", "eid"], delta // PARTS)
 
 
 def window_bounds(t: Column, side: str, delta: int, ties: str = "strict") -> tuple[Column, Column]:
@@ -49,7 +53,7 @@ def windowed_degrees(tg: TemporalGraph, delta: int, cls: PathClass | WedgeClass,
         probes = rows if probes is None else probes.union(rows)
     probes = probes.select("dir", "vertex", "x", "slot", "eid")
     needed = lists.where(F.col("dir").isin(*{sign for _, _, sign, _ in ends}))
-    counts = counts_below(needed, probes, ["dir", "vertex"], delta).groupBy("eid").agg(*[F.max(F.when(F.col("slot") == f"{w}{k}", F.col("n"))).alias(f"{w}{k}") for k, *_ in ends for w in ("lo", "hi")])
+    counts = counts_below(needed, probes, ["dir", "vertex"], delta // PARTS).groupBy("eid").agg(*[F.max(F.when(F.col("slot") == f"{w}{k}", F.col("n"))).alias(f"{w}{k}") for k, *_ in ends for w in ("lo", "hi")])
     out = edges.join(counts, "eid")
     for k, end, sign, _ in ends:
         itself = 1 if ties == "closed" and (end, sign) in (("src", "+"), ("dst", "-")) else 0
@@ -76,5 +80,5 @@ def multiplicity(tg: TemporalGraph, delta: int) -> DataFrame:
     edges = tg.edges.select("eid", "src", "dst", "t")
     cells = F.array(F.struct(F.lit("lo").alias("slot"), F.col("t").alias("x")), F.struct(F.lit("hi").alias("slot"), (F.col("t") + delta + 1).alias("x")))
     probes = edges.select("src", "dst", "eid", F.inline(cells)).select("src", "dst", "x", "slot", "eid")
-    counts = counts_below(edges.select("src", "dst", "t"), probes, ["src", "dst"], delta).groupBy("eid").agg((F.max(F.when(F.col("slot") == "hi", F.col("n"))) - F.max(F.when(F.col("slot") == "lo", F.col("n")))).alias("m"))
+    counts = counts_below(edges.select("src", "dst", "t"), probes, ["src", "dst"], delta // PARTS).groupBy("eid").agg((F.max(F.when(F.col("slot") == "hi", F.col("n"))) - F.max(F.when(F.col("slot") == "lo", F.col("n")))).alias("m"))
     return counts.agg(F.max("m").alias("sigma"), F.avg("m").alias("sigma_avg"))

@@ -403,6 +403,7 @@ WORKLOADS = {
     "counts_reply_4_days": ("R", ("TRI", "M4-0", "M4-5"), 4 * R_DELTA),
     "counts_reply_5_days": ("R", ("TRI", *EIGHT), 5 * R_DELTA),
     "counts_folded_6_hours": ("F", ("TRI", *EIGHT), 6 * HOUR),
+    "counts_trade_90_days": ("T", ("M4-0",), 90),
     "counts_nation_7_days": ("N", ("TRI", "M4-0"), 7),
     "counts_nation_30_days": ("N", ("TRI",), 30),
 }

@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StreamingQuery
 
+from tmotif.functions.motif import PathClass
 from tmotif.plans.estimate import estimate
 from tmotif.sources.graph import TemporalGraph
 
@@ -74,6 +75,56 @@ def stream_degrees(stream: DataFrame, delta_seconds: int) -> DataFrame:
     return rows.groupBy("vertex").applyInPandasWithState(update, "eid bigint, vertex bigint, n bigint", "recent array<bigint>", "append", "NoTimeout")
 
 
+def stream_weights(stream: DataFrame, delta_seconds: int, cls: PathClass = PathClass("-", "+", "<", ">")) -> DataFrame:
+    """eid, slot ('n1' at the source, 'n3' at the target), n: both windowed degrees of each edge, once the watermark has passed their windows.
+
+    A vertex's state is the times of its edges and the edges that wait; a timer at the end of the earliest
+    window wakes a vertex that gets no more edges, and drops what no later edge can ask for. Edges behind the
+    watermark are not counted. The weight of an edge is the product of its two rows.
+    """
+    import pandas as pd
+
+    width = delta_seconds * 1_000_000
+    ends = {"n1": (cls.a1, cls.b1), "n3": (cls.a3, cls.b3)}
+    over = {k: (0 if side == "<" else width) for k, (_, side) in ends.items()}
+
+    def update(key, frames, state):
+        plus, minus, eids, slots, times = (list(x) for x in state.get) if state.exists else ([], [], [], [], [])
+        if not state.hasTimedOut:
+            rows = pd.concat(list(frames))
+            for us, kind, eid in zip(rows["us"], rows["kind"], rows["eid"], strict=True):
+                if kind in "+-":
+                    (plus if kind == "+" else minus).append(int(us))
+                else:
+                    eids.append(int(eid))
+                    slots.append(kind)
+                    times.append(int(us))
+        mark = max(0, state.getCurrentWatermarkMs()) * 1000
+        out, rest = [], []
+        for eid, slot, t in zip(eids, slots, times, strict=True):
+            if t + over[slot] >= mark:
+                rest.append((eid, slot, t))
+                continue
+            sign, side = ends[slot]
+            near = plus if sign == "+" else minus
+            out.append((eid, slot, sum(t - width <= s < t if side == "<" else t < s <= t + width for s in near)))
+        oldest = min([mark, *(t for _, _, t in rest)]) - width
+        plus, minus = [s for s in plus if s >= oldest], [s for s in minus if s >= oldest]
+        if rest or plus or minus:
+            state.update((plus, minus, [r[0] for r in rest], [r[1] for r in rest], [r[2] for r in rest]))
+            wake = min((t + over[slot] for _, slot, t in rest), default=max([*plus, *minus], default=0) + width)
+            state.setTimeoutTimestamp(max(wake, mark) // 1000 + 1)
+        elif state.exists:
+            state.remove()
+        yield pd.DataFrame(out, columns=["eid", "slot", "n"])
+
+    kinds = [F.struct(F.col("src").alias("vertex"), F.lit("n1").alias("kind")), F.struct(F.col("dst").alias("vertex"), F.lit("n3").alias("kind"))]
+    kinds += [F.struct(F.col("src" if sign == "+" else "dst").alias("vertex"), F.lit(sign).alias("kind")) for sign in sorted({cls.a1, cls.a3})]
+    rows = stream.select("eid", "ts", F.unix_micros("ts").alias("us"), F.inline(F.array(*kinds)))
+    kept = "plus array<bigint>, minus array<bigint>, eids array<bigint>, slots array<string>, times array<bigint>"
+    return rows.groupBy("vertex").applyInPandasWithState(update, "eid bigint, slot string, n bigint", kept, "append", "EventTimeTimeout")
+
+
 def stream_estimate(stream: DataFrame, which: str, delta: int, k: int, keep: Callable[[DataFrame], None]) -> StreamingQuery:
     """An estimate of each micro-batch's own edges (batches are whole time buckets); keep gets one row a batch."""
 
