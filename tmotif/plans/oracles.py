@@ -271,6 +271,18 @@ def window_matches(name: str, delta: int, windows: str, keyed: str = "win") -> s
     return f"found AS MATERIALIZED (SELECT e0.t AS t0, e{len(m.edges) - 1}.t AS t1 FROM {tables} WHERE {same} AND {tests})"
 
 
+def windows(v: str, name: str, delta: int, n: int) -> tuple[str, str]:
+    """Windows at uniform starts, and at uniformly drawn edges."""
+    width = int(1.25 * delta)
+    extent = f"(SELECT max(t) - min(t) + {width} + 1 FROM edges)"
+    inside = f"inside AS MATERIALIZED (SELECT w.win, e.* FROM edges e JOIN windows w ON e.t BETWEEN w.a AND w.a + {width})"
+    found = window_matches(name, delta, "")
+    a = view(v, draws(n, total=extent), f"windows AS MATERIALIZED (SELECT draw AS win, path_id + (SELECT min(t) FROM edges) - {width} AS a FROM drawn)", inside, found) + ROUNDED.format(name=name, delta=delta, value=f"CAST({extent} AS DOUBLE) / {n} / ({width} + 1 - (t1 - t0))", source="found")
+    spans = f"weighed AS MATERIALIZED (SELECT f.k, count(*) AS n FROM (SELECT t0, t1, count(*) AS k FROM found GROUP BY ALL) f JOIN edges e ON e.t BETWEEN f.t1 - {width} AND f.t0 GROUP BY f.t0, f.t1, f.k)"
+    e = view(v, draws(n, total="(SELECT count(*) FROM edges)"), "windows AS MATERIALIZED (SELECT draw AS win, t AS a FROM drawn JOIN (SELECT t, row_number() OVER (ORDER BY t, eid) - 1 AS k FROM edges) ON k = path_id)", inside, found, spans, "each AS (SELECT n FROM weighed, unnest(range(k)))") + ROUNDED.format(name=name, delta=delta, value=f"CAST((SELECT count(*) FROM edges) AS DOUBLE) / {n} / n", source="each")
+    return a, e
+
+
 ROUNDED = "SELECT '{name}' AS motif, CAST({delta} AS BIGINT) AS delta, CAST(count(*) AS BIGINT) AS seen, CAST(round(coalesce(sum({value}), 0)) AS BIGINT) AS estimate FROM {source}"
 
 
@@ -351,11 +363,8 @@ def oracle_sql() -> dict[str, str]:
     simple = "simple AS MATERIALIZED (SELECT src, dst, min(t) AS t FROM edges GROUP BY src, dst)"
     ratio.append(f"({view('F', simple, *x, *y)}SELECT 'TRI' AS above, 'TRI-simple' AS below, {nx} AS above_count, {ny} AS below_count)")
     out["count_ratios"] = " UNION ALL ".join(ratio)
-    width = int(1.25 * R_DELTA)
-    extent = "(SELECT max(t) - min(t) + %d + 1 FROM edges)" % width
-    inside = f"inside AS MATERIALIZED (SELECT w.win, e.* FROM edges e JOIN windows w ON e.t BETWEEN w.a AND w.a + {width})"
-    out["windows_a"] = view("R", draws(30, total=extent), f"windows AS MATERIALIZED (SELECT draw AS win, path_id + (SELECT min(t) FROM edges) - {width} AS a FROM drawn)", inside, window_matches("M4-0", R_DELTA, "")) + ROUNDED.format(name="M4-0", delta=R_DELTA, value=f"CAST({extent} AS DOUBLE) / 30 / ({width} + 1 - (t1 - t0))", source="found")
-    out["windows_e"] = view("R", draws(30, total="(SELECT count(*) FROM edges)"), "windows AS MATERIALIZED (SELECT draw AS win, t AS a FROM drawn JOIN (SELECT t, row_number() OVER (ORDER BY t, eid) - 1 AS k FROM edges) ON k = path_id)", inside, window_matches("M4-0", R_DELTA, ""), f"weighed AS MATERIALIZED (SELECT (SELECT count(*) FROM edges e WHERE e.t BETWEEN f.t1 - {width} AND f.t0) AS n FROM found f)") + ROUNDED.format(name="M4-0", delta=R_DELTA, value="CAST((SELECT count(*) FROM edges) AS DOUBLE) / 30 / n", source="weighed")
+    for tag, v, delta, n in WINDOWS:
+        out[f"windows_a{tag}"], out[f"windows_e{tag}"] = windows(v, "M4-0", delta, n)
     chance = "CAST(CAST('0x' || substr(md5('42|' || {}), 1, 13) AS BIGINT) AS DOUBLE) / 4503599627370496"
     wide = 4 * R_DELTA
     out["partition_sampler"] = view("R", draws(1, total=str(wide)), f"inside AS MATERIALIZED (SELECT * FROM (SELECT *, CAST(floor((t - (SELECT path_id FROM drawn)) / CAST({wide} AS DOUBLE)) AS BIGINT) AS win FROM edges) WHERE {chance.format('win')} < 0.5)", window_matches("M4-0", R_DELTA, "")) + ROUNDED.format(name="M4-0", delta=R_DELTA, value=f"1.0 / (0.5 * (1 - CAST(t1 - t0 AS DOUBLE) / {wide}))", source="found")
@@ -391,6 +400,8 @@ LABELS = ("click", "view")
 #: (motif, view, window) of the census queries and of the exact counters.
 CENSUS = (*((n, "F", F_DELTA) for n in ("TRI", *EIGHT)), ("PAW", "R", R_DELTA), ("LATE", "R", R_DELTA), ("SPLIT", "R", R_DELTA), ("K4", "R", 2 * R_DELTA), ("PATH", "R", R_DELTA))
 EXACT = (*((n, "F", F_DELTA) for n in ("TRI", *EIGHT)), ("PAW", "R", R_DELTA), ("LATE", "R", R_DELTA))
+#: (name, view, window, how many windows) of the window samplers.
+WINDOWS = (("", "R", R_DELTA, 30), ("_folded", "F", F_DELTA, 60))
 #: (view, motif, window) whose completions per anchor are described.
 ANCHORS = (("F", "M4-0", F_DELTA), ("F", "M4-5", F_DELTA), ("R", "M4-0", 4 * R_DELTA), ("R", "M4-5", 4 * R_DELTA))
 TABLE = (("F", ("TRI", "M4-0", "M4-5"), F_DELTA), ("R", ("TRI", "M4-0", "M4-5"), R_DELTA))

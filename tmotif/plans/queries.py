@@ -14,7 +14,7 @@ from tmotif.operators import around, baselines, exact, incidence, measures, samp
 from tmotif.operators.ablation import constrained_weights
 from tmotif.operators.extend import check_paths
 from tmotif.plans import estimate as plans
-from tmotif.plans.oracles import ANCHORS, CENSUS, DAY, ERRORS, EXACT, F_DELTA, GROWING, HEURISTIC, HOUR, K, LABELS, N_DELTA, PILOT, R_DELTA, RATIOS, SEEDS, T_DELTA, TABLE, WORKLOADS
+from tmotif.plans.oracles import ANCHORS, CENSUS, DAY, ERRORS, EXACT, F_DELTA, GROWING, HEURISTIC, HOUR, K, LABELS, N_DELTA, PILOT, R_DELTA, RATIOS, SEEDS, T_DELTA, TABLE, WINDOWS, WORKLOADS
 from tmotif.sources import graph
 from tmotif.sources.graph import TemporalGraph
 from tmotif.sources.io import staged, workspace
@@ -193,8 +193,6 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "estimate_poisson": _on("F", lambda g: _integers(plans.estimate(g, "M4-0", F_DELTA, K, scheme="poisson"))),
         "estimate_eight": _on("F", lambda g: _integers(plans.estimate_many(g, EIGHT, F_DELTA, K))),
         "estimate_sweep": _on("R", lambda g: _integers(plans.sweep(g, "M4-0", (R_DELTA, 2 * R_DELTA), K))),
-        "windows_a": _on("R", lambda g: _rounded(baselines.estimate_windows(g, "M4-0", R_DELTA, 30, variant="A"))),
-        "windows_e": _on("R", lambda g: _rounded(baselines.estimate_windows(g, "M4-0", R_DELTA, 30, variant="E"))),
         "partition_sampler": _on("R", lambda g: _rounded(baselines.estimate_partition(g, "M4-0", R_DELTA))),
         "edge_sampler": _on("R", lambda g: _rounded(baselines.estimate_edges(g, "M4-0", R_DELTA))),
         "anchor_stats": _anchors,
@@ -227,6 +225,9 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "time_slice": lambda s, d: graph.nation_graph(s, d).between(9500, 9600).edges,
         "stream_tumbling": _streamed,
     }
+    for tag, v, delta, n in WINDOWS:
+        for variant in "AE":
+            out[f"windows_{variant.lower()}{tag}"] = _on(v, lambda g, variant=variant, delta=delta, n=n: _rounded(baselines.estimate_windows(g, "M4-0", delta, n, variant=variant)))
     for name, (v, names, delta) in WORKLOADS.items():
         out[name] = _on(v, partial(_counts, names=names, delta=delta))
     for name, v, delta in CENSUS:
