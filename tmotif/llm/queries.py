@@ -80,4 +80,4 @@ FROM d WINDOW w AS (PARTITION BY text_sha256)
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op4_exact_dedup": EXACT_SQL, "op7_url_filter": urls.ORACLE}
+    return {"op4_exact_dedup": EXACT_SQL, "op7_url_filter": urls.ORACLE, "op10_quality_rules": rules.oracle()}

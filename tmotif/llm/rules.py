@@ -99,3 +99,30 @@ def judged(rows: DataFrame, thresholds=THRESHOLDS) -> DataFrame:
 def quality_rules(docs: DataFrame, thresholds=THRESHOLDS, id_col: str = "doc_id", text_col: str = "text", lang_col: str | None = "lang") -> DataFrame:
     """One row per input row: doc_id, the measures, base_failed, failed, kept. A null text has no words and fails."""
     return judged(measures(docs, id_col, text_col, lang_col), thresholds)
+
+
+def oracle() -> str:
+    """The same over the table documents (unique ids), in another engine's SQL."""
+    quoted = lambda xs: ", ".join(f"'{x}'" for x in xs)
+    stops = " ".join(f"WHEN '{k}' THEN len(list_filter(w, lambda x: x IN ({quoted(a + mark for a in v for mark in ('', *'.,;:'))})))" for k, v in STOP_WORDS.items())
+    value = {"n_words": "n", "repeat_share": "r / greatest(n, 1)", "mean_word_length": "c / greatest(n, 1)", "symbol_ratio": "s / greatest(n, 1)", "stop_word_ratio": "stops / greatest(n, 1)", "dup_line_ratio": "dups / greatest(n_lines, 1)"}
+    tests = [f"coalesce({value[name]} {sign} {limit}, false)" for name, least, most in THRESHOLDS for sign, limit in (("<", least), (">", most)) if limit is not None]
+    return rf"""
+WITH d AS (
+  SELECT doc_id, lang, coalesce(text, '') AS text, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS w FROM documents
+), m AS (
+  SELECT doc_id, w, len(w) AS n, coalesce(list_sum(list_transform(w, lambda x: length(x))), 0) AS c, length(regexp_replace(text, '[^{SYMBOLS}]', '', 'g')) AS s,
+         list_filter(string_split(text, chr(10)), lambda x: regexp_matches(x, '[^\x20\x09-\x0D]')) AS lines, CASE lang {stops} END AS stops FROM d
+), windows AS (
+  SELECT doc_id, i, w[i] || ' ' || w[i + 1] || ' ' || w[i + 2] AS k FROM m, unnest(range(1, n - 1)) t(i)
+), twice AS (
+  SELECT doc_id, i FROM (SELECT doc_id, i, count(*) OVER (PARTITION BY doc_id, k) AS times FROM windows) WHERE times > 1
+), repeats AS (
+  SELECT doc_id, count(DISTINCT p) AS r FROM twice, unnest([i, i + 1, i + 2]) u(p) GROUP BY doc_id
+), v AS (
+  SELECT doc_id, n, c, s, len(lines) AS n_lines, len(lines) - len(list_distinct(lines)) AS dups, stops, coalesce(r, 0) AS r FROM m LEFT JOIN repeats USING (doc_id)
+)
+SELECT doc_id, CAST(n AS BIGINT) AS n_words, CAST(c AS BIGINT) AS word_chars, CAST(s AS BIGINT) AS n_symbols, CAST(dups AS BIGINT) AS n_dup_lines, CAST(r AS BIGINT) AS n_repeat_words,
+       (n < 50 OR 100 * r > 50 * n) AS base_failed, NOT (n < 50 OR 100 * r > 50 * n OR {" OR ".join(tests)}) AS kept
+FROM v
+"""
