@@ -147,12 +147,12 @@ def tables(counts: DataFrame, order: int = ORDER) -> DataFrame:
 
 
 class Table:
-    """Codes and their values, by open addressing: at most a quarter of the slots is used, so that most look-ups end at the first."""
+    """Codes and their values, by open addressing: at most half of the slots is used, so that most look-ups end at the first."""
 
     NONE = np.uint64((1 << 64) - 1)
 
     def __init__(self, keys: np.ndarray, values: np.ndarray):
-        bits = max(4, int(4 * len(keys)).bit_length())
+        bits = max(4, int(2 * len(keys)).bit_length())
         self.shift, self.mask = np.uint64(64 - bits), np.int64((1 << bits) - 1)
         self.keys, self.values = np.full(1 << bits, self.NONE, np.uint64), np.zeros(1 << bits)
         slots, left = self._slots(keys), np.arange(len(keys))
@@ -182,24 +182,30 @@ class Table:
         return hit, values
 
 
-def _table(grams: list[str], values: np.ndarray, size: int) -> Table:
-    """Of n-grams of so many symbols, given as strings."""
+def _table(grams: pa.Array, values: np.ndarray, size: int) -> Table:
+    """Of n-grams of so many symbols, given as strings; their bytes are read as one text."""
     if not size:
         return Table(np.zeros(len(grams), np.uint64), values)
-    points = np.frombuffer("".join(grams).encode("utf-32-le"), "<u4").reshape(len(grams), size)
+    raw = pa.concat_arrays([pa.array([""], grams.type), grams])  # a copy of its own, without what a slice leaves out
+    text = raw.buffers()[2].to_pybytes()[: raw.nbytes].decode() if len(grams) else ""
+    points = np.frombuffer(text.encode("utf-32-le"), "<u4")[: len(grams) * size].reshape(len(grams), size)
     return Table(codes(np.concatenate([np.zeros((len(grams), 1), np.uint32), points], axis=1).T, size)[size].reshape(-1), values)
 
 
 def loaded(model: DataFrame, order: int = ORDER) -> dict[str, list]:
-    """language -> for each order the tables of log p and of log weights; [0] is the log p of an unknown symbol."""
-    rows = model.toArrow()
-    lang, k, kind, grams = (np.array(rows[c].to_pylist(), object) for c in ("lang", "k", "kind", "g"))
-    values = rows["v"].to_numpy()
+    """language -> for each order the tables of log p and of log weights; [0] is the log p of an unknown symbol. One order at a time comes to the driver."""
     out: dict[str, list] = {}
-    for x in set(lang.tolist()):
-        of = lambda n, what: np.flatnonzero((lang == x) & (k == n) & (kind == what))  # noqa: B023, E731
-        pick = lambda at, size: _table(grams[at].tolist(), values[at], size)
-        out[x] = [float(values[of(0, "p")][0]), *((pick(of(n, "p"), n), pick(of(n, "w"), n - 1)) for n in range(1, order + 1))]
+    for r in model.where("k = 0").select("lang", "v").collect():
+        out[r["lang"]] = [r["v"]]
+    for k in range(1, order + 1):
+        rows = model.where(f"k = {k}").select("lang", "kind", "g", "v").toArrow().combine_chunks()
+        for lang, tables_ in out.items():
+            pair = []
+            for kind, size in (("p", k), ("w", k - 1)):
+                own = rows.filter(pa.compute.and_(pa.compute.equal(rows["lang"], lang), pa.compute.equal(rows["kind"], kind))).combine_chunks()
+                grams = own["g"].chunk(0) if own.num_rows else pa.array([], pa.string())
+                pair.append(_table(grams, own["v"].to_numpy(), size))
+            tables_.append(tuple(pair))
     return out
 
 
@@ -284,11 +290,10 @@ def _asked(order: int):
 
 def _answered(order: int, text: str):
     def make(key: tuple, rows: pa.Table, grams: pa.Table) -> pa.Table:
-        of, every, values = np.array(grams["lang"].to_pylist(), object), grams["g"].to_pylist(), grams["v"].to_numpy()
         known = {}
-        for lang in set(of.tolist()):
-            at = np.flatnonzero(of == lang)
-            known[lang] = _table([every[k] for k in at], values[at], order)
+        for lang in set(grams["lang"].to_pylist()):
+            own = grams.filter(pa.compute.equal(grams["lang"], lang)).combine_chunks()
+            known[lang] = _table(own["g"].chunk(0), own["v"].to_numpy(), order)
         scores = []
         for t, lang in zip(rows[text].to_pylist(), rows["model_"].to_pylist(), strict=True):
             if not t or lang not in known:
