@@ -34,7 +34,7 @@ K, SEEDS = 100_000, range(42, 47)
 #: Draws of the rare motifs are set by the heuristic, up to so many.
 MOST = 800_000
 #: Seconds after which an exact counter or a window sampler is ended.
-PATIENCE = 45.0
+PATIENCE = 30.0
 
 
 def session(cpus: str) -> SparkSession:
@@ -86,6 +86,7 @@ def main() -> None:
     def bounded(name: str, run) -> dict:
         status, seconds, value = guarded(spark, run, PATIENCE)
         times[name] = round(seconds, 3)
+        spark._jvm.System.gc()  # shuffle files of a run that was ended go
         return {"status": status, "seconds": round(seconds, 3), "value": value}
 
     def ratio(truth: dict, mine: float) -> dict:
