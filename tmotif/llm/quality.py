@@ -17,6 +17,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute
+from pyspark.core.broadcast import Broadcast
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -234,11 +235,10 @@ def perplexities(texts: list[str | None], model: list | None) -> list[float | No
 
     def done() -> None:
         line = np.concatenate([x for _, x in waiting])
-        sums = np.concatenate([np.zeros(1), np.cumsum(log_p(line, model))])
-        at = 0
-        for k, x in waiting:
+        values, at = log_p(line, model), 0
+        for k, x in waiting:  # each over its own values, so that a text has the same perplexity whatever it is looked up with
             n = len(x) - order
-            out[k] = float(np.exp((sums[at] - sums[at + n]) / n))
+            out[k] = float(np.exp(-values[at : at + n].sum() / n))
             at += len(x)
 
     for k, text in enumerate(texts):
@@ -327,11 +327,15 @@ def scored_by_shards(rows: DataFrame, model: DataFrame, text: str, lang: str, or
     return dealt.groupBy("part_").cogroup(answers.groupBy("part_")).applyInArrow(_answered(order, text), schema)
 
 
-def scored(rows: DataFrame, model: DataFrame, text: str = "text", lang: str = "lang", order: int = ORDER, largest: int = LARGEST) -> DataFrame:
+def shared_tables(model: DataFrame, order: int = ORDER, largest: int = LARGEST) -> Broadcast | None:
+    """The tables on every worker; None if they are too large."""
+    return model.sparkSession.sparkContext.broadcast(loaded(model, order)) if model.count() <= largest else None
+
+
+def scored(rows: DataFrame, model: DataFrame, shared: Broadcast | None, text: str = "text", lang: str = "lang", order: int = ORDER) -> DataFrame:
     """All columns and score, the perplexity per symbol (null for null and empty texts, and where no model is)."""
-    if model.count() > largest:
+    if shared is None:
         return scored_by_shards(rows, model, text, lang, order)
-    shared = rows.sparkSession.sparkContext.broadcast(loaded(model, order))
     schema = T.StructType([*rows.schema.fields, T.StructField("score", T.DoubleType())])
     return in_arrow(rows, _scored(shared, rows.columns.index(text), rows.columns.index(lang)), schema)
 
@@ -344,15 +348,16 @@ def trusted_rows(docs: DataFrame, labels: DataFrame, id_col: str, text_col: str,
     return docs.join(good, F.col(id_col) == F.col("good_id"), "left_semi").select(F.coalesce(F.col(lang_col), F.lit("")).alias("lang"), F.col(text_col).alias("text"))
 
 
-def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", quantile: float = QUANTILE, order: int = ORDER, largest: int = LARGEST) -> tuple[DataFrame, DataFrame]:
-    """The staged tables, and (lang, limit). Where documents have languages without trusted ones, a further model, ANY, of all trusted documents is made for these."""
+def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", quantile: float = QUANTILE, order: int = ORDER, largest: int = LARGEST) -> tuple[DataFrame, Broadcast | None, DataFrame]:
+    """The staged tables, the same on every worker (or None), and (lang, limit). Where documents have languages without trusted ones, a further model, ANY, of all trusted documents is made for these."""
     trusted = trusted_rows(docs, labels, id_col, text_col, lang_col)
     langs = docs.select(F.coalesce(F.col(lang_col), F.lit("")).alias("lang")).distinct()
     if not langs.join(trusted.where("text <> ''").select("lang").distinct(), "lang", "left_anti").isEmpty():
         trusted = trusted.select(F.explode(F.array("lang", F.lit(ANY))).alias("lang"), "text")
     model = staged(tables(count_grams(trusted, order), order), "tables")
-    scores = scored(trusted, model, order=order, largest=largest).select("lang", "score")
-    return model, staged(scores.groupBy("lang").agg(F.percentile_approx("score", quantile, 10_000).alias("limit")), "limits")
+    shared = shared_tables(model, order, largest)
+    scores = scored(trusted, model, shared, order=order).select("lang", "score")
+    return model, shared, staged(scores.groupBy("lang").agg(F.percentile_approx("score", quantile, 10_000).alias("limit")), "limits")
 
 
 def judged(rows: DataFrame, limits: DataFrame, lang: str) -> DataFrame:
@@ -367,13 +372,12 @@ def judged(rows: DataFrame, limits: DataFrame, lang: str) -> DataFrame:
 
 def _judged_docs(docs: DataFrame, labels: DataFrame, id_col: str, text_col: str, lang_col: str, how: dict) -> DataFrame:
     """docs as c0, c1, .. with score, limit, kept."""
-    model, limits = fit(docs, labels, id_col, text_col, lang_col, **how)
+    model, shared, limits = fit(docs, labels, id_col, text_col, lang_col, **how)
     names = docs.columns
     inner = docs.select(*[F.col(f"`{c}`").alias(f"c{k}") for k, c in enumerate(names)])
     text, lang = f"c{names.index(text_col)}", "lang_"
     inner = inner.withColumn(lang, F.coalesce(f"c{names.index(lang_col)}", F.lit("")))
-    how = {k: v for k, v in how.items() if k in ("order", "largest")}
-    return judged(scored(inner, model, text, lang, **how), limits, lang)
+    return judged(scored(inner, model, shared, text, lang, how.get("order", ORDER)), limits, lang)
 
 
 def classify(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", **how) -> DataFrame:
