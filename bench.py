@@ -32,9 +32,9 @@ from tmotif.sources.io import staged
 HOUR = 3_600_000_000
 K, SEEDS = 100_000, range(42, 47)
 #: Draws of the rare motifs are set by the heuristic, up to so many.
-MOST = 800_000
+MOST = 400_000
 #: Seconds after which an exact counter or a window sampler is ended.
-PATIENCE = 30.0
+PATIENCE = 15.0
 
 
 def session(cpus: str) -> SparkSession:
@@ -64,7 +64,7 @@ def scaling(sf_dir: str, cpus: str) -> None:
     tg = reply_graph(session(cpus), sf_dir, 12).staged()
     for _ in range(2):
         began = time.time()
-        one_estimate(tg, "M4-0", 6 * HOUR, 400_000)
+        one_estimate(tg, "M4-0", 6 * HOUR, K)
     print(json.dumps({"seconds": time.time() - began}))
 
 
@@ -117,8 +117,8 @@ def main() -> None:
             errors = [relative_error(r["estimate"], truth["value"]) for r in runs]
             cell |= {"mean_error": round(statistics.mean(errors), 5), "std_error": round(statistics.stdev(errors), 5)}
         cells.append(cell)
-    for hours in (6, 24):
-        for name in ("M4-0", "M4-5"):
+    for hours, names in ((6, ("M4-0", "M4-5")), (24, ("M4-0",))):
+        for name in names:
             window = hours * HOUR
             row = timed(f"estimate_{name}_{hours}h", lambda name=name, window=window: one_estimate(tg, name, window, K))
             mine = times[f"estimate_{name}_{hours}h"]
@@ -137,10 +137,11 @@ def main() -> None:
     spark.stop()
     cores = {}
     if os.environ.get("BENCH_SCALING", "1") != "0":
-        for n in (x for x in ("1", "2", "4", "8") if int(x) <= int(cpus)):
+        for n in (x for x in ("1", "4") if int(x) < int(cpus)):
             got = subprocess.run([sys.executable, __file__, "--cores", n], capture_output=True, text=True, timeout=240, check=False)
             line = next((x for x in got.stdout.splitlines() if x.startswith('{"seconds"')), None)
             cores[n] = round(json.loads(line)["seconds"], 3) if line else None
+        cores[cpus] = times["estimate_M4-0_6h"]
     first = [c for c in cells if c.get("delta_hours") == 1.5]
     long = [c for c in cells if c.get("delta_hours") != 1.5]
     mean = lambda some: round(speedup([c["exact_seconds"] for c in some], [c["seconds"] for c in some])[1], 3)
