@@ -22,7 +22,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from tmotif.llm.common import in_arrow, staged, workers_see_package
+from tmotif.llm.common import give_back, in_arrow, staged, workers_see_package
 
 ORDER = 5
 #: The symbol before a text, what a text's own one becomes, and the symbol of all digits.
@@ -148,20 +148,18 @@ def tables(counts: DataFrame, order: int = ORDER) -> DataFrame:
 
 
 class Table:
-    """Codes and their values, by open addressing: at most half of the slots is used, so that most look-ups end at the first."""
-
-    NONE = np.uint64((1 << 64) - 1)
+    """Codes and their values, by open addressing: at most half of the slots is used, so that most look-ups end at the first. A slot holds the place of its code, or -1."""
 
     def __init__(self, keys: np.ndarray, values: np.ndarray):
         bits = max(4, int(2 * len(keys)).bit_length())
         self.shift, self.mask = np.uint64(64 - bits), np.int64((1 << bits) - 1)
-        self.keys, self.values = np.full(1 << bits, self.NONE, np.uint64), np.zeros(1 << bits)
-        slots, left = self._slots(keys), np.arange(len(keys))
+        self.keys, self.values = (keys, values) if len(keys) else (np.zeros(1, np.uint64), np.zeros(1))
+        self.places = np.full(1 << bits, -1, np.int32)
+        slots, left = self._slots(keys), np.arange(len(keys), dtype=np.int32)
         while len(left):
-            free = left[self.keys[slots[left]] == self.NONE]
-            at, first = np.unique(slots[free], return_index=True)
-            self.keys[at], self.values[at] = keys[free[first]], values[free[first]]
-            left = np.setdiff1d(left, free[first], assume_unique=True)
+            free = left[self.places[slots[left]] < 0]
+            self.places[slots[free]] = free  # of several the last one stays
+            left = left[self.places[slots[left]] != left]
             slots[left] = (slots[left] + 1) & self.mask
 
     def _slots(self, keys: np.ndarray) -> np.ndarray:
@@ -170,43 +168,67 @@ class Table:
     def get(self, wanted: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Which are there, and the values of all (zero where not)."""
         slots = self._slots(wanted)
-        there = self.keys[slots]
-        hit = there == wanted
-        values = np.where(hit, self.values[slots], 0.0)
-        left = np.flatnonzero(~hit & (there != self.NONE))
+        at = self.places[slots]
+        hit = (at >= 0) & (self.keys[at] == wanted)
+        values = np.where(hit, self.values[at], 0.0)
+        left = np.flatnonzero(~hit & (at >= 0))
         while len(left):
             slots[left] = (slots[left] + 1) & self.mask
-            there = self.keys[slots[left]]
-            met = there == wanted[left]
-            hit[left[met]], values[left[met]] = True, self.values[slots[left[met]]]
-            left = left[~met & (there != self.NONE)]
+            at = self.places[slots[left]]
+            met = (at >= 0) & (self.keys[at] == wanted[left])
+            hit[left[met]], values[left[met]] = True, self.values[at[met]]
+            left = left[~met & (at >= 0)]
         return hit, values
 
 
-def _table(grams: pa.Array, values: np.ndarray, size: int) -> Table:
-    """Of n-grams of so many symbols, given as strings; their bytes are read as one text."""
-    if not size:
-        return Table(np.zeros(len(grams), np.uint64), values)
+def codes_of(grams: pa.Array, size: int) -> np.ndarray:
+    """Codes of n-grams of so many symbols, given as strings; their bytes are read as one text."""
+    if not size or not len(grams):
+        return np.zeros(len(grams), np.uint64)
     raw = pa.concat_arrays([pa.array([""], grams.type), grams])  # a copy of its own, without what a slice leaves out
-    text = raw.buffers()[2].to_pybytes()[: raw.nbytes].decode() if len(grams) else ""
+    text = raw.buffers()[2].to_pybytes()[: raw.nbytes].decode()
     points = np.frombuffer(text.encode("utf-32-le"), "<u4")[: len(grams) * size].reshape(len(grams), size)
-    return Table(codes(np.concatenate([np.zeros((len(grams), 1), np.uint32), points], axis=1).T, size)[size].reshape(-1), values)
+    return codes(np.concatenate([np.zeros((len(grams), 1), np.uint32), points], axis=1).T, size)[size].reshape(-1)
+
+
+def _table(grams: pa.Array, values: np.ndarray, size: int) -> Table:
+    return Table(codes_of(grams, size), values)
+
+
+class Packed:
+    """What a Table is made of. Pickled, it arrives as the Table, so that only the workers hold the slots."""
+
+    def __init__(self, keys: np.ndarray, values: np.ndarray):
+        self.keys, self.values = keys, values
 
+    def __reduce__(self):
+        return Table, (self.keys, self.values)
 
-def loaded(model: DataFrame, order: int = ORDER) -> dict[str, list]:
-    """language -> for each order the tables of log p and of log weights; [0] is the log p of an unknown symbol. One order at a time comes to the driver."""
+
+def _codes_of_order(k: int):
+    def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for kind, size in (("p", k), ("w", k - 1)):
+                own = batch.filter(pa.compute.equal(batch.column(1), kind))
+                yield pa.RecordBatch.from_arrays([own.column(0), own.column(1), pa.array(codes_of(own.column(2), size).view(np.int64)), own.column(3)], ["lang", "kind", "code", "v"])
+
+    return make
+
+
+def loaded(model: DataFrame, order: int = ORDER, make: type = Table) -> dict[str, list]:
+    """language -> for each order the tables of log p and of log weights; [0] is the log p of an unknown symbol. One order at a time comes to the driver, as codes and values that the workers made."""
     out: dict[str, list] = {}
     for r in model.where("k = 0").select("lang", "v").collect():
         out[r["lang"]] = [r["v"]]
     for k in range(1, order + 1):
-        rows = model.where(f"k = {k}").select("lang", "kind", "g", "v").toArrow().combine_chunks()
+        rows = in_arrow(model.where(f"k = {k}").select("lang", "kind", "g", "v"), _codes_of_order(k), "lang string, kind string, code long, v double").toArrow()
         for lang, tables_ in out.items():
             pair = []
-            for kind, size in (("p", k), ("w", k - 1)):
-                own = rows.filter(pa.compute.and_(pa.compute.equal(rows["lang"], lang), pa.compute.equal(rows["kind"], kind))).combine_chunks()
-                grams = own["g"].chunk(0) if own.num_rows else pa.array([], pa.string())
-                pair.append(_table(grams, own["v"].to_numpy(), size))
+            for kind in "pw":
+                own = rows.filter(pa.compute.and_(pa.compute.equal(rows["lang"], lang), pa.compute.equal(rows["kind"], kind)))
+                pair.append(make(own["code"].to_numpy().view(np.uint64), own["v"].to_numpy()))
             tables_.append(tuple(pair))
+        del rows
     return out
 
 
@@ -262,6 +284,7 @@ def perplexities(texts: list[str | None], model: list | None) -> list[float | No
 def _scored(models, text_at: int, lang_at: int):
     def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         known = models.value
+        give_back()
         for batch in batches:
             texts, of = batch.column(text_at).to_pylist(), batch.column(lang_at).to_pylist()
             scores: list[float | None] = [None] * len(texts)
@@ -328,8 +351,12 @@ def scored_by_shards(rows: DataFrame, model: DataFrame, text: str, lang: str, or
 
 
 def shared_tables(model: DataFrame, order: int = ORDER, largest: int = LARGEST) -> Broadcast | None:
-    """The tables on every worker; None if they are too large."""
-    return model.sparkSession.sparkContext.broadcast(loaded(model, order)) if model.count() <= largest else None
+    """The tables on every worker; None if they are too large. The driver keeps nothing of them."""
+    if model.count() > largest:
+        return None
+    shared = model.sparkSession.sparkContext.broadcast(loaded(model, order, Packed))
+    give_back()
+    return shared
 
 
 def scored(rows: DataFrame, model: DataFrame, shared: Broadcast | None, text: str = "text", lang: str = "lang", order: int = ORDER) -> DataFrame:
