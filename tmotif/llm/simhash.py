@@ -182,14 +182,15 @@ def prefix_of(hashes: np.ndarray, similarity: float) -> np.ndarray:
 def _rings(width: int, similarity: float):
     def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            rings, sizes, firsts = [], [], []
+            rings, sizes, firsts, prints = [], [], [], []
             for t in batch.column(2):
                 hashes = shingle_hashes(t.as_buffer().to_pybytes(), width)
                 n = len(hashes)
                 rings.append(ring_of(hashes).astype(np.uint32).view(np.int32) if n >= SHORT else None)  # the low half: the high bits name the share
                 sizes.append(n)
                 firsts.append(prefix_of(hashes, similarity).view(np.int64) if similarity * n < SHORT else None)
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(sizes, pa.int32()), pa.array(rings, pa.list_(pa.int32())), pa.array(firsts, pa.list_(pa.int64()))], ["row", "doc_id", "n", "ring", "first"])
+                prints.append(_bits(hashes) if n else 0)
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(sizes, pa.int32()), pa.array(rings, pa.list_(pa.int32())), pa.array(firsts, pa.list_(pa.int64())), pa.array(prints, pa.int64())], ["row", "doc_id", "n", "ring", "first", "fp"])
 
     return make
 
@@ -266,17 +267,28 @@ def crowd_links(many: DataFrame, found: DataFrame, sets: DataFrame, similarity:
     return dealt.groupBy("crowd", "lo", "hi").applyInArrow(_met_in_blocks(similarity), "a long, b long")
 
 
+def print_links(table: DataFrame, max_bits: int = 2) -> DataFrame:
+    """Links (a < b) of row numbers that connect rows (row, fp) whose SimHash fingerprints differ in at most max_bits bits, met as in links: each row and the smallest of its fingerprint, and the smallest ones of linked fingerprints."""
+    nodes = staged(table.groupBy("fp").agg(F.min("row").alias("low")), "prints")
+    same = table.join(nodes, "fp").where("row <> low").select("low", "row")
+    met = links(nodes.select("fp"), max_bits)
+    side = lambda x: nodes.select(F.col("fp").alias(x), F.col("low").alias(f"low_{x}"))
+    apart = met.join(side("a"), "a").join(side("b"), "b").select(F.least("low_a", "low_b"), F.greatest("low_a", "low_b"))
+    return same.union(apart).toDF("a", "b")
+
+
 def similar_links(rows: DataFrame, width: int = 5, similarity: float = SIMILAR, crowd: int = CROWD) -> tuple[DataFrame, DataFrame]:
     """The staged rings of numbered rows (row, doc_id, text), and links (a, b) of row numbers whose shingle sets have at least the similarity.
 
-    Of sets of SHORT shingles or more, candidates share a chain of three equal segments, the longest that a
+    Candidates are rows whose SimHash fingerprints, of the same shingles, are linked by pigeonring chains (see print_links), and,
+    since fingerprints of similarity 0.8 are mostly further apart, these: of sets of SHORT shingles or more, candidates share a chain of three equal segments, the longest that a
     budget of RING_DIFFER in RING leaves without difference. A pair with a shorter set shares one of the smallest
     hashes of both (see prefix_of), which misses none. Sizes must allow the similarity; the Jaccard
     similarity of the whole shingle sets then decides alone. In a key that
     more than crowd rows share each row first meets the key's smallest row; keys that these links leave
     in parts have all their rows compared, see crowd_links.
     """
-    table = staged(in_arrow(rows.select("row", "doc_id", F.col("text").cast("binary")), _rings(width, similarity), "row long, doc_id long, n int, ring array<int>, first array<long>"), "rings")
+    table = staged(in_arrow(rows.select("row", "doc_id", F.col("text").cast("binary")), _rings(width, similarity), "row long, doc_id long, n int, ring array<int>, first array<long>, fp long"), "rings")
     chains = F.when(F.col("ring").isNotNull(), _chain_keys(3))
     firsts = F.transform("first", lambda h: F.xxhash64(F.lit(0), h))
     none = F.array().cast("array<long>")
@@ -288,7 +300,7 @@ def similar_links(rows: DataFrame, width: int = 5, similarity: float = SIMILAR,
     many = staged(members.where(F.col("n") > crowd).select("key", "row", "hub"), "many")
     stars = many.where("row <> hub").select(F.col("hub").alias("a"), F.col("row").alias("b"))
     crowded = many.select("row").distinct()
-    pairs = pairs.union(stars).distinct()
+    pairs = pairs.union(stars).union(print_links(table.select("row", "fp"))).distinct()
     side = lambda x: table.select(F.col("row").alias(x), F.col("n").alias(f"n{x}"))
     near = staged(pairs.join(side("a"), "a").join(side("b"), "b").where(F.least("na", "nb") >= similarity * F.greatest("na", "nb")).select("a", "b"), "near")
     wanted = small(staged(near.select(F.explode(F.array("a", "b")).alias("row")).union(crowded).distinct(), "wanted"))
