@@ -10,6 +10,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from tmotif.functions.motif import Motif, motif
+from tmotif.operators.dense import dense_counts, is_dense
 from tmotif.operators.extend import _all
 from tmotif.sources.graph import TemporalGraph
 
@@ -74,15 +75,23 @@ def _count(df: DataFrame, m: Motif, delta: int) -> DataFrame:
     return df.select(F.lit(m.name).alias("motif"), F.lit(delta).cast("bigint").alias("delta"), F.coalesce("count", F.lit(0)).cast("bigint").alias("count"))
 
 
+def _dense(tg: TemporalGraph, m: Motif, delta: int) -> DataFrame:
+    return _count(dense_counts(tg, m, delta).select(F.col("found").alias("count")), m, delta)
+
+
 def exact_backtrack(tg: TemporalGraph, which: str | Motif, delta: int, ties: str = "strict") -> DataFrame:
-    """One row: motif, delta, count; every match is a row of the last join."""
+    """One row: motif, delta, count; every match is a row of the last join, unless they are too many for rows (see is_dense)."""
     m = motif(which)
+    if ties == "strict" and is_dense(tg, m, delta):
+        return _dense(tg, m, delta)
     return _count(matches(tg, m, delta, ties=ties).agg(F.count(F.lit(1)).alias("count")), m, delta)
 
 
 def exact_frontier(tg: TemporalGraph, which: str | Motif, delta: int) -> DataFrame:
     """The same count: partial matches that ask the same of the last edge are one row with a multiplicity before the last join."""
     m = motif(which)
+    if is_dense(tg, m, delta):
+        return _dense(tg, m, delta)
     last = len(m.edges) - 1
     state = _roots(tg.edges, m, 0, [])
     for p in range(1, last):
@@ -145,6 +154,8 @@ def _search(m: Motif, delta: int, lo: int, hi: int):
 def exact_bucketed(tg: TemporalGraph, which: str | Motif, delta: int, c: int = 4) -> DataFrame:
     """The same count by depth-first search inside time buckets of width c * delta; each carries the edges of the next delta as a halo, and owns the matches that begin in it."""
     m = motif(which)
+    if is_dense(tg, m, delta):
+        return _dense(tg, m, delta)
     width = max(1, c * delta)
     base = F.expr(f"({_bucket('t', width)}) * {width}")
     halo = F.when(F.col("t") - base <= delta, F.array(base, base - width)).otherwise(F.array(base))
