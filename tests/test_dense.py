@@ -51,3 +51,35 @@ def test_ties_negative_times_and_big_counts(spark, monkeypatch):
     want = exact.exact_backtrack(one, "TRI", 60).first()["count"]
     monkeypatch.setattr(dense, "_most", lambda sizes: 1 << 70)
     assert dense.dense_counts(one, CATALOG["TRI"], 60).first()["found"] == want > 0
+
+
+def test_joins_are_connected(spark):
+    """Whatever edge a search starts from, each further one meets a bound vertex; counts stay the same."""
+    for name, m in CATALOG.items():
+        for start in range(len(m.edges)):
+            order = exact.connected_order(m, len(m.edges), start)
+            assert sorted(order) == list(range(len(m.edges))) and order[0] == start
+            assert all({*m.edges[p]} & {x for q in order[:i] for x in m.edges[q]} for i, p in enumerate(order) if i), name
+    tg = reply_graph(spark, SF)
+    assert exact.exact_backtrack(tg, "LATE", 2 * DAY).first()["count"] == 593 == exact.exact_frontier(tg, "LATE", 2 * DAY).first()["count"]
+
+
+def test_listed_paths_are_never_broadcast(spark):
+    """Rows made by explode are taken for as few as the table they come from."""
+    tg = reply_graph(spark, SF).staged()
+    text = exact.exact_backtrack(tg, "M4-0", DAY)._jdf.queryExecution().optimizedPlan().toString()
+    assert text.count("strategy=merge") >= 3
+    text = census(tg, "M4-0", DAY)._jdf.queryExecution().optimizedPlan().toString()
+    assert text.count("strategy=merge") >= 3
+
+
+def test_required_samples_from_the_table(spark):
+    """The bound's figures come from the events given, as the SQL's do."""
+    import duckdb
+
+    from tmotif.plans import oracles, queries
+
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW events AS SELECT * FROM '{SF}/events.parquet'")
+    want = con.execute(oracles.oracle_sql()["required_samples"]).fetchall()
+    assert sorted(tuple(r) for r in queries.queries()["required_samples"](spark, SF).collect()) == sorted(want)
