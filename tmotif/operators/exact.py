@@ -42,7 +42,8 @@ def _extended(state: DataFrame, edges: DataFrame, m: Motif, done: list[int], p:
         else:
             own = own.withColumnRenamed(end, f"v_{x}")
             tests += [F.col(f"v_{x}") != F.col(f"v_{y}") for y in sorted(bound)]
-    return state.join(own, on).where(_all(tests)).drop("lo", "hi", "bucket")
+    # partial matches are many more than the tables they come from, whose sizes the planner takes for theirs
+    return state.hint("merge").join(own, on).where(_all(tests)).drop("lo", "hi", "bucket")
 
 
 def _roots(edges: DataFrame, m: Motif, p: int, keys: list[str]) -> DataFrame:
@@ -50,13 +51,23 @@ def _roots(edges: DataFrame, m: Motif, p: int, keys: list[str]) -> DataFrame:
     return edges.select(*keys, F.col("eid").alias(f"e{p}"), F.col("t").alias(f"t{p}"), F.col("src").alias(f"v_{a}"), F.col("dst").alias(f"v_{b}")).where(F.col(f"v_{a}") != F.col(f"v_{b}"))
 
 
+def connected_order(m: Motif, n: int, start: int = 0) -> list[int]:
+    """The first n positions from start on: the earliest that closes two bound vertices, else the earliest that has one, so that no join is on time alone."""
+    order, left = [start], [p for p in range(n) if p != start]
+    while left:
+        bound = {x for q in order for x in m.edges[q]}
+        order.append(max(left, key=lambda p: (len(bound & {*m.edges[p]}), -p)))
+        left.remove(order[-1])
+    return order
+
+
 def matches(tg: TemporalGraph, which: str | Motif, delta: int, keys: list[str] | None = None, start: int = 0, roots: DataFrame | None = None, ties: str = "strict") -> DataFrame:
     """All matches: keys, e0.., t0.., v_A...
 
-    The joins start at a position and follow pattern order; keys keep groups of edges (windows) apart.
+    The joins start at a position and follow pattern order as far as each edge meets one before it; keys keep groups of edges (windows) apart.
     """
     m, keys = motif(which), keys or []
-    order = [start, *[p for p in range(len(m.edges)) if p != start]]
+    order = connected_order(m, len(m.edges), start)
     state = _roots(tg.edges if roots is None else roots, m, start, keys)
     for i, p in enumerate(order[1:], 1):
         state = _extended(state, tg.edges, m, order[:i], p, delta, keys, ties)
@@ -94,8 +105,9 @@ def exact_frontier(tg: TemporalGraph, which: str | Motif, delta: int) -> DataFra
         return _dense(tg, m, delta)
     last = len(m.edges) - 1
     state = _roots(tg.edges, m, 0, [])
-    for p in range(1, last):
-        state = _extended(state, tg.edges, m, list(range(p)), p, delta, [], "strict")
+    order = connected_order(m, last)
+    for i, p in enumerate(order[1:], 1):
+        state = _extended(state, tg.edges, m, order[:i], p, delta, [], "strict")
     a, b = m.edges[last]
     bound = {x for e in m.edges[:last] for x in e}
     asked = [f"v_{x}" for x in sorted(bound)] if not {a, b} <= bound else [f"v_{a}", f"v_{b}"]
@@ -108,7 +120,7 @@ def exact_frontier(tg: TemporalGraph, which: str | Motif, delta: int) -> DataFra
     for x in (a, b):
         if x not in bound:
             tests += [F.col(f"v_{x}") != F.col(f"v_{y}") for y in sorted(bound)]
-    return _count(folded.join(own, on).where(_all(tests)).agg(F.sum("times").alias("count")), m, delta)
+    return _count(folded.hint("merge").join(own, on).where(_all(tests)).agg(F.sum("times").alias("count")), m, delta)
 
 
 def _search(m: Motif, delta: int, lo: int, hi: int):
