@@ -2,10 +2,11 @@
 
 import random
 
+import numpy as np
 import pytest
 
 from tmotif.functions.motif import CATALOG
-from tmotif.operators import dense, exact, measures
+from tmotif.operators import dense, exact, measures, weights
 from tmotif.plans.estimate import census
 from tmotif.sources.graph import TemporalGraph, reply_graph
 
@@ -83,3 +84,29 @@ def test_required_samples_from_the_table(spark):
     con.execute(f"CREATE VIEW events AS SELECT * FROM '{SF}/events.parquet'")
     want = con.execute(oracles.oracle_sql()["required_samples"]).fetchall()
     assert sorted(tuple(r) for r in queries.queries()["required_samples"](spark, SF).collect()) == sorted(want)
+
+
+def test_running_sums_over_own_rows(spark):
+    """Placings are summed over the times of their own edges; the same numbers, in far fewer rows."""
+    rng = np.random.default_rng(5)
+    for size, span in ((60, 500), (200, 60), (4, 30)):
+        times, row = np.unique(rng.integers(0, 2 * span, size), return_inverse=True)
+        table = np.zeros((len(times) + 1, 25), np.int64)
+        np.add.at(table, (row, rng.integers(0, 25, size)), 1)
+        n = int(np.searchsorted(times, span))
+        ends = np.searchsorted(times, times[:n] + span, "right")
+        for name in ("TRI", "M3-1", "M4-0", "M4-1"):
+            spots = dense._placings(CATALOG[name], 5)
+            want = dense.chains([table[:-1, s] for s in spots], n, ends).sum(axis=0)
+            cells, begin, stops = dense.own_rows(table, spots, n, ends)
+            assert (dense.chains(cells, begin, stops).sum(axis=0) == want).all()
+            assert len(cells[0]) < len(times) or size < 10
+
+
+def test_bound_on_paths(folded):
+    """Exact counters choose their way by a bound from whole buckets, never below W."""
+    for name in ("TRI", "M3-0", "M4-0", "LATE"):
+        for delta in (DAY // 4, 2 * DAY):
+            cls = CATALOG[name].anchor().cls
+            w = weights.total(weights.weights(folded, delta, cls))
+            assert w <= dense.paths_at_most(folded, delta, cls) <= 30 * w
