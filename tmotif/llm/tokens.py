@@ -29,8 +29,8 @@ LATIN = "A-Za-z\xc0-\xd6\xd8-\xf6\xf8-\u024f"
 BEYOND_LATIN = re.compile(f"[^\x00-\x7f{LATIN}]")
 #: Chunks of a text whose ids are given at once.
 BLOCK = 4096
-#: Entries of one generation of a worker's table.
-HELD = 300_000
+#: Entries of one generation of a worker's table, with the library's merge procedure and with another one.
+HELD, HELD_BESIDE = 600_000, 300_000
 
 
 def byte_symbols() -> list[str]:
@@ -49,9 +49,9 @@ def stand_in(piece: str) -> str:
 class Held(dict):
     """key -> make(key), in two generations of bounded size: what is met again moves on, the rest goes."""
 
-    def __init__(self, make):
+    def __init__(self, make, size: int):
         super().__init__()
-        self.make = make
+        self.make, self.size = make, size
         self.old: dict[str, bytes] = {}
 
     def __missing__(self, key: str) -> bytes:
@@ -59,7 +59,7 @@ class Held(dict):
         if value is None:
             value = self.make(key)
         if len(key) <= 64:
-            if len(self) >= HELD:
+            if len(self) >= self.size:
                 self.old = dict(self)
                 self.clear()
             self[key] = value
@@ -102,7 +102,9 @@ class Encoder:
             pattern = rules["pre_tokenizer"]["pretokenizers"][0]["pattern"]["Regex"]
             self.split = regex.compile(pattern).findall
             self.latin = re.compile(pattern.replace(r"\p{L}", LATIN).replace(r"\p{N}", "0-9"), re.ASCII).findall
-            self.chunks, self.pieces = Held(self.solid), Held(self.piece)
+            size = HELD_BESIDE if merge else HELD
+            self.chunks, self.pieces = Held(self.solid, size), Held(self.piece, size)
+            self.marked = False  # whether the text at hand holds a special token's string
             self.merge = merge or (lambda piece: [t.id for t in self.library.model.tokenize(piece)])
 
     @cached_property
@@ -126,13 +128,14 @@ class Encoder:
         if self.bytewise:
             yield self(text)
             return
+        self.marked = any(s in text for s in self.special)
         chunks = SOLID.findall(text) if SEPARATORS.search(text) else text.split()
         for k in range(0, len(chunks), BLOCK):
             yield b"".join(map(self.chunks.__getitem__, chunks[k : k + BLOCK]))
 
     def solid(self, chunk: str) -> bytes:
         """Of text without white space."""
-        if any(s in chunk for s in self.special):
+        if self.marked and any(s in chunk for s in self.special):
             parts = re.split(f"({'|'.join(map(re.escape, self.special))})", chunk)
             return b"".join(array("I", [self.special[x]]).tobytes() if k % 2 else self.solid(x) for k, x in enumerate(parts) if x)
         lower = chunk.lower()
