@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from tmotif.llm.common import NO_ID, in_arrow, staged, text_table
-from tmotif.llm.tokens import encoder
+from tmotif.llm.tokens import encoder, merges_by_name
 
 MAGIC = b"PFR2"
 BLOCK = 1024
@@ -39,23 +39,40 @@ def _widths(rest: np.ndarray) -> np.ndarray:
 
 
 def _packed(rest: np.ndarray, width: int) -> np.ndarray:
-    """Low bits of every value, one row of bytes per block."""
+    """Low bits of every value, one row of bytes per block: eight values are width bytes."""
     if not width:
         return np.zeros((len(rest), 0), np.uint8)
-    if width % 8 == 0:
-        return np.ascontiguousarray(rest.astype("<u4").view(np.uint8).reshape(*rest.shape, 4)[:, :, : width // 8]).reshape(len(rest), -1)
-    bits = np.unpackbits(np.ascontiguousarray(rest.astype("<u4")).view(np.uint8).reshape(*rest.shape, 4), axis=2, bitorder="little")[:, :, :width]
-    return np.packbits(bits.reshape(len(rest), -1), axis=1, bitorder="little")
+    if width in (8, 16, 32):
+        return np.ascontiguousarray(rest.astype(f"<u{width // 8}")).view(np.uint8).reshape(len(rest), -1)
+    size = -(-rest.shape[1] // 8)
+    low = np.zeros((len(rest), 8 * size), np.uint64)
+    low[:, : rest.shape[1]] = rest & np.uint32((1 << width) - 1)
+    out = np.zeros((len(rest), size, width), np.uint8)
+    for j in range(8):
+        byte, bit = divmod(j * width, 8)
+        value = low[:, j::8] << np.uint64(bit)
+        for b in range(-(-(bit + width) // 8)):
+            out[:, :, byte + b] |= (value >> np.uint64(8 * b)).astype(np.uint8)
+    return out.reshape(len(rest), -1)[:, : -(-rest.shape[1] * width // 8)]
 
 
 def _unpacked(raw: np.ndarray, width: int, n: int) -> np.ndarray:
-    out = np.zeros((len(raw), n, 4), np.uint8)
-    if width and width % 8 == 0:
-        out[:, :, : width // 8] = raw.reshape(len(raw), n, width // 8)
-    elif width:
-        bits = np.unpackbits(raw, axis=1, bitorder="little")[:, : n * width].reshape(len(raw), n, width)
-        out[:, :, : -(-width // 8)] = np.packbits(bits, axis=2, bitorder="little")
-    return out.view("<u4").reshape(len(raw), n)
+    if not width:
+        return np.zeros((len(raw), n), np.uint32)
+    if width in (8, 16, 32):
+        return np.ascontiguousarray(raw).view(f"<u{width // 8}").astype(np.uint32)
+    size = -(-n // 8)
+    eights = np.zeros((len(raw), size * width), np.uint8)
+    eights[:, : raw.shape[1]] = raw
+    eights = eights.reshape(len(raw), size, width)
+    out = np.zeros((len(raw), size, 8), np.uint32)
+    for j in range(8):
+        byte, bit = divmod(j * width, 8)
+        value = np.zeros((len(raw), size), np.uint64)
+        for b in range(-(-(bit + width) // 8)):
+            value |= eights[:, :, byte + b].astype(np.uint64) << np.uint64(8 * b)
+        out[:, :, j] = (value >> np.uint64(bit)) & np.uint64((1 << width) - 1)
+    return out.reshape(len(raw), -1)[:, :n]
 
 
 def encode_blocks(ids: np.ndarray) -> tuple[np.ndarray, bytes]:
@@ -128,28 +145,31 @@ def block_of(image: bytes, number: int) -> np.ndarray:
     return decode_blocks(np.zeros(1, np.int64), image[p + 8 * blocks + at :])
 
 
-def _segments(path: str, end: int):
+def _segments(path: str, end: int, by_name: bool):
     def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
         encode, part, seq = encoder(path), TaskContext.get().partitionId(), 0
-        last = np.array([end], "<u4").tobytes()
         docs, lengths, held, total = [], [], [], 0
 
         def flush() -> pa.RecordBatch:
-            image = write_segment(docs, lengths, np.frombuffer(b"".join(held), "<u4"))
+            image = write_segment(docs, lengths, np.concatenate(held))
             return pa.RecordBatch.from_arrays([pa.array([part], pa.int64()), pa.array([seq], pa.int64()), pa.array([total], pa.int64()), pa.array([image], pa.binary())], ["part", "seq", "n_tokens", "image"])
 
         for batch in batches:
-            for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                raw = encode(text) + last
+            ids, n = encode.column(batch.column(1), by_name)
+            ids, n = np.insert(ids, np.cumsum(n), np.uint32(end)), n + 1
+            ends, sizes, first = np.cumsum(n).tolist(), n.tolist(), 0
+            for k, doc_id in enumerate(batch.column(0).to_pylist()):
                 docs.append(doc_id)
-                held.append(raw)
-                lengths.append(len(raw) // 4)
-                total += lengths[-1]
+                lengths.append(sizes[k])
+                total += sizes[k]
                 if total >= SEGMENT:
+                    held.append(ids[first : ends[k]])
+                    first = ends[k]
                     yield flush()
                     docs, lengths, held, total, seq = [], [], [], 0, seq + 1
+            held.append(ids[first:])
         if docs:
             yield flush()
 
@@ -163,7 +183,7 @@ def write_token_files(docs: DataFrame, tokenizer: str, id_col: str = "doc_id", t
     keys = [F.col("doc_id").asc_nulls_last(), F.col("row").asc()]
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
     ordered = rows.repartitionByRange(parts, *keys).sortWithinPartitions(*keys).select("doc_id", "text")
-    return staged(in_arrow(ordered, _segments(tokenizer, end), "part long, seq long, n_tokens long, image binary"), "segments")
+    return staged(in_arrow(ordered, _segments(tokenizer, end, merges_by_name(tokenizer)), "part long, seq long, n_tokens long, image binary"), "segments")
 
 
 def _documents(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
