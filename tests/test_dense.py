@@ -5,7 +5,7 @@ import random
 import numpy as np
 import pytest
 
-from tmotif.functions.motif import CATALOG
+from tmotif.functions.motif import CATALOG, Motif
 from tmotif.operators import dense, exact, measures, weights
 from tmotif.plans.estimate import census
 from tmotif.sources.graph import TemporalGraph, reply_graph
@@ -110,3 +110,54 @@ def test_bound_on_paths(folded):
             cls = CATALOG[name].anchor().cls
             w = weights.total(weights.weights(folded, delta, cls))
             assert w <= dense.paths_at_most(folded, delta, cls) <= 30 * w
+
+
+def test_counts_beyond_63_bits(spark, monkeypatch):
+    """Counts that no bigint holds come whole, as decimals; those that fit stay bigint. Also where a bucket's sums pass 64 bits."""
+    turns = 900
+    tg = TemporalGraph.from_rows(spark, [(a, b, 6 * k + p) for k in range(turns) for p, (a, b) in enumerate([(0, 1), (1, 2), (2, 0), (0, 2), (2, 1), (1, 0)])]).staged()
+    assert dense.is_dense(tg, CATALOG["M3-0"], 10**6)
+    # by hand: chains through one order of edges, over Python's integers
+    edges = sorted(((r["t"], r["src"], r["dst"]) for r in tg.edges.collect()))
+
+    def by_hand(m):
+        found = 0
+        for place in ({"A": a, "B": b, "C": 3 - a - b} for a in range(3) for b in range(3) if a != b):
+            steps, ways = [(place[x], place[y]) for x, y in m.edges], [1] + [0] * len(m.edges)
+            for _, s, d in edges:
+                for p in range(len(steps) - 1, -1, -1):
+                    if steps[p] == (s, d):
+                        ways[p + 1] += ways[p]
+            found += ways[-1]
+        return found
+
+    want = {n: by_hand(CATALOG[n]) for n in ("TRI", "M3-0", "M3-1")}
+    assert want["M3-0"] < 1 << 63
+    nine = Motif.parse("AB BC CA AC CB BA AB BC CA", "NINE")
+    wide = by_hand(nine)
+    assert wide > 1 << 64
+    for f in (exact.exact_backtrack, exact.exact_frontier, exact.exact_bucketed, census):
+        row = f(tg, nine, 10**6)
+        assert row.first()["count"] == wide and dict(row.dtypes)["count"] == "decimal(38,0)"
+        row = f(tg, "M3-0", 10**6)
+        assert row.first()["count"] == want["M3-0"] and dict(row.dtypes)["count"] == "bigint"
+    ratios = measures.count_ratios(tg, 10**6, [(nine, "TRI")]).first()
+    assert (ratios["above_count"], ratios["below_count"]) == (wide, want["TRI"]) and ratios["ratio"] == pytest.approx(wide / want["TRI"])
+    rows = measures.count_table({"x": (tg, 10**6)}, [nine, "TRI"]).where("motif is null").collect()
+    assert {r["count"] for r in rows} == {wide + want["TRI"]}
+
+
+def test_wide_sums_are_exact():
+    """Wrapped sums and doubles give what Python's integers give; doubles that are too far off are seen."""
+    rng = np.random.default_rng(6)
+    cells = [rng.integers(0, 1 << 12, (40, 3)) for _ in range(7)]
+    ends = rng.integers(20, 41, 20)
+    want = int(dense.chains([c.astype(object) for c in cells], 20, ends).sum())
+    assert want > 1 << 64 and dense.all_chains(cells, 20, ends, want) == want
+    for low, near in ((5, 5.0), ((1 << 64) - 1, 2.0**64), (7, 2.0**80), (0, 2.0**70 - 2.0**40)):
+        got = dense._whole(low, near, 2.0**50)
+        assert got % (1 << 64) == low and abs(got - int(near)) <= 1 << 50 or abs(got - int(near)) <= 1 << 63
+    assert dense._whole(1, 2.0**100, 2.0**62) is None
+    wide = [c << 14 for c in rng.integers(1, 1 << 12, (6, 40, 3))]
+    want = int(dense.chains([c.astype(object) for c in wide], 20, ends).sum())
+    assert dense.all_chains(list(wide), 20, ends, want) == want

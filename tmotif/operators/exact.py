@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from tmotif.functions.motif import Motif, motif
-from tmotif.operators.dense import dense_counts, is_dense
+from tmotif.operators.dense import dense_counts, fitting, is_dense
 from tmotif.operators.extend import _all
 from tmotif.sources.graph import TemporalGraph
 
@@ -87,7 +87,9 @@ def _count(df: DataFrame, m: Motif, delta: int) -> DataFrame:
 
 
 def _dense(tg: TemporalGraph, m: Motif, delta: int) -> DataFrame:
-    return _count(dense_counts(tg, m, delta).select(F.col("found").alias("count")), m, delta)
+    """The count is decimal(38,0) where it passes 63 bits."""
+    found = fitting(dense_counts(tg, m, delta).select(F.col("found").alias("count")), "count")
+    return found.select(F.lit(m.name).alias("motif"), F.lit(delta).cast("bigint").alias("delta"), "count")
 
 
 def exact_backtrack(tg: TemporalGraph, which: str | Motif, delta: int, ties: str = "strict") -> DataFrame:

@@ -11,6 +11,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from tmotif.operators.dense import fitting
 from tmotif.plans.estimate import census, census_dense, census_rows, estimate, estimate_seeds
 from tmotif.sources.graph import TemporalGraph
 
@@ -21,7 +22,7 @@ def anchor_stats(tg: TemporalGraph, which, delta: int) -> DataFrame:
         row, w_total, m = dense
         hits, found, squares = (F.when(F.col("hits") > 0, F.col(c)).cast("double") for c in ("hits", "found", "squares"))
         apart = F.sqrt(F.greatest(squares / hits - found / hits * (found / hits), F.lit(0.0)))
-        return row.select(F.lit(m.name).alias("motif"), F.col("most").alias("b_max"), F.col("hits").cast("bigint"), F.col("found").cast("bigint").alias("count"), (found / hits).alias("b_avg"), apart.alias("b_std"), (F.col("found").cast("double") / F.lit(float(max(w_total, 1)))).alias("b_avg_all"))
+        return row.select(F.lit(m.name).alias("motif"), F.col("most").alias("b_max"), F.col("hits"), F.col("found").alias("count"), (found / hits).alias("b_avg"), apart.alias("b_std"), (F.col("found").cast("double") / F.lit(float(max(w_total, 1)))).alias("b_avg_all"))
     counted, w_total, m = census_rows(tg, which, delta)
     hit = F.when(F.col("x") > 0, F.col("x"))
     return counted.agg(F.lit(m.name).alias("motif"), F.coalesce(F.max("x"), F.lit(0)).cast("bigint").alias("b_max"), F.count(hit).alias("hits"), F.coalesce(F.sum("x"), F.lit(0)).cast("bigint").alias("count"), F.avg(hit).alias("b_avg"), F.stddev_pop(hit).alias("b_std"), (F.sum("x") / F.lit(float(max(w_total, 1)))).alias("b_avg_all"))
@@ -50,13 +51,13 @@ def hit_rates(tg: TemporalGraph, which, delta: int, k: int, seed: int = 42, samp
 
 
 def count_table(graphs: dict[str, tuple[TemporalGraph, int]], names) -> DataFrame:
-    """graph, motif, count by census, with rollup totals (null: all)."""
+    """graph, motif, count by census, with rollup totals (null: all); decimal(38,0) where one passes 63 bits."""
     out = None
     for g, (tg, delta) in graphs.items():
         for name in names:
             one = census(tg, name, delta).select(F.lit(g).alias("graph"), "motif", "count")
             out = one if out is None else out.union(one)
-    return out.rollup("graph", "motif").agg(F.sum("count").cast("bigint").alias("count"))
+    return fitting(out.rollup("graph", "motif").agg(F.sum(F.col("count").cast("decimal(38,0)")).alias("count")), "count")
 
 
 def count_ratios(tg: TemporalGraph, delta: int, pairs) -> DataFrame:
@@ -64,7 +65,7 @@ def count_ratios(tg: TemporalGraph, delta: int, pairs) -> DataFrame:
     rows = None
     for a, b in pairs:
         x, y = census(tg, a, delta).select(F.col("motif").alias("above"), F.col("count").alias("above_count")), census(tg, b, delta).select(F.col("motif").alias("below"), F.col("count").alias("below_count"))
-        one = x.crossJoin(y).withColumn("ratio", F.when(F.col("below_count") > 0, F.col("above_count") / F.col("below_count")))
+        one = x.crossJoin(y).withColumn("ratio", F.when(F.col("below_count") > 0, F.col("above_count").cast("double") / F.col("below_count").cast("double")))
         rows = one if rows is None else rows.union(one)
     return rows
 
