@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tmotif.llm.common import NO_ID, SPACE_CLASS, in_arrow, numbered, staged, text_table, without, workers_see_package
+from tmotif.llm.common import NO_ID, SPACE_CLASS, in_arrow, numbered, shuffled, staged, text_table, without, workers_see_package
 
 #: Rows of a run on average.
 SLICE_ROWS = 50_000
@@ -159,4 +159,4 @@ def drop_exact_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "
     own = f"c{names.index(id_col)}", f"c{names.index(text_col)}"
     plain = rows.select(F.col(own[0]).cast("long").alias("doc_id"), "row", F.regexp_replace(F.coalesce(F.col(own[1]), F.lit("")), SPACE_CLASS, " ").alias("plain"))
     table = staged(plain.select("doc_id", "row", F.unhex(F.sha2("plain", 256)).alias("sha"), F.xxhash64("plain").alias("check"), F.octet_length("plain").cast("long").alias("size")), "digests")
-    return without(rows, table.join(tree_merge(table), ["sha", "check", "size"]).where("row <> keep_row").select("row"), names)
+    return without(rows, shuffled(table).join(tree_merge(table), ["sha", "check", "size"]).where("row <> keep_row").select("row"), names)

@@ -22,7 +22,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from tmotif.llm.common import give_back, in_arrow, staged, workers_see_package
+from tmotif.llm.common import give_back, in_arrow, shuffled, staged, workers_see_package
 
 ORDER = 5
 #: The symbol before a text, what a text's own one becomes, and the symbol of all digits.
@@ -141,7 +141,7 @@ def tables(counts: DataFrame, order: int = ORDER) -> DataFrame:
         rows = _with_discounts(staged(table, "grams") if k < order else table).select("lang", "g", "c", "d", F.expr(f"left(g, {k - 1})").alias("h"), F.expr("substring(g, 2)").alias("s"))
         context = staged(rows.groupBy("lang", "h").agg(F.sum("c").alias("all"), F.sum("d").alias("held")), "contexts")
         p = F.greatest(F.col("c") - F.col("d"), F.lit(0.0)) / F.col("all") + F.col("held") / F.col("all") * F.col("low")
-        seen = staged(rows.join(context, ["lang", "h"]).join(below, on).select("lang", "g", p.alias("p")), "model")
+        seen = staged(shuffled(rows).join(context, ["lang", "h"]).join(below if k == 1 else shuffled(below), on).select("lang", "g", p.alias("p")), "model")
         out = out.union(seen.select("lang", F.lit(k), F.lit("p"), "g", F.log("p"))).union(context.select("lang", F.lit(k), F.lit("w"), F.col("h"), F.log(F.col("held") / F.col("all"))))
         below, on = seen.select("lang", F.col("g").alias("s"), F.col("p").alias("low")), ["lang", "s"]
     return out
@@ -342,7 +342,7 @@ def scored_by_shards(rows: DataFrame, model: DataFrame, text: str, lang: str, or
         p = model.where(f"k = {k} and kind = 'p'").select("lang", F.col("g").alias("g_"), F.col("v").alias(f"p{k}"))
         w = model.where(f"k = {k} and kind = 'w'").select(F.col("lang"), F.col("g").alias("h_"), F.col("v").alias(f"w{k}"))
         joined = joined.withColumn("g_", F.expr(f"right(g, {k})")).withColumn("h_", F.expr(f"left(right(g, {k}), {k - 1})"))
-        joined = joined.join(p, ["lang", "g_"], "left").join(w, ["lang", "h_"], "left").drop("g_", "h_")
+        joined = joined.join(shuffled(p), ["lang", "g_"], "left").join(shuffled(w), ["lang", "h_"], "left").drop("g_", "h_")
         value = F.coalesce(F.col(f"p{k}"), F.coalesce(F.col(f"w{k}"), F.lit(0.0)) + value)
     answers = joined.select(F.col("part").alias("part_"), "lang", "g", value.alias("v"))
     workers_see_package(rows.sparkSession)

@@ -26,7 +26,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tmotif.llm.common import components, in_arrow, numbered, small, staged, text_table, without, workers_see_package
+from tmotif.llm.common import components, in_arrow, marked, numbered, shuffled, staged, text_table, without, workers_see_package
 
 SEGMENTS = 16
 CROWD = 64
@@ -88,7 +88,7 @@ def links(prints: DataFrame, max_bits: int = 2, segments: int = SEGMENTS, crowd:
     keyed = prints.select("fp", F.explode(F.array(*[F.lit(k) for k in range(segments)])).alias("start")).withColumn("turned", _turned(F.col("fp"), F.col("start"), bits))
     keyed = keyed.select("start", _top(F.col("turned"), zero * bits).alias("key"), "turned", "fp")
     met = keyed.groupBy("start", "key").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
-    keyed = keyed.join(met, ["start", "key"])
+    keyed = shuffled(keyed).join(met, ["start", "key"])
     few = keyed if max_bits != 2 else keyed.where(F.col("n") <= crowd)
     x, y = few.select("start", "key", F.col("turned").alias("x"), F.col("fp").alias("a")), few.select("start", "key", F.col("turned").alias("y"), F.col("fp").alias("b"))
     differ = F.col("x").bitwiseXOR(F.col("y"))
@@ -96,14 +96,14 @@ def links(prints: DataFrame, max_bits: int = 2, segments: int = SEGMENTS, crowd:
     for n in range(zero + 1, segments + 1):
         if n * max_bits // segments != (n + 1) * max_bits // segments or n == segments:  # the longest prefix of each budget implies the shorter ones of that budget
             chain = chain & (F.bit_count(_top(differ, n * bits)) <= n * max_bits // segments)
-    pairs = x.join(y, ["start", "key"]).where(F.col("a") < F.col("b")).where(chain).select("a", "b")
+    pairs = shuffled(x).join(y, ["start", "key"]).where(F.col("a") < F.col("b")).where(chain).select("a", "b")
     if max_bits != 2:
         return pairs.distinct()
     many = keyed.where(F.col("n") > crowd).select("fp").distinct()
     middle = F.explode(F.concat(F.array("fp"), F.transform(F.sequence(F.lit(0), F.lit(63)), lambda k: F.col("fp").bitwiseXOR(F.call_function("shiftleft", F.lit(1).cast("long"), k.cast("int"))))))
     spread = many.select("fp", middle.alias("middle"))
     hubs = spread.groupBy("middle").agg(F.min("fp").alias("hub"), F.count(F.lit(1)).alias("n")).where("n > 1")
-    stars = spread.join(hubs, "middle").where("fp <> hub").select(F.col("hub").alias("a"), F.col("fp").alias("b"))
+    stars = shuffled(spread).join(hubs, "middle").where("fp <> hub").select(F.col("hub").alias("a"), F.col("fp").alias("b"))
     return pairs.union(stars).distinct()
 
 
@@ -252,17 +252,17 @@ def crowd_links(many: DataFrame, found: DataFrame, sets: DataFrame, similarity:
     dealt to blocks of bounded size by a hash of the row; each two blocks are compared whole in one task.
     """
     named = components(found)
-    rooted = many.join(named, many["row"] == named["node"], "left").select("key", "row", F.coalesce("root", "row").alias("root"))
+    rooted = shuffled(many).join(named, many["row"] == named["node"], "left").select("key", "row", F.coalesce("root", "row").alias("root"))
     open_keys = rooted.groupBy("key").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low <> high").select("key", "low")
-    rooted = staged(rooted.join(open_keys, "key").select("low", "row", "root").distinct(), "crowded")
+    rooted = staged(shuffled(rooted).join(open_keys, "key").select("low", "row", "root").distinct(), "crowded")
     if rooted.isEmpty():
         return None
     crowds = components(rooted.select("low", "root").distinct())
-    rows = rooted.select("row", "root").distinct().join(crowds.withColumnsRenamed({"node": "n0", "root": "crowd"}), F.col("root") == F.col("n0"), "left")
-    rows = staged(rows.select("row", "root", F.coalesce("crowd", "root").alias("crowd")).join(sets.select("row", F.size("hashes").alias("n")), "row"), "crowds")
+    rows = shuffled(rooted.select("row", "root").distinct()).join(crowds.withColumnsRenamed({"node": "n0", "root": "crowd"}), F.col("root") == F.col("n0"), "left")
+    rows = staged(shuffled(rows.select("row", "root", F.coalesce("crowd", "root").alias("crowd"))).join(sets.select("row", F.size("hashes").alias("n")), "row"), "crowds")
     blocks = rows.groupBy("crowd").agg(F.greatest(F.ceil(F.count(F.lit(1)) / BLOCK_ROWS), F.ceil(F.sum("n") / BLOCK_HASHES), F.lit(1)).alias("blocks"))
     dealt = rows.join(blocks, "crowd").withColumn("salt", F.pmod(F.xxhash64("row"), "blocks")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    dealt = dealt.select("crowd", F.least("salt", "other").alias("lo"), F.greatest("salt", "other").alias("hi"), "salt", "row", "root").join(sets, "row")
+    dealt = shuffled(dealt.select("crowd", F.least("salt", "other").alias("lo"), F.greatest("salt", "other").alias("hi"), "salt", "row", "root")).join(sets, "row")
     workers_see_package(many.sparkSession)
     return dealt.groupBy("crowd", "lo", "hi").applyInArrow(_met_in_blocks(similarity), "a long, b long")
 
@@ -270,10 +270,10 @@ def crowd_links(many: DataFrame, found: DataFrame, sets: DataFrame, similarity:
 def print_links(table: DataFrame, max_bits: int = 2) -> DataFrame:
     """Links (a < b) of row numbers that connect rows (row, fp) whose SimHash fingerprints differ in at most max_bits bits, met as in links: each row and the smallest of its fingerprint, and the smallest ones of linked fingerprints."""
     nodes = staged(table.groupBy("fp").agg(F.min("row").alias("low")), "prints")
-    same = table.join(nodes, "fp").where("row <> low").select("low", "row")
+    same = shuffled(table).join(nodes, "fp").where("row <> low").select("low", "row")
     met = links(nodes.select("fp"), max_bits)
     side = lambda x: nodes.select(F.col("fp").alias(x), F.col("low").alias(f"low_{x}"))
-    apart = met.join(side("a"), "a").join(side("b"), "b").select(F.least("low_a", "low_b"), F.greatest("low_a", "low_b"))
+    apart = met.join(shuffled(side("a")), "a").join(shuffled(side("b")), "b").select(F.least("low_a", "low_b"), F.greatest("low_a", "low_b"))
     return same.union(apart).toDF("a", "b")
 
 
@@ -294,18 +294,18 @@ def similar_links(rows: DataFrame, width: int = 5, similarity: float = SIMILAR,
     none = F.array().cast("array<long>")
     keyed = table.select("row", F.explode(F.concat(F.coalesce(chains, none), F.coalesce(firsts, none))).alias("key"))
     met = staged(keyed.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.min("row").alias("hub")).where("n > 1"), "met")
-    members = keyed.join(met, "key")
+    members = shuffled(keyed).join(met, "key")
     few = members.where(F.col("n") <= crowd).select("key", "row")
-    pairs = few.select("key", F.col("row").alias("a")).join(few.select("key", F.col("row").alias("b")), "key").where("a < b").select("a", "b")
+    pairs = shuffled(few.select("key", F.col("row").alias("a"))).join(few.select("key", F.col("row").alias("b")), "key").where("a < b").select("a", "b")
     many = staged(members.where(F.col("n") > crowd).select("key", "row", "hub"), "many")
     stars = many.where("row <> hub").select(F.col("hub").alias("a"), F.col("row").alias("b"))
     crowded = many.select("row").distinct()
     pairs = pairs.union(stars).union(print_links(table.select("row", "fp"))).distinct()
     side = lambda x: table.select(F.col("row").alias(x), F.col("n").alias(f"n{x}"))
-    near = staged(pairs.join(side("a"), "a").join(side("b"), "b").where(F.least("na", "nb") >= similarity * F.greatest("na", "nb")).select("a", "b"), "near")
-    wanted = small(staged(near.select(F.explode(F.array("a", "b")).alias("row")).union(crowded).distinct(), "wanted"))
-    sets = staged(in_arrow(rows.join(wanted, "row", "left_semi").select("row", F.col("text").cast("binary")), _sets(width), "row long, hashes array<long>"), "sets")
-    both = near.join(sets.select(F.col("row").alias("a"), F.col("hashes").alias("ha")), "a").join(sets.select(F.col("row").alias("b"), F.col("hashes").alias("hb")), "b")
+    near = staged(pairs.join(shuffled(side("a")), "a").join(shuffled(side("b")), "b").where(F.least("na", "nb") >= similarity * F.greatest("na", "nb")).select("a", "b"), "near")
+    wanted = near.select(F.explode(F.array("a", "b")).alias("row")).union(crowded)
+    sets = staged(in_arrow(marked(rows, wanted).where("marked").select("row", F.col("text").cast("binary")), _sets(width), "row long, hashes array<long>"), "sets")
+    both = near.join(shuffled(sets.select(F.col("row").alias("a"), F.col("hashes").alias("ha"))), "a").join(shuffled(sets.select(F.col("row").alias("b"), F.col("hashes").alias("hb"))), "b")
     common = F.size(F.array_intersect("ha", "hb"))
     found = staged(both.where(common >= similarity * (F.size("ha") + F.size("hb") - common)).select("a", "b"), "found")
     more = None if many.isEmpty() else crowd_links(many.select("key", "row"), found, sets, similarity)
@@ -324,8 +324,8 @@ def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
     ids, text = f"c{names.index(id_col)}", f"c{names.index(text_col)}"
     table, found = similar_links(rows.select("row", F.col(ids).cast("long").alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text")), width, similarity)
     named = components(found)
-    named = named.union(named.select("root", "root").distinct()).toDF("row", "root").join(table.select("row", "doc_id"), "row")
+    named = named.union(named.select("root", "root").distinct()).toDF("row", "root").join(shuffled(table.select("row", "doc_id")), "row")
     named = staged(named, "named")
     low = named.groupBy("root").agg(F.min(F.struct(F.coalesce("doc_id", F.lit(2**63 - 1)).alias("i"), "row")).alias("low"))
-    gone = named.join(low, "root").where("row <> low.row").select("row")
+    gone = shuffled(named).join(low, "root").where("row <> low.row").select("row")
     return without(rows, gone, names)
