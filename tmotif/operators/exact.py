@@ -10,6 +10,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from tmotif.functions.motif import Motif, motif
+from tmotif.operators.cycles import is_cycle
 from tmotif.operators.dense import dense_counts, fitting, is_dense
 from tmotif.operators.extend import _all
 from tmotif.sources.graph import TemporalGraph
@@ -19,16 +20,20 @@ def _bucket(c: str, width: int) -> str:
     return f"{c} div {width} - if({c} % {width} < 0, 1, 0)"
 
 
+def _room(m: Motif, done: list[int], p: int, delta: int, step: int):
+    """The first and the last time that pattern edge p may have beside the positions done."""
+    before, after = [F.col(f"t{q}") for q in done if q < p], [F.col(f"t{q}") for q in done if q > p]
+    every = [F.col(f"t{q}") for q in done]
+    early, late = (F.least(*every), F.greatest(*every)) if len(every) > 1 else (every[0], every[0])
+    return reduce(F.greatest, [c + step for c in before], late - delta), reduce(F.least, [c - step for c in after], early + delta)
+
+
 def _extended(state: DataFrame, edges: DataFrame, m: Motif, done: list[int], p: int, delta: int, keys: list[str], ties: str) -> DataFrame:
     """Joins pattern edge p to partial matches of the positions done; an equi-join on what is bound and the time bucket."""
     a, b = m.edges[p]
     bound = {x for q in done for x in m.edges[q]}
     width, step = max(1, delta), 1 if ties == "strict" else 0
-    before, after = [F.col(f"t{q}") for q in done if q < p], [F.col(f"t{q}") for q in done if q > p]
-    every = [F.col(f"t{q}") for q in done]
-    early, late = (F.least(*every), F.greatest(*every)) if len(every) > 1 else (every[0], every[0])
-    lo = reduce(F.greatest, [c + step for c in before], late - delta)
-    hi = reduce(F.least, [c - step for c in after], early + delta)
+    lo, hi = _room(m, done, p, delta, step)
     state = state.withColumn("lo", lo).withColumn("hi", hi).where("lo <= hi").withColumn("bucket", F.explode(F.sequence(F.expr(_bucket("lo", width)), F.expr(_bucket("hi", width)))))
     own = edges.select(*keys, F.col("eid").alias(f"e{p}"), F.col("src").alias("s_"), F.col("dst").alias("d_"), F.col("t").alias(f"t{p}"), F.expr(_bucket("t", width)).alias("bucket"))
     on = [*keys, "bucket"]
@@ -74,6 +79,32 @@ def matches(tg: TemporalGraph, which: str | Motif, delta: int, keys: list[str] |
     return state
 
 
+def matches_by_halves(tg: TemporalGraph, which: str | Motif, delta: int) -> DataFrame:
+    """The columns of matches() for a pattern whose first four edges are a cycle A > B > C > D > A: two wedges that share their ends A and C, so that no path of three edges is a row."""
+    m = motif(which)
+    if not is_cycle(Motif(m.edges[:4])) or len(m.vertices) != 4:
+        raise ValueError("the pattern does not begin with a cycle of four edges")
+    a, b, c, d = (x for x, _ in m.edges[:4])
+    width = 4 * max(1, delta)
+    first = _extended(_roots(tg.edges, m, 0, []), tg.edges, m, [0], 1, delta, [], "strict")
+    second = _extended(_roots(tg.edges, m, 2, []), tg.edges, m, [2], 3, delta, [], "strict").withColumn("bucket", F.expr(_bucket("t2", width)))
+    first = first.withColumn("from", F.expr("t1 + 1")).withColumn("till", F.expr(f"t0 + {delta} - 1")).where("from <= till")
+    first = first.withColumn("bucket", F.explode(F.sequence(F.expr(_bucket("from", width)), F.expr(_bucket("till", width))))).drop("from", "till")
+    state = first.hint("merge").join(second, [f"v_{a}", f"v_{c}", "bucket"]).where((F.col(f"v_{b}") != F.col(f"v_{d}")) & F.expr(f"t2 > t1 and t3 <= t0 + {delta}")).drop("bucket")
+    for p in range(4, len(m.edges)):
+        state = _extended(state, tg.edges, m, [*range(p)], p, delta, [], "strict")
+    return state
+
+
+def listed(tg: TemporalGraph, which: str | Motif, delta: int) -> DataFrame:
+    """matches(), by halves where the third join would still close nothing."""
+    m = motif(which)
+    order = connected_order(m, len(m.edges))
+    closes = len(order) > 2 and {*m.edges[order[2]]} <= {x for q in order[:2] for x in m.edges[q]}
+    four = len(m.vertices) == 4 and len(m.edges) >= 4 and is_cycle(Motif(m.edges[:4]))
+    return matches_by_halves(tg, m, delta) if four and not closes else matches(tg, m, delta)
+
+
 def match_rows(found: DataFrame, which: str | Motif) -> DataFrame:
     """eids, vertices, t_first, t_last of matches."""
     m = motif(which)
@@ -101,24 +132,24 @@ def exact_backtrack(tg: TemporalGraph, which: str | Motif, delta: int, ties: str
 
 
 def exact_frontier(tg: TemporalGraph, which: str | Motif, delta: int) -> DataFrame:
-    """The same count: partial matches that ask the same of the last edge are one row with a multiplicity before the last join."""
+    """The same count: partial matches that ask the same of the edge that comes last (see connected_order) are one row with a multiplicity before the last join."""
     m = motif(which)
     if is_dense(tg, m, delta):
         return _dense(tg, m, delta)
-    last = len(m.edges) - 1
+    *order, last = connected_order(m, len(m.edges))
     state = _roots(tg.edges, m, 0, [])
-    order = connected_order(m, last)
     for i, p in enumerate(order[1:], 1):
         state = _extended(state, tg.edges, m, order[:i], p, delta, [], "strict")
     a, b = m.edges[last]
-    bound = {x for e in m.edges[:last] for x in e}
+    bound = {x for q in order for x in m.edges[q]}
     asked = [f"v_{x}" for x in sorted(bound)] if not {a, b} <= bound else [f"v_{a}", f"v_{b}"]
     width = max(1, delta)
-    folded = state.groupBy(*asked, F.col(f"t{last - 1}").alias("late"), F.col("t0").alias("early")).agg(F.count(F.lit(1)).alias("times"))
-    folded = folded.withColumn("bucket", F.explode(F.sequence(F.expr(_bucket("late", width)), F.expr(_bucket("(early + %d)" % delta, width)))))
+    lo, hi = _room(m, order, last, delta, 1)
+    folded = state.withColumn("lo", lo).withColumn("hi", hi).where("lo <= hi").groupBy(*asked, "lo", "hi").agg(F.count(F.lit(1)).alias("times"))
+    folded = folded.withColumn("bucket", F.explode(F.sequence(F.expr(_bucket("lo", width)), F.expr(_bucket("hi", width)))))
     own = tg.edges.select(F.col("src").alias(f"v_{a}"), F.col("dst").alias(f"v_{b}"), "t", F.expr(_bucket("t", width)).alias("bucket"))
     on = ["bucket", *[f"v_{x}" for x in (a, b) if x in bound]]
-    tests = [F.col("t") > F.col("late"), F.col("t") <= F.col("early") + delta]
+    tests = [F.col("t").between(F.col("lo"), F.col("hi"))]
     for x in (a, b):
         if x not in bound:
             tests += [F.col(f"v_{x}") != F.col(f"v_{y}") for y in sorted(bound)]
