@@ -161,3 +161,48 @@ def test_wide_sums_are_exact():
     wide = [c << 14 for c in rng.integers(1, 1 << 12, (6, 40, 3))]
     want = int(dense.chains([c.astype(object) for c in wide], 20, ends).sum())
     assert dense.all_chains(list(wide), 20, ends, want) == want
+
+
+def test_no_path_is_listed(spark, monkeypatch):
+    """Counts and completions come from matches; before, each path of the anchor was a row."""
+    from tmotif.operators import sampling
+    from tmotif.plans import estimate, queries
+
+    tg = reply_graph(spark, SF).staged()
+    names = ("TRI", "M3-0", "M3-1", "M4-0", "M4-1", "M4-5", "LATE", "PAW")
+    want = {n: exact.exact_backtrack(tg, n, 4 * DAY).first()["count"] for n in names}
+    halves = exact.matches_by_halves(tg, "M4-0", 4 * DAY).select("e0", "e1", "e2", "e3")
+    assert sorted(halves.collect()) == sorted(exact.matches(tg, "M4-0", 4 * DAY).select("e0", "e1", "e2", "e3").collect()) and halves.count() == want["M4-0"] > 0
+    stats = {}
+    for n in ("M4-0", "M4-5"):  # as from listed paths
+        counted, w, _ = estimate.census_rows(tg, n, 4 * DAY)
+        xs = np.array([r["x"] for r in counted.where("x > 0").select("x").collect()])
+        stats[n] = [int(xs.max(initial=0)), len(xs), int(xs.sum()), xs.sum() / w]
+    monkeypatch.setattr(sampling, "every_path", lambda *_: pytest.fail("a path is listed"))
+    assert {r["motif"]: r["count"] for r in queries._counts(tg, names, 4 * DAY).collect()} == want
+    for n, own in stats.items():
+        row = measures.anchor_stats(tg, n, 4 * DAY).first()
+        assert [row["b_max"], row["hits"], row["count"], pytest.approx(row["b_avg_all"])] == own
+    none = measures.anchor_stats(tg, "M4-0", 1).first()
+    assert (none["b_max"], none["hits"], none["count"], none["b_avg"]) == (0, 0, 0, None)
+
+
+def test_spread_of_many_completions():
+    """Squares beyond 64 bits, in linear work, against all pairs of start and end."""
+    rng = np.random.default_rng(9)
+    for name, most in (("M4-0", 40), ("M4-5", 40), ("TRI", 3), ("M4-5", 1 << 14)):
+        m = CATALOG[name]
+        first, size = dense.leading(m), len(m.edges)
+        cells = [rng.integers(0, most, (30, 2)) * rng.integers(0, 2, (30, 2)) for _ in range(size)]
+        ends = np.sort(rng.integers(15, 31, (15, 2)), axis=0)
+        squares, high = 0, 0
+        for a in range(2):
+            own = [c[:, a].astype(object) for c in cells]
+            for s in range(15):
+                for e in range(s + 1, ends[s, a]):
+                    times = own[0][s] * own[first - 1][e] * (own[1][s + 1 : e].sum() if first == 3 else 1)
+                    x = sum(own[first][i] * (own[first + 1][i + 1 : ends[s, a]].sum() if size - first == 2 else 1) for i in range(e + 1, ends[s, a]))
+                    squares += times * x * x
+                    high = max(high, x if times else 0)
+        assert dense._spread(cells, first, 15, ends) == (squares, high)
+        assert most < 1 << 14 or squares > 1 << 64

@@ -11,21 +11,30 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from tmotif.functions.motif import motif
 from tmotif.operators.dense import fitting
+from tmotif.operators.exact import listed
+from tmotif.operators.weights import total, weights
 from tmotif.plans.estimate import census, census_dense, census_rows, estimate, estimate_seeds
 from tmotif.sources.graph import TemporalGraph
 
 
 def anchor_stats(tg: TemporalGraph, which, delta: int) -> DataFrame:
-    """motif, b_max, b_avg and b_std over anchors with a match, b_avg_all over all paths, and the counts behind these."""
+    """motif, b_max, b_avg and b_std over anchors with a match, b_avg_all over all paths, and the counts behind these.
+
+    Where a graph is not dense the matches are listed, not the paths, which are far more: those of one anchor are its completions.
+    """
     if dense := census_dense(tg, which, delta, spread=True):
         row, w_total, m = dense
         hits, found, squares = (F.when(F.col("hits") > 0, F.col(c)).cast("double") for c in ("hits", "found", "squares"))
         apart = F.sqrt(F.greatest(squares / hits - found / hits * (found / hits), F.lit(0.0)))
         return row.select(F.lit(m.name).alias("motif"), F.col("most").alias("b_max"), F.col("hits"), F.col("found").alias("count"), (found / hits).alias("b_avg"), apart.alias("b_std"), (F.col("found").cast("double") / F.lit(float(max(w_total, 1)))).alias("b_avg_all"))
-    counted, w_total, m = census_rows(tg, which, delta)
-    hit = F.when(F.col("x") > 0, F.col("x"))
-    return counted.agg(F.lit(m.name).alias("motif"), F.coalesce(F.max("x"), F.lit(0)).cast("bigint").alias("b_max"), F.count(hit).alias("hits"), F.coalesce(F.sum("x"), F.lit(0)).cast("bigint").alias("count"), F.avg(hit).alias("b_avg"), F.stddev_pop(hit).alias("b_std"), (F.sum("x") / F.lit(float(max(w_total, 1)))).alias("b_avg_all"))
+    m = motif(which)
+    anchor = m.anchor()
+    w_total = total(weights(tg, delta, anchor.cls))
+    counted = listed(tg, m, delta).groupBy(*[f"e{p}" for p in anchor.positions]).agg(F.count(F.lit(1)).alias("x"))
+    hit = F.col("x")
+    return counted.agg(F.lit(m.name).alias("motif"), F.coalesce(F.max("x"), F.lit(0)).cast("bigint").alias("b_max"), F.count(hit).alias("hits"), F.coalesce(F.sum("x"), F.lit(0)).cast("bigint").alias("count"), F.avg(hit).alias("b_avg"), F.stddev_pop(hit).alias("b_std"), (F.coalesce(F.sum("x"), F.when(F.lit(w_total > 0), F.lit(0))) / F.lit(float(max(w_total, 1)))).alias("b_avg_all"))
 
 
 def b_quantile(tg: TemporalGraph, which, delta: int, q: float = 0.9) -> float:
